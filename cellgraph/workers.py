@@ -7,14 +7,14 @@ from collections.abc import Callable
 from types import ModuleType
 
 
-def worker_state(key: str, build: Callable[[], object]) -> object:
-    """The object that this process has under ``key``, built on first use.
+def worker_state(slot: str, key: str, build: Callable[[], object]) -> object:
+    """The object that this process has in ``slot`` for ``key``; another key's object is let go first.
 
     The package's functions reach workers by value, so their module globals are copies; a module
-    entry of the process itself is not.
+    entry of the process itself is not.  One object per slot bounds what a long-lived worker holds.
     """
-    home = sys.modules.setdefault("_worker_state", ModuleType("_worker_state"))
-    held = home.__dict__
-    if key not in held:
-        held[key] = build()
-    return held[key]
+    home = sys.modules.setdefault("_worker_state", ModuleType("_worker_state")).__dict__
+    if home.get(slot, (None, None))[0] != key:
+        home.pop(slot, None)
+        home[slot] = (key, build())
+    return home[slot][1]
