@@ -158,10 +158,10 @@ def pack_documents(docs: DataFrame, tokenizer_json: str, id_col: str = "doc_id",
     input partition's number times 2^32 plus a count.  Repeated rows are packed as often as they come.
     Only the last window lot of each partition may be loosely filled.
     """
-    key = f"encoder-{hash(tokenizer_json)}"
+    key = str(hash(tokenizer_json))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode = worker_state(key, lambda: make_encoder(tokenizer_json))
+        encode = worker_state("encoder", key, lambda: make_encoder(tokenizer_json))
         packer = Packer(TaskContext.get().partitionId(), window, piece, lot_windows)
 
         def out() -> pa.RecordBatch:

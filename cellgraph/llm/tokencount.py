@@ -126,10 +126,10 @@ def token_counts(docs: DataFrame, tokenizer_json: str, id_col: str = "doc_id", t
     Null and empty texts have 0 bytes and 0 tokens.  Strings of special tokens inside a text count as one
     token each, as the library does by default.  Repeated rows get equal answers, ids may be null.
     """
-    key = f"token-counter-{hash(tokenizer_json)}"
+    key = str(hash(tokenizer_json))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counter = worker_state(key, lambda: TokenCounter(tokenizer_json))
+        counter = worker_state("token-counter", key, lambda: TokenCounter(tokenizer_json))
         for b in batches:
             yield pa.RecordBatch.from_arrays([*b.columns[:2], pa.array([counter.count(t.as_py()) for t in b.column(2)], pa.int64())], names=["id", "n_bytes", "n_tokens"])
 

@@ -135,7 +135,7 @@ class Restorer:
     decoded as a whole, only cut into their words.
     """
 
-    def __init__(self, model: CharModel, wanted: frozenset[str] | None = None, memory: int = 200_000, longest: int = 40):
+    def __init__(self, model: CharModel, wanted: frozenset[str] | None = None, memory: int = 120_000, longest: int = 40):
         self.model, self.wanted, self.memory, self.longest, self.known = model, wanted, memory, longest, {}
 
     def token_words(self, token: str) -> tuple[str, ...]:
@@ -189,11 +189,11 @@ class ToxicModel:
         return 1 / (1 + math.exp(-max(-30.0, min(30.0, z))))
 
 
-def fit_logistic(rows: list[list[int]], y: np.ndarray, n: int, l2: float = 0.3, steps: int = 200) -> tuple[np.ndarray, float]:
+def fit_logistic(rows: list[np.ndarray], y: np.ndarray, n: int, l2: float = 0.3, steps: int = 200) -> tuple[np.ndarray, float]:
     """Batch gradient ascent with momentum on binary sparse rows; the penalty is on the weights only."""
     w, b = np.zeros(n), math.log((y.sum() + 0.5) / (len(y) - y.sum() + 0.5))
-    at = np.repeat(np.arange(len(rows)), [len(r) for r in rows])
-    col = np.array([c for r in rows for c in r], dtype=np.int64)
+    at = np.repeat(np.arange(len(rows)), [len(r) for r in rows]).astype(np.int64)
+    col = np.concatenate([*rows, np.zeros(0, np.int32)]).astype(np.int64)
     seen = np.bincount(col, minlength=n) + l2
     mw, mb = np.zeros(n), 0.0
     for _ in range(steps):
@@ -233,25 +233,36 @@ def corpus_char_model(docs: DataFrame, text_col: str = "text") -> CharModel:
     return CharModel(counts)
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, may_learn, char_model: CharModel, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", min_docs: int = 3, min_gain: float = 12, max_features: int = 20_000, sample: int = 20_000, seed: int = 9) -> ToxicModel:
+def _slices(batches: Iterator[pa.RecordBatch], rows: int) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        for at in range(0, b.num_rows, rows):
+            yield b.slice(at, rows)
+
+
+def fit_toxicity(docs: DataFrame, labels: DataFrame, may_learn, char_model: CharModel, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", min_docs: int = 3, min_gain: float = 10, min_lift: float = 1.5, max_features: int = 20_000, sample: int = 20_000, broadcast_labels: int = 2_000_000, seed: int = 9) -> ToxicModel:
     """Chooses features by their association with the label over all learnable rows, then fits weights.
 
-    Feature counts are taken over every learnable labelled row, on the executors.  The ``max_features``
-    of highest log-likelihood ratio (at least ``min_gain``) go on; their weights are fitted on the driver from the feature sets
-    of at most about ``sample`` rows, chosen by id hash.
+    Feature counts are taken over every learnable labelled row, on the executors.  Features that are
+    ``min_lift`` times as frequent among toxic rows as the label itself go on, at most ``max_features`` of highest
+    log-likelihood ratio (at least ``min_gain``); their weights are fitted on the driver from the
+    feature numbers of about ``sample`` rows, chosen by id hash.  Of several labels of an id the highest
+    counts; rows without a label or id teach nothing; without toxic rows every score is near 0.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "toxicity")
-    marks = labels.where(F.col(label_col).isNotNull()).groupBy(F.col(id_col).alias("_label_id")).agg(F.max(label_col).cast("int").alias("_label"))
-    rows = docs.where(may_learn).select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(marks, F.col("id") == F.col("_label_id")).select("id", "text", "_label")
+    id_type = docs.schema[id_col].dataType.simpleString()
+    marks = scratch.save(labels.where(F.col(label_col).isNotNull()).groupBy(F.col(id_col).alias("_label_id")).agg(F.max(label_col).cast("int").alias("_label")))
+    marked = F.broadcast(marks) if marks.count() <= broadcast_labels else marks
+    rows = docs.where(may_learn).select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(marked, F.col("id") == F.col("_label_id")).select("id", "text", "_label")
+    key = uuid.uuid4().hex
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        restorer = Restorer(char_model)
-        for b in batches:
-            found = [sorted(restorer.features_of(t.as_py())) for t in b.column(1)]
+        restorer = worker_state("restorer", key, lambda: Restorer(char_model, memory=60_000))
+        for b in _slices(batches, 500):
+            found = [list(restorer.features_of(t.as_py())) for t in b.column(1)]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(found, pa.list_(pa.string()))], names=["id", "y", "found"])
 
-    seen = scratch.save(rows.mapInArrow(run, f"id {docs.schema[id_col].dataType.simpleString()}, y int, found array<string>"))
+    seen = scratch.save(rows.mapInArrow(run, f"id {id_type}, y int, found array<string>"))
     totals = {r["y"]: r["n"] for r in seen.groupBy("y").agg(F.count(F.lit(1)).alias("n")).collect()}
     n_pos, n_all = totals.get(1, 0), sum(totals.values())
     if not n_pos or n_pos == n_all:
@@ -260,19 +271,20 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, may_learn, char_model: Char
     each = seen.select("y", F.explode("found").alias("f")).groupBy("f").agg(F.sum("y").cast("double").alias("p"), F.count(F.lit(1)).cast("double").alias("n"))
     part = lambda k, of, q: F.when(k > 0, k * F.log(k / (of * F.lit(q)))).otherwise(0.0)
     gain = 2 * (part(F.col("p"), F.col("n"), rate) + part(F.col("n") - F.col("p"), F.col("n"), 1 - rate))
-    best = each.where(F.col("n") >= min_docs).withColumn("gain", gain).where(F.col("gain") >= min_gain).orderBy(F.desc("gain"), "f").limit(max_features).select("f").collect()
-    index = {r["f"]: i for i, r in enumerate(best)}
+    best = each.where((F.col("n") >= min_docs) & (F.col("p") >= F.col("n") * min(1.0, min_lift * rate))).withColumn("gain", gain)
+    names = [r["f"] for r in best.where(F.col("gain") >= min_gain).orderBy(F.desc("gain"), "f").limit(max_features).select("f").collect()]
+    index = {f: i for i, f in enumerate(names)}
     chosen = seen.where(F.pmod(F.xxhash64(F.lit(seed), "id"), F.lit(n_all)) < sample) if n_all > sample else seen
-    wanted = spark.sparkContext.broadcast(frozenset(index))
 
-    def known(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            own = [[f for f in x if f in wanted.value] for x in b.column(2).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(own, pa.list_(pa.string()))], names=["id", "y", "found"])
+    def numbered(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in _slices(batches, 500):
+            own = [np.array(sorted(index[f] for f in x if f in index), dtype=np.int32).tobytes() for x in b.column(2).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(own, pa.binary())], names=["id", "y", "found"])
 
-    fitted = sorted(chosen.mapInArrow(known, seen.schema).collect(), key=lambda r: (r["id"], r["y"], r["found"]))
-    w, bias = fit_logistic([[index[f] for f in r["found"]] for r in fitted], np.array([r["y"] for r in fitted], dtype=float), len(index))
-    scratch.drop(seen)
+    fitted = sorted(chosen.mapInArrow(numbered, f"id {id_type}, y int, found binary").collect(), key=lambda r: (r["id"], r["y"], r["found"]))
+    sparse = [np.frombuffer(r["found"], dtype=np.int32) for r in fitted]
+    w, bias = fit_logistic(sparse, np.array([r["y"] for r in fitted], dtype=float), len(index))
+    scratch.drop(seen, marks)
     return ToxicModel({f: float(w[i]) for f, i in index.items() if abs(w[i]) > 1e-3}, bias)
 
 
@@ -283,11 +295,11 @@ def score_documents(docs: DataFrame, char_model: CharModel, model: ToxicModel, t
     """
     columns = [c for c in docs.columns if c != out_col]
     schema = docs.select(*(c for c in columns if keep_text or c != text_col)).schema.add(out_col, "double")
-    names, at, key = schema.fieldNames(), columns.index(text_col), f"restorer-{uuid.uuid4().hex}"
+    names, at, key = schema.fieldNames(), columns.index(text_col), uuid.uuid4().hex
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        restorer = worker_state(key, lambda: Restorer(char_model, frozenset(model.weights)))
-        for b in batches:
+        restorer = worker_state("restorer", key, lambda: Restorer(char_model, frozenset(model.weights)))
+        for b in _slices(batches, 1000):
             scores = pa.array([model.score(restorer.features_of(x.as_py())) for x in b.column(at)], pa.float64())
             kept = [c for i, c in enumerate(b.columns) if keep_text or i != at]
             yield pa.RecordBatch.from_arrays([*kept, scores], names=names)
