@@ -215,7 +215,7 @@ def _band_keys(lanes: int, band_bits: int, similarity: float) -> F.Column:
     return F.array(*out)
 
 
-def _lane_chain(a, b, at, band_bits: int, limit: float, slack: int = 2) -> F.Column:
+def _lane_chain(a, b, at, band_bits: int, limit: float, slack: int = 4) -> F.Column:
     """Chain condition on one lane's ring of bands: the first equal, the first l together within the proportional budget."""
     diff = a.bitwiseXOR(b)
     turn = F.call_function
@@ -227,12 +227,12 @@ def _lane_chain(a, b, at, band_bits: int, limit: float, slack: int = 2) -> F.Col
     return ok
 
 
-def resembling(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = 0.8, words: int = 5, lanes: int = 8, band_bits: int = 16, hot: int = 32, seed: int = 42) -> DataFrame:
+def resembling(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = 0.8, words: int = 5, lanes: int = 8, band_bits: int = 16, hot: int = 12, spread: float = 0.8, seed: int = 42) -> DataFrame:
     """``(id, component)``: groups of documents whose word shingles have about that Jaccard similarity or more.
 
     The fingerprint has ``lanes`` words; a pair is a candidate when a band is equal and the chain along
     that lane's ring stays within its budgets, and a link when the whole fingerprints differ in at most
-    the bits that the similarity lets expect.  Texts of equal shingles are merged first.  Under a key of
+    the bits that the similarity lets expect and ``spread`` standard deviations more.  Texts of equal shingles are merged first.  Under a key of
     more than ``hot`` texts each text is compared with the least one and, under longer keys (the band and
     half of the next), with the others there, or again with the least if those are too many: the work is
     linear in a group, and groups come out as components.
@@ -240,7 +240,8 @@ def resembling(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     spark = docs.sparkSession
     scratch = Scratch(spark, "resembling")
     lane_cols = [f"w{k}" for k in range(lanes)]
-    limit_bits = bits_for_similarity(similarity, lanes * BITS)
+    expected = bits_for_similarity(similarity, lanes * BITS)
+    limit_bits = expected + math.ceil(spread * math.sqrt(expected * (1 - expected / (lanes * BITS))))
     fps = scratch.save(wide_fingerprints(docs, id_col, text_col, lanes, words, seed))
     same = scratch.save(fps.groupBy("n", *lane_cols).agg(F.min("id").alias("rep")).where("rep is not null"))
     keyed = scratch.save(same.select("rep", F.explode(_band_keys(lanes, band_bits, similarity)).alias("k")).select("rep", "k.key", "k.word", "k.at"))
