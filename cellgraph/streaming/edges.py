@@ -15,7 +15,8 @@ def event_stream(spark: SparkSession, path: str) -> DataFrame:
     """The events table as a stream of its files."""
     schema = spark.read.parquet(path).schema
     folder, name = os.path.split(path.rstrip("/"))
-    return spark.readStream.schema(schema).option("pathGlobFilter", name).parquet(folder)
+    stream = spark.readStream.schema(schema).option("pathGlobFilter", name).parquet(folder)
+    return stream.withColumn("ts", F.col("ts").cast("timestamp"))  # event time needs a zone
 
 
 def drain(spark: SparkSession, stream: DataFrame, mode: str, name: str) -> DataFrame:
@@ -37,11 +38,11 @@ def drain(spark: SparkSession, stream: DataFrame, mode: str, name: str) -> DataF
 
 def windowed_degree(stream: DataFrame, length: str, slide: str | None = None, late: str = "1 hour") -> DataFrame:
     """Events per user and window."""
-    return stream.withWatermark("ts", late).groupBy(F.window("ts", length, slide) if slide else F.window("ts", length), "user_id").agg(F.count(F.lit(1)).alias("n")).select(F.col("window.start").alias("start"), "user_id", "n")
+    return stream.withWatermark("ts", late).groupBy(F.window("ts", length, slide) if slide else F.window("ts", length), "user_id").agg(F.count(F.lit(1)).alias("n")).select(F.col("window.start").cast("timestamp_ntz").alias("start"), "user_id", "n")
 
 
 def sessions(stream: DataFrame, gap: str, late: str = "1 hour") -> DataFrame:
-    return stream.withWatermark("ts", late).groupBy(F.session_window("ts", gap), "user_id").agg(F.count(F.lit(1)).alias("n")).select(F.col("session_window.start").alias("start"), "user_id", "n")
+    return stream.withWatermark("ts", late).groupBy(F.session_window("ts", gap), "user_id").agg(F.count(F.lit(1)).alias("n")).select(F.col("session_window.start").cast("timestamp_ntz").alias("start"), "user_id", "n")
 
 
 class IncrementalComponents:
