@@ -227,7 +227,7 @@ def _lane_chain(a, b, at, band_bits: int, limit: float, slack: int = 4) -> F.Col
     return ok
 
 
-def resembling(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = 0.8, words: int = 5, lanes: int = 8, band_bits: int = 16, hot: int = 12, spread: float = 0.8, seed: int = 42) -> DataFrame:
+def resembling(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = 0.8, words: int = 5, lanes: int = 8, band_bits: int = 16, hot: int = 8, spread: float = 0.8, seed: int = 42) -> DataFrame:
     """``(id, component)``: groups of documents whose word shingles have about that Jaccard similarity or more.
 
     The fingerprint has ``lanes`` words; a pair is a candidate when a band is equal and the chain along
