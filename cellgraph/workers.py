@@ -2,19 +2,34 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import sys
 from collections.abc import Callable
 from types import ModuleType
 
 
 def worker_state(slot: str, key: str, build: Callable[[], object]) -> object:
-    """The object that this process has in ``slot`` for ``key``; another key's object is let go first.
+    """The object that this process has for ``slot`` and ``key``; any other object is let go first.
 
     The package's functions reach workers by value, so their module globals are copies; a module
-    entry of the process itself is not.  One object per slot bounds what a long-lived worker holds.
+    entry of the process itself is not.  A worker runs one function at a time, so one object per
+    process is enough, and a long-lived worker holds no state of earlier stages.
     """
     home = sys.modules.setdefault("_worker_state", ModuleType("_worker_state")).__dict__
-    if home.get(slot, (None, None))[0] != key:
-        home.pop(slot, None)
-        home[slot] = (key, build())
-    return home[slot][1]
+    if home.get("held", (None, None))[0] != (slot, key):
+        home.pop("held", None)
+        release_memory()
+        home["held"] = ((slot, key), build())
+    return home["held"][1]
+
+
+def release_memory() -> None:
+    """Gives freed memory back to the system: unreachable objects, Arrow's pool, then the C heap where that is possible."""
+    gc.collect()
+    arrow = sys.modules.get("pyarrow")
+    if arrow is not None:
+        arrow.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
