@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cellgraph.scratch import Scratch
-from cellgraph.workers import worker_state
+from cellgraph.workers import release_memory, worker_state
 
 #: Letters that a character may stand for, besides itself.
 LOOKALIKES = {
@@ -44,19 +44,22 @@ def symbol(ch: str) -> int:
     return o + 1 if 0 <= o < 26 else 27 + ord(ch) % (N_SYMBOLS - 27)
 
 
-def trigram_counts(texts: Iterable[str]) -> np.ndarray:
-    """Trigram counts of the words of the texts, two edges before and one after each."""
+def trigram_counts(texts: Iterable[str], block: int = 1 << 17) -> np.ndarray:
+    """Trigram counts of the words of the texts, two edges before and one after each; ``block`` characters at a time."""
     flat = np.zeros(N_SYMBOLS**3, dtype=np.int64)
     for text in texts:
-        cps = np.frombuffer(f"  {text.lower()} ".encode("utf-32-le"), dtype=np.uint32)
-        ascii_letter = (cps >= 97) & (cps <= 122)
-        letter = ascii_letter | ((cps >= 0xC0) & (cps != 0xD7) & (cps != 0xF7) & ((cps < 0x2000) | (cps > 0x206F)))
-        sym = np.where(ascii_letter, cps.astype(np.int64) - 96, np.where(letter, 27 + cps % (N_SYMBOLS - 27), 0)).astype(np.int64)
-        code = (sym[:-2] * N_SYMBOLS + sym[1:-1]) * N_SYMBOLS + sym[2:]
-        code = code[(sym[1:-1] != 0) | (sym[2:] != 0)]
-        flat += np.bincount(code, minlength=len(flat)) if len(code) > 50_000 else 0
-        if len(code) <= 50_000:
-            np.add.at(flat, code, 1)
+        lowered = f"  {text.lower()} "
+        for at in range(0, len(lowered) - 2, block):
+            cps = np.frombuffer(lowered[at : at + block + 2].encode("utf-32-le"), dtype=np.uint32)
+            ascii_letter = (cps >= 97) & (cps <= 122)
+            letter = ascii_letter | ((cps >= 0xC0) & (cps != 0xD7) & (cps != 0xF7) & ((cps < 0x2000) | (cps > 0x206F)))
+            sym = np.where(ascii_letter, cps.astype(np.int64) - 96, np.where(letter, 27 + cps % (N_SYMBOLS - 27), 0)).astype(np.int64)
+            code = (sym[:-2] * N_SYMBOLS + sym[1:-1]) * N_SYMBOLS + sym[2:]
+            code = code[(sym[1:-1] != 0) | (sym[2:] != 0)]
+            if len(code) > 50_000:
+                flat += np.bincount(code, minlength=len(flat))
+            else:
+                np.add.at(flat, code, 1)
     return flat
 
 
@@ -219,12 +222,13 @@ def corpus_char_model(docs: DataFrame, text_col: str = "text") -> CharModel:
                 if text:
                     part.append(text)
                     size += len(text)
-                if size > 1_000_000:
+                if size > 200_000:
                     total += trigram_counts([" ".join(part)])
                     part, size = [], 0
             if part:
                 total += trigram_counts([" ".join(part)])
         code = np.nonzero(total)[0]
+        release_memory()
         yield pa.RecordBatch.from_arrays([pa.array(code), pa.array(total[code])], names=["code", "n"])
 
     counts = np.zeros(N_SYMBOLS**3, dtype=np.int64)
@@ -261,6 +265,7 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, may_learn, char_model: Char
         for b in _slices(batches, 500):
             found = [list(restorer.features_of(t.as_py())) for t in b.column(1)]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(found, pa.list_(pa.string()))], names=["id", "y", "found"])
+        release_memory()
 
     seen = scratch.save(rows.mapInArrow(run, f"id {id_type}, y int, found array<string>"))
     totals = {r["y"]: r["n"] for r in seen.groupBy("y").agg(F.count(F.lit(1)).alias("n")).collect()}
@@ -303,6 +308,7 @@ def score_documents(docs: DataFrame, char_model: CharModel, model: ToxicModel, t
             scores = pa.array([model.score(restorer.features_of(x.as_py())) for x in b.column(at)], pa.float64())
             kept = [c for i, c in enumerate(b.columns) if keep_text or i != at]
             yield pa.RecordBatch.from_arrays([*kept, scores], names=names)
+        release_memory()
 
     return docs.select(*columns).mapInArrow(run, schema)
 
