@@ -192,10 +192,41 @@ def wide_fingerprints(docs: DataFrame, id_col: str, text_col: str, lanes: int, w
     return docs.select(F.col(id_col).cast("long").alias("id"), text_col).mapInArrow(run, schema)
 
 
-def bits_for_similarity(similarity: float, bits: int) -> int:
-    """Expected differing bits of two shingle sets of that Jaccard similarity."""
+def bits_for_similarity(similarity: float, bits: int) -> tuple[float, float]:
+    """Mean and standard deviation of the differing bits of two large shingle sets of that Jaccard similarity."""
     cosine = 2 * similarity / (1 + similarity)
-    return math.ceil(bits * math.acos(cosine) / math.pi)
+    share = math.acos(cosine) / math.pi
+    return bits * share, math.sqrt(bits * share * (1 - share))
+
+
+def shingle_sets(docs: DataFrame, ids: DataFrame, id_col: str, text_col: str, words: int, seed: int) -> DataFrame:
+    """``(id, s)``: the sorted distinct shingle hashes of the rows whose id is in ``ids(id)``, equal rows once."""
+    import xxhash
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        digest = xxhash.xxh64_intdigest
+        for b in batches:
+            for at in range(0, b.num_rows, 500):
+                part = b.slice(at, 500)
+                sets = [np.unique(np.fromiter((digest(x, seed) for x in shingles(t.as_py(), words)), dtype=np.uint64)).view(np.int64) for t in part.column(1)]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sets, pa.list_(pa.int64()))], names=["id", "s"])
+
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).join(ids, "id", "left_semi")
+    once = rows.groupBy("id", F.xxhash64("text"), F.xxhash64(F.lit(1), "text")).agg(F.first("text").alias("text"))
+    return once.select("id", "text").mapInArrow(run, "id long, s array<bigint>")
+
+
+def verified_pairs(doubtful: DataFrame, docs: DataFrame, id_col: str, text_col: str, similarity: float, words: int, seed: int, scratch: Scratch) -> DataFrame:
+    """The pairs ``(a, b)`` of ``doubtful`` whose shingle sets have that Jaccard similarity, counted from the whole texts.
+
+    ``b`` is joined first: a group's many pairs share their ``a``, whose set then stands on the single-row side.
+    """
+    ids = scratch.save(doubtful.select(F.explode(F.array("a", "b")).alias("id")).distinct())
+    sets = scratch.save(shingle_sets(docs, ids, id_col, text_col, words, seed))
+    held = doubtful.join(sets.select(F.col("id").alias("b"), F.col("s").alias("sb")), "b")
+    held = held.join(sets.select(F.col("id").alias("a"), F.col("s").alias("sa")), "a")
+    both, total = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
+    return held.where((both > 0) & (both * (1 + similarity) >= total * similarity - 1e-9)).select("a", "b")
 
 
 def _band_keys(lanes: int, band_bits: int, similarity: float) -> F.Column:
@@ -227,12 +258,14 @@ def _lane_chain(a, b, at, band_bits: int, limit: float, slack: int = 4) -> F.Col
     return ok
 
 
-def resembling(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = 0.8, words: int = 5, lanes: int = 8, band_bits: int = 16, hot: int = 8, spread: float = 0.8, seed: int = 42) -> DataFrame:
-    """``(id, component)``: groups of documents whose word shingles have about that Jaccard similarity or more.
+def resembling(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = 0.8, words: int = 5, lanes: int = 8, band_bits: int = 16, hot: int = 8, above: float = 2.0, below: float = 3.0, few: int = 64, seed: int = 42) -> DataFrame:
+    """``(id, component)``: groups of documents whose word shingles have that Jaccard similarity or more.
 
     The fingerprint has ``lanes`` words; a pair is a candidate when a band is equal and the chain along
-    that lane's ring stays within its budgets, and a link when the whole fingerprints differ in at most
-    the bits that the similarity lets expect and ``spread`` standard deviations more.  Texts of equal shingles are merged first.  Under a key of
+    that lane's ring stays within its budgets.  The differing bits of the whole fingerprints then decide:
+    ``below`` standard deviations under what the similarity lets expect it is a link, more than ``above``
+    over it is none, and in between, and where a text has fewer than ``few`` shingles, the shingle sets
+    of the whole texts are compared.  Texts of equal fingerprints and sizes are merged first.  Under a key of
     more than ``hot`` texts each text is compared with the least one and, under longer keys (the band and
     half of the next), with the others there, or again with the least if those are too many: the work is
     linear in a group, and groups come out as components.
@@ -240,8 +273,8 @@ def resembling(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     spark = docs.sparkSession
     scratch = Scratch(spark, "resembling")
     lane_cols = [f"w{k}" for k in range(lanes)]
-    expected = bits_for_similarity(similarity, lanes * BITS)
-    limit_bits = expected + math.ceil(spread * math.sqrt(expected * (1 - expected / (lanes * BITS))))
+    expected, deviation = bits_for_similarity(similarity, lanes * BITS)
+    limit_bits, sure_bits = math.ceil(expected + above * deviation), math.floor(expected - below * deviation)
     fps = scratch.save(wide_fingerprints(docs, id_col, text_col, lanes, words, seed))
     same = scratch.save(fps.groupBy("n", *lane_cols).agg(F.min("id").alias("rep")).where("rep is not null"))
     keyed = scratch.save(same.select("rep", F.explode(_band_keys(lanes, band_bits, similarity)).alias("k")).select("rep", "k.key", "k.word", "k.at"))
@@ -267,9 +300,12 @@ def resembling(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     for more in found[1:]:
         candidates = candidates.union(more)
     candidates = scratch.save(candidates.distinct())
-    end = lambda name: same.select(F.col("rep").alias(name), *[F.col(c).alias(f"{name}_{c}") for c in lane_cols])
+    end = lambda name: same.select(F.col("rep").alias(name), F.col("n").alias(f"{name}_n"), *[F.col(c).alias(f"{name}_{c}") for c in lane_cols])
     apart = sum((F.bit_count(F.col(f"a_{c}").bitwiseXOR(F.col(f"b_{c}"))) for c in lane_cols), F.lit(0))
-    edges = candidates.join(end("a"), "a").join(end("b"), "b").where(apart <= limit_bits).select("a", "b")
+    sure = (apart <= sure_bits) & (F.least("a_n", "b_n") >= few)
+    near_pairs = scratch.save(candidates.join(end("a"), "a").join(end("b"), "b").where(apart <= limit_bits).select("a", "b", sure.alias("sure")))
+    checked = verified_pairs(near_pairs.where("not sure").select("a", "b").distinct(), docs, id_col, text_col, similarity, words, seed, scratch)
+    edges = scratch.save(near_pairs.where("sure").select("a", "b").union(checked))
     linked = components(spark, edges, scratch=scratch)
     merged = scratch.save(same.join(linked, same.rep == linked.v, "left").select("n", *lane_cols, F.coalesce("component", "rep").alias("component")))
     return fps.where("id is not null").join(merged, ["n", *lane_cols]).select("id", "component")

@@ -231,3 +231,46 @@ def test_min_cut_is_minimal():
             return sum(max(o, 0) if not s else max(-o, 0) for o, s in zip(odds, side)) + sum(c for (i, j), c in edges.items() if side[i] != side[j])
 
         assert cost(htmltext.min_cut(odds, edges)) <= min(cost([bool(m >> i & 1) for i in range(n)]) for m in range(1 << n)) + 1e-9
+
+def test_resembling_against_brute_force(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    found = {r["id"]: r["component"] for r in simhash.resembling(docs).collect()}
+    sets = {r["doc_id"]: set(simhash.shingles(r["text"], 5)) for r in docs.collect()}
+    parent = {d: d for d in sets}
+
+    def root(d):
+        while parent[d] != d:
+            d = parent[d]
+        return d
+
+    ids = sorted(sets)
+    certain = []
+    for i, a in enumerate(ids):
+        for b in ids[i + 1 :]:
+            small, large = sorted((len(sets[a]), len(sets[b])))
+            if small < 0.8 * large:
+                continue
+            both = len(sets[a] & sets[b])
+            share = both / (small + large - both) if large else 1.0
+            if share >= 0.8:
+                parent[max(root(a), root(b))] = min(root(a), root(b))
+            if share >= 0.9:
+                certain.append((a, b))
+    assert found.keys() == sets.keys()
+    assert all(found[a] == found[b] for a, b in certain)
+    assert all(root(d) == root(found[d]) for d in ids)  # nothing is merged that the exact links do not connect
+
+
+def test_verified_pairs_repeated_rows(spark, tmp_path):
+    words = [f"w{i}" for i in range(40)]
+    rows = [(1, " ".join(words)), (1, " ".join(words)), (2, " ".join([*words[:-2], "x", "y"])), (3, " ".join([*words[:-9], *"abcdefghi"])), (4, None), (5, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    asked = spark.createDataFrame([(1, 2), (1, 3), (4, 5)], "a long, b long")
+    got = simhash.verified_pairs(asked, docs, "doc_id", "text", 0.8, 5, 42, simhash.Scratch(spark, "test")).collect()
+    assert [tuple(r) for r in got] == [(1, 2)]
+
+
+def test_trigram_blocks_are_exact():
+    text = "Ein Wort, zwei Wörter: größer; naïve café 12 x"
+    whole = toxicity.trigram_counts([text])
+    assert all((toxicity.trigram_counts([text], block=b) == whole).all() for b in (1, 3, 7))
