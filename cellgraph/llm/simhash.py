@@ -173,7 +173,7 @@ def simhash_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def wide_fingerprints(docs: DataFrame, id_col: str, text_col: str, lanes: int, words: int, seed: int) -> DataFrame:
-    """``(id, n, w0 .. w<lanes-1>)``: number of shingles and the lanes of the fingerprint."""
+    """``(id, n, w0 .. w<lanes-1>)``: number of distinct shingles and the lanes of the fingerprint."""
     names = ["id", "n", *[f"w{k}" for k in range(lanes)]]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -183,8 +183,7 @@ def wide_fingerprints(docs: DataFrame, id_col: str, text_col: str, lanes: int, w
             for i, t in enumerate(b.column(1)):
                 text = t.as_py()
                 fps[i] = wide_fingerprint(text, lanes, words, seed)
-                n_words = len(text.encode().split()) if text else 0
-                sizes[i] = max(n_words - words + 1, min(n_words, 1))
+                sizes[i] = len(set(shingles(text, words)))
             cols = [b.column(0), pa.array(sizes), *(pa.array(np.ascontiguousarray(fps[:, k]).view(np.int64)) for k in range(lanes))]
             yield pa.RecordBatch.from_arrays(cols, names=names)
 

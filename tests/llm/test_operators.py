@@ -274,3 +274,11 @@ def test_trigram_blocks_are_exact():
     text = "Ein Wort, zwei Wörter: größer; naïve café 12 x"
     whole = toxicity.trigram_counts([text])
     assert all((toxicity.trigram_counts([text], block=b) == whole).all() for b in (1, 3, 7))
+
+
+def test_resembling_repeated_passage(spark):
+    rng = random.Random(8)
+    once = " ".join(f"w{rng.randrange(900)}" for _ in range(300))
+    rows = [(1, once), (2, f"{once} {once}"), (3, " ".join([once] * 5)), (4, "a b c d e " * 40), (5, "a b c d e " * 90)]
+    got = {r["id"]: r["component"] for r in simhash.resembling(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: 1, 2: 1, 3: 1, 4: 4, 5: 4}
