@@ -54,21 +54,6 @@ def fingerprint(text: str | None, words: int = 3, seed: int = 42) -> int:
     return majority_bits(np.fromiter((digest(s, seed) for s in parts), dtype=np.uint64, count=len(parts)))
 
 
-def wide_fingerprint(text: str | None, lanes: int, words: int = 5, seed: int = 42) -> list[int]:
-    """``lanes`` 64-bit words over the distinct shingles; lane k uses a mixed copy of the one hash of each shingle."""
-    import xxhash
-
-    parts = set(shingles(text, words))
-    base = np.fromiter((xxhash.xxh64_intdigest(s, seed) for s in parts), dtype=np.uint64, count=len(parts))
-    out = []
-    for lane in range(lanes):
-        h = base * np.uint64(2 * lane + 1) + np.uint64((0x9E3779B97F4A7C15 * lane) & (2**64 - 1))
-        h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-        h = (h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-        out.append(majority_bits(h ^ (h >> np.uint64(31))))
-    return out
-
-
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, seed: int = 42) -> DataFrame:
     """``(id, fp)``; whole texts, one pass, no shuffle.  Null, empty and blank texts have fingerprint 0."""
 
@@ -172,30 +157,77 @@ def simhash_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- documents of high resemblance -------------------------------------------------------------
 
 
-def wide_fingerprints(docs: DataFrame, id_col: str, text_col: str, lanes: int, words: int, seed: int) -> DataFrame:
-    """``(id, n, w0 .. w<lanes-1>)``: number of distinct shingles and the lanes of the fingerprint."""
-    names = ["id", "n", *[f"w{k}" for k in range(lanes)]]
+def shingle_hashes(text: str | None, words: int, seed: int) -> np.ndarray:
+    """Sorted hashes of the distinct shingles."""
+    import xxhash
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            sizes = np.zeros(b.num_rows, dtype=np.int64)
-            fps = np.zeros((b.num_rows, lanes), dtype=np.uint64)
-            for i, t in enumerate(b.column(1)):
-                text = t.as_py()
-                fps[i] = wide_fingerprint(text, lanes, words, seed)
-                sizes[i] = len(set(shingles(text, words)))
-            cols = [b.column(0), pa.array(sizes), *(pa.array(np.ascontiguousarray(fps[:, k]).view(np.int64)) for k in range(lanes))]
-            yield pa.RecordBatch.from_arrays(cols, names=names)
+    digest = xxhash.xxh64_intdigest
+    return np.unique(np.fromiter((digest(s, seed) for s in shingles(text, words)), dtype=np.uint64))
 
-    schema = "id long, n long, " + ", ".join(f"w{k} long" for k in range(lanes))
-    return docs.select(F.col(id_col).cast("long").alias("id"), text_col).mapInArrow(run, schema)
 
+def common_shingles(docs: DataFrame, text_col: str, words: int, seed: int, at_least: int = 8, keep: int = 200_000, block: int = 2_000_000) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of frequent shingles, sorted, and their counts: what is repeated within blocks of texts, summed; the most frequent ``keep``.
 
-def bits_for_similarity(similarity: float, bits: int) -> tuple[float, float]:
-    """Mean and standard deviation of the differing bits of two large shingle sets of that Jaccard similarity."""
-    cosine = 2 * similarity / (1 + similarity)
-    share = math.acos(cosine) / math.pi
-    return bits * share, math.sqrt(bits * share * (1 - share))
+    It only sets an order of shingles, in which frequent ones come last.  Any order gives the same
+    links, so that counts may be low or missing.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def repeated(parts: list[np.ndarray]) -> pa.RecordBatch:
+            found, n = np.unique(np.concatenate(parts), return_counts=True)
+            return pa.RecordBatch.from_arrays([pa.array(found[n > 1].view(np.int64)), pa.array(n[n > 1])], names=["shingle", "n"])
+
+        parts, size = [], 0
+        for b in batches:
+            for t in b.column(0):
+                parts.append(shingle_hashes(t.as_py(), words, seed))
+                size += len(parts[-1])
+                if size > block:
+                    yield repeated(parts)
+                    parts, size = [], 0
+        if parts:
+            yield repeated(parts)
+
+    counts = docs.select(text_col).mapInArrow(run, "shingle long, n long").groupBy("shingle").agg(F.sum("n").alias("n")).where(F.col("n") >= at_least)
+    rows = counts.orderBy(F.desc("n"), "shingle").limit(keep).collect()
+    found = np.array([r["shingle"] for r in rows], dtype=np.int64).view(np.uint64)
+    order = np.argsort(found)
+    return found[order], np.array([r["n"] for r in rows], dtype=np.int64)[order]
+
+
+def rare_prefix(found: np.ndarray, common: tuple[np.ndarray, np.ndarray], similarity: float) -> np.ndarray:
+    """The first shingles, rare ones first, of which any other set of that similarity has one among its own first; none if only an equal set has it."""
+    n = len(found)
+    least = math.ceil(similarity * n - 1e-9)
+    if n == least and math.floor(n / similarity + 1e-9) == n:
+        return found[:0]
+    hashes, counts = common
+    weight = np.zeros(n, dtype=np.int64)
+    if len(hashes):
+        at = np.minimum(np.searchsorted(hashes, found), len(hashes) - 1)
+        weight = np.where(hashes[at] == found, counts[at], 0)
+    return found[np.argsort(weight, kind="stable")[: n - least + 1]]
+
+
+def shingle_prefixes(docs: DataFrame, id_col: str, text_col: str, similarity: float, words: int, seed: int, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
+    """``(id, n, d0, d1, prefix)``: number of distinct shingles, a 128-bit digest of their set, and its `rare_prefix`."""
+    import xxhash
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 500):
+                b = batch.slice(at, 500)
+                sizes, digests, prefixes = np.zeros(b.num_rows, dtype=np.int64), [], []
+                for i, t in enumerate(b.column(1)):
+                    found = shingle_hashes(t.as_py(), words, seed)
+                    sizes[i] = len(found)
+                    digests.append(xxhash.xxh3_128_digest(found.tobytes()))
+                    prefixes.append(rare_prefix(found, common, similarity).view(np.int64))
+                halves = np.frombuffer(b"".join(digests), dtype=np.int64).reshape(-1, 2)
+                cols = [b.column(0), pa.array(sizes), *(pa.array(np.ascontiguousarray(halves[:, k])) for k in (0, 1)), pa.array(prefixes, pa.list_(pa.int64()))]
+                yield pa.RecordBatch.from_arrays(cols, names=["id", "n", "d0", "d1", "prefix"])
+
+    return docs.select(F.col(id_col).cast("long").alias("id"), text_col).mapInArrow(run, "id long, n long, d0 long, d1 long, prefix array<bigint>")
 
 
 def shingle_sets(docs: DataFrame, ids: DataFrame, id_col: str, text_col: str, words: int, seed: int) -> DataFrame:
@@ -228,86 +260,69 @@ def verified_pairs(doubtful: DataFrame, docs: DataFrame, id_col: str, text_col:
     return held.where((both > 0) & (both * (1 + similarity) >= total * similarity - 1e-9)).select("a", "b")
 
 
-def _band_keys(lanes: int, band_bits: int, similarity: float) -> F.Column:
-    """Array of (key, word, at, cls): equal bands of texts of like length meet.
-
-    Shingle counts of texts of that similarity differ by at most that factor, so each text stands in its
-    own length class and the next: two such texts share one.
-    """
-    cls = F.when(F.col("n") > 0, F.floor(F.log(F.col("n").cast("double")) / F.lit(-math.log(similarity)))).otherwise(F.lit(-9)).cast("int")
-    out = []
-    for lane in range(lanes):
-        word = F.col(f"w{lane}")
-        for at in range(0, BITS, band_bits):
-            for step in (0, 1):
-                key = F.xxhash64(F.lit(lane * BITS + at), cls + step, _cut(word, at, band_bits))
-                out.append(F.struct(key.alias("key"), word.alias("word"), F.lit(at).alias("at")))
-    return F.array(*out)
-
-
-def _lane_chain(a, b, at, band_bits: int, limit: float, slack: int = 4) -> F.Column:
-    """Chain condition on one lane's ring of bands: the first equal, the first l together within the proportional budget."""
-    diff = a.bitwiseXOR(b)
-    turn = F.call_function
-    turned = turn("shiftrightunsigned", diff, at).bitwiseOR(F.when(at == 0, F.lit(0).cast("long")).otherwise(turn("shiftleft", diff, F.lit(BITS) - at)))
-    ok, spent = F.lit(True), F.lit(0)
-    for length in range(1, BITS // band_bits + 1):
-        spent = spent + F.bit_count(_cut(turned, (length - 1) * band_bits, band_bits))
-        ok = ok & (spent <= (0 if length == 1 else math.floor(length * band_bits * limit) + slack))
-    return ok
-
-
-def resembling(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = 0.8, words: int = 5, lanes: int = 8, band_bits: int = 16, hot: int = 8, above: float = 2.0, below: float = 3.0, few: int = 64, seed: int = 42) -> DataFrame:
-    """``(id, component)``: groups of documents whose word shingles have that Jaccard similarity or more.
-
-    The fingerprint has ``lanes`` words; a pair is a candidate when a band is equal and the chain along
-    that lane's ring stays within its budgets.  The differing bits of the whole fingerprints then decide:
-    ``below`` standard deviations under what the similarity lets expect it is a link, more than ``above``
-    over it is none, and in between, and where a text has fewer than ``few`` shingles, the shingle sets
-    of the whole texts are compared.  Texts of equal fingerprints and sizes are merged first.  Under a key of
-    more than ``hot`` texts each text is compared with the least one and, under longer keys (the band and
-    half of the next), with the others there, or again with the least if those are too many: the work is
-    linear in a group, and groups come out as components.
+def _may_resemble(a: str, b: str, similarity: float) -> F.Column:
+    """Whether two sets that share the shingle at these positions can have that similarity, by their sizes and by what stands before and after it."""
+    size_a, size_b, at_a, at_b = (F.col(f"{side}_{c}") for c in ("n", "pos") for side in (a, b))
+    both = F.least(at_a, at_b) + F.least(size_a - at_a, size_b - at_b)
+    return (F.least(size_a, size_b) >= F.greatest(size_a, size_b) * similarity - 1e-9) & (both * (1 + similarity) >= (size_a + size_b) * similarity - 1e-9)
+
+
+def _pairs_to_check(members: DataFrame, step: int, similarity: float, scratch: Scratch) -> DataFrame:
+    """Pairs ``(a, b)`` of different components ``c`` that share a key: with one member of the key in steps 0 and 1, all in step 2."""
+    order = F.col("rep") if step == 0 else F.xxhash64("key", "rep")
+    lead = F.min(F.struct(order.alias("o"), "rep", "n", "pos", "c")).alias("lead")
+    mixed = members.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.count(F.lit(1)).alias("size"), lead).where("lo < hi")
+    if step:
+        mixed = mixed.where("size > 2")  # two alone have met in step 0
+    mixed = scratch.save(mixed.select("key", *[F.col(f"lead.{c}").alias(f"x_{c}") for c in ("rep", "n", "pos", "c")]))
+    small = F.broadcast if mixed.count() <= 200_000 else (lambda df: df)
+    side = lambda name: [F.col(c).alias(f"{name}_{c}") for c in ("rep", "n", "pos", "c")]
+    if step < 2:
+        pairs = members.select("key", *side("y")).join(small(mixed), "key").where("x_c != y_c")
+    else:
+        crossing = scratch.save(members.join(small(mixed.select("key")), "key"))
+        pairs = crossing.select("key", *side("x")).join(crossing.select("key", *side("y")), "key").where("x_c < y_c")
+    return scratch.save(pairs.where(_may_resemble("x", "y", similarity)).select(F.least("x_rep", "y_rep").alias("a"), F.greatest("x_rep", "y_rep").alias("b")).distinct())
+
+
+def resembling(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = 0.8, words: int = 5, seed: int = 42) -> DataFrame:
+    """``(id, component)``: groups of documents connected by pairs whose sets of word shingles have that Jaccard similarity or more.
+
+    Texts of equal shingle sets are merged first.  Two different sets of that similarity have a shingle in
+    common among the first of each in any fixed order, here rare ones first; these are the join keys.  First
+    every text of a key is compared with one text of it, then those of other components with another one,
+    and then every two texts of a key that are still in different components.  So a group of close copies
+    costs linear work, and no pair is left out: each is compared or connected already.
+    Whole shingle sets decide.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "resembling")
-    lane_cols = [f"w{k}" for k in range(lanes)]
-    expected, deviation = bits_for_similarity(similarity, lanes * BITS)
-    limit_bits, sure_bits = math.ceil(expected + above * deviation), math.floor(expected - below * deviation)
-    fps = scratch.save(wide_fingerprints(docs, id_col, text_col, lanes, words, seed))
-    same = scratch.save(fps.groupBy("n", *lane_cols).agg(F.min("id").alias("rep")).where("rep is not null"))
-    keyed = scratch.save(same.select("rep", F.explode(_band_keys(lanes, band_bits, similarity)).alias("k")).select("rep", "k.key", "k.word", "k.at"))
-    found = []
-    for level in range(2):
-        busy, n_busy, mark = busy_keys(keyed, hot, scratch)
-        cold = keyed.join(mark(busy.select("key")), "key", "left_anti") if n_busy else keyed
-        left = cold.select("key", F.col("rep").alias("a"), F.col("word").alias("wa"), "at")
-        right = cold.select(F.col("key").alias("key_b"), F.col("rep").alias("b"), F.col("word").alias("wb"))
-        near = _lane_chain(F.col("wa"), F.col("wb"), F.col("at"), band_bits, limit_bits / (lanes * BITS))
-        found.append(left.join(right, (F.col("key") == F.col("key_b")) & (F.col("a") < F.col("b")) & near).select("a", "b"))
-        if not n_busy:
-            break
-        crowd = scratch.save(keyed.join(mark(busy), "key"))
-        found.append(crowd.where("leader < rep").select(F.col("leader").alias("a"), F.col("rep").alias("b")))
-        halves = []
-        for half in (0, 1):
-            shift = (F.col("at") + band_bits + half * band_bits // 2) % BITS
-            halves.append(F.xxhash64(F.lit(level * 2 + half), "key", F.call_function("shiftrightunsigned", F.col("word"), shift.cast("int")).bitwiseAND(F.lit((1 << band_bits // 2) - 1))))
-        if level == 0:
-            keyed = scratch.save(crowd.select("rep", F.explode(F.array(*halves)).alias("key"), "word", "at"))
-    candidates = found[0]
-    for more in found[1:]:
-        candidates = candidates.union(more)
-    candidates = scratch.save(candidates.distinct())
-    end = lambda name: same.select(F.col("rep").alias(name), F.col("n").alias(f"{name}_n"), *[F.col(c).alias(f"{name}_{c}") for c in lane_cols])
-    apart = sum((F.bit_count(F.col(f"a_{c}").bitwiseXOR(F.col(f"b_{c}"))) for c in lane_cols), F.lit(0))
-    sure = (apart <= sure_bits) & (F.least("a_n", "b_n") >= few)
-    near_pairs = scratch.save(candidates.join(end("a"), "a").join(end("b"), "b").where(apart <= limit_bits).select("a", "b", sure.alias("sure")))
-    checked = verified_pairs(near_pairs.where("not sure").select("a", "b").distinct(), docs, id_col, text_col, similarity, words, seed, scratch)
-    edges = scratch.save(near_pairs.where("sure").select("a", "b").union(checked))
-    linked = components(spark, edges, scratch=scratch)
-    merged = scratch.save(same.join(linked, same.rep == linked.v, "left").select("n", *lane_cols, F.coalesce("component", "rep").alias("component")))
-    return fps.where("id is not null").join(merged, ["n", *lane_cols]).select("id", "component")
+    shape = ["n", "d0", "d1"]
+    common = common_shingles(docs, text_col, words, seed)
+    sets = scratch.save(shingle_prefixes(docs, id_col, text_col, similarity, words, seed, common))
+    same = scratch.save(sets.groupBy(*shape).agg(F.min("id").alias("rep")).where("rep is not null"))
+    first = sets.join(same.select(F.col("rep").alias("id")).distinct(), "id", "left_semi")
+    keyed = first.select(F.col("id").alias("rep"), "n", F.posexplode("prefix").alias("pos", "key"))
+    shared = scratch.save(keyed.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("key"))
+    small = F.broadcast if shared.count() <= 500_000 else (lambda df: df)
+    members = scratch.save(keyed.join(small(shared), "key"))
+    edges, linked = spark.createDataFrame([], "a long, b long"), None
+    for step in range(3):
+        at = F.col("rep")
+        known = members
+        if linked is not None:
+            known, at = members.join(linked, members.rep == linked.v, "left"), F.coalesce("component", "rep")
+        known = scratch.save(known.select("key", "rep", "n", "pos", at.alias("c")))
+        pairs = _pairs_to_check(known, step, similarity, scratch)
+        scratch.drop(known)
+        if not pairs.limit(1).count():
+            continue
+        edges = scratch.save(edges.union(verified_pairs(pairs, docs, id_col, text_col, similarity, words, seed, scratch)))
+        linked = components(spark, edges, scratch=scratch)
+    if linked is None:
+        linked = components(spark, edges, scratch=scratch)
+    merged = scratch.save(same.join(linked, same.rep == linked.v, "left").select(*shape, F.coalesce("component", "rep").alias("component")))
+    return sets.where("id is not null").join(merged, shape).select("id", "component")
 
 
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:

@@ -282,3 +282,40 @@ def test_resembling_repeated_passage(spark):
     rows = [(1, once), (2, f"{once} {once}"), (3, " ".join([once] * 5)), (4, "a b c d e " * 40), (5, "a b c d e " * 90)]
     got = {r["id"]: r["component"] for r in simhash.resembling(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == {1: 1, 2: 1, 3: 1, 4: 4, 5: 4}
+
+
+def _groups_by_all_pairs(texts, similarity=0.8):
+    sets = {i: set(simhash.shingles(t, 5)) for i, t in texts}
+    root = {i: i for i in sets}
+    for i in sets:
+        for j in sets:
+            if i < j and len(sets[i] & sets[j]) >= similarity * len(sets[i] | sets[j]) - 1e-9 and root[i] != root[j]:
+                low, high = sorted((root[i], root[j]))
+                root = {k: low if r == high else r for k, r in root.items()}
+    return root
+
+
+def _resembling_groups(spark, rows):
+    return {r["id"]: r["component"] for r in simhash.resembling(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+
+
+def test_resembling_crowded_keys(spark):
+    rng = random.Random(9)
+    passage = [f"p{i}" for i in range(80)]
+    texts = []
+    for _ in range(60):  # a passage in all of them, and the rest in pairs
+        own = [f"w{rng.randrange(10**6)}" for _ in range(50)]
+        other = list(own)
+        for at in (10, 25, 48):
+            other[at] = f"w{rng.randrange(10**6)}"
+        texts += [passage + own, passage + other]
+    for _ in range(80):  # near copies that are not all near each other
+        copy = list(passage)
+        for _ in range(rng.randrange(4)):
+            copy[rng.randrange(80)] = f"x{rng.randrange(9)}"
+        texts.append(copy)
+    rng.shuffle(texts)
+    rows = [(i, " ".join(t)) for i, t in enumerate(texts)]
+    want = _groups_by_all_pairs(rows)
+    assert len(set(want.values())) > 60
+    assert _resembling_groups(spark, rows) == want
