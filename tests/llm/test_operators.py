@@ -319,3 +319,12 @@ def test_resembling_crowded_keys(spark):
     want = _groups_by_all_pairs(rows)
     assert len(set(want.values())) > 60
     assert _resembling_groups(spark, rows) == want
+
+
+def test_resembling_short_texts_at_the_limit(spark):
+    rng = random.Random(10)
+    rows = []
+    for i in range(0, 120, 2):  # 4 of 5 shingles, 8 of 10
+        words = [f"w{rng.randrange(10**6)}" for _ in range(rng.choice((8, 12)))]
+        rows += [(i, " ".join(words)), (i + 1, " ".join([*words, *("end again".split()[: len(words) // 6])]))]
+    assert _resembling_groups(spark, rows) == _groups_by_all_pairs(rows) == {i: i - i % 2 for i, _ in rows}
