@@ -36,6 +36,10 @@ _SPACED = re.compile(r"(?<!\S)(?:[^\W_]|[@$!|+(]|[0-9])(?:[ .\-_*·~]{1,2}(?:[^\
 _EDGE = re.compile(r"^[^\w@$!|+(<€£¡]+|(?:[^\w@$+€]+|([@$+€])\1{2,})+\Z")
 _TOKEN = re.compile(r"\S+")
 _WORDS = re.compile(r"[^\W\d_]+")
+_GAP = re.compile(r"[ .\-_*·~]")
+_WIDE_GAP = re.compile(r"[ .\-_*·~]{2}")
+_BREAK = re.compile(r"(?:[^\w@$!|+(<€£¡]|_)+")
+_BREAK_AT = {c: re.compile(re.escape(c) + "+") for c in SEPARATORS}
 
 
 def symbol(ch: str) -> int:
@@ -107,12 +111,16 @@ def lattice(token: str) -> list[list[tuple[str, float]]]:
     return out
 
 
-def decode(token: str, model: CharModel) -> str:
-    """The likeliest reading of a lower-cased token."""
-    best = {(0, 0): (0.0, "")}
+def decode(token: str, model: CharModel, breaks: bool = False) -> str:
+    """The likeliest reading of a lower-cased token of any length; with ``breaks`` in words, with a space between them."""
+    best: dict[tuple[int, int], tuple[float, tuple | None]] = {(0, 0): (0.0, None)}
     log = model.log
     for column in lattice(token):
-        reached: dict[tuple[int, int], tuple[float, str]] = {}
+        if breaks:
+            total, read, a, b = max(((t + log[a][b][0], r, a, b) for (a, b), (t, r) in best.items() if b), default=(-math.inf, None, 0, 0), key=lambda x: x[0])
+            if b and ((old := best.get((0, 0))) is None or total > old[0]):
+                best[(0, 0)] = (total, (read, " "))
+        reached: dict[tuple[int, int], tuple[float, tuple | None]] = {}
         for (a, b), (total, read) in best.items():
             for letters, cost in column:
                 x, y, value = a, b, total + cost
@@ -121,9 +129,14 @@ def decode(token: str, model: CharModel) -> str:
                     value += log[x][y][c] + 2.0  # the bonus offsets what every further letter costs, so that nothing is not favoured
                     x, y = y, c
                 if (old := reached.get((x, y))) is None or value > old[0]:
-                    reached[(x, y)] = (value, read + letters)
+                    reached[(x, y)] = (value, (read, letters) if letters else read)
         best = reached
-    return max((total + log[a][b][0], read) for (a, b), (total, read) in best.items())[1]
+    read = max(((total + (log[a][b][0] if b or not breaks else 0.0), read) for (a, b), (total, read) in best.items()), key=lambda x: x[0])[1]
+    out = []
+    while read is not None:  # readings are kept as links to what comes before
+        read, letters = read
+        out.append(letters)
+    return "".join(reversed(out)).strip()
 
 
 def features(word: str) -> list[str]:
@@ -134,12 +147,12 @@ def features(word: str) -> list[str]:
 class Restorer:
     """Texts to restored words and their features; remembers what up to ``memory`` tokens gave.
 
-    With ``wanted``, only those features are given.  Tokens of more than ``longest`` characters are not
-    decoded as a whole, only cut into their words.
+    With ``wanted``, only those features are given.  Tokens of any length are decoded, as a whole and
+    in the parts between their separators.
     """
 
-    def __init__(self, model: CharModel, wanted: frozenset[str] | None = None, memory: int = 120_000, longest: int = 40):
-        self.model, self.wanted, self.memory, self.longest, self.known = model, wanted, memory, longest, {}
+    def __init__(self, model: CharModel, wanted: frozenset[str] | None = None, memory: int = 120_000):
+        self.model, self.wanted, self.memory, self.known = model, wanted, memory, {}
 
     def token_words(self, token: str) -> tuple[str, ...]:
         core = _EDGE.sub("", token)
@@ -148,10 +161,27 @@ class Restorer:
         if _PLAIN(core) and not _TRIPLE(core):
             return (core,)
         pieces = tuple(w for w in _WORDS.findall(core) if len(w) > 1)
-        if len(core) > self.longest or not any(c.isalpha() for c in core):
+        if not any(c.isalpha() for c in core):
             return pieces
-        whole = decode(core, self.model)
-        return (whole, *pieces) if whole and whole not in pieces else pieces
+        more = dict.fromkeys(decode(part, self.model) for part in (core, *self._parts(core)))
+        return (*(w for w in more if w and w not in pieces), *pieces)
+
+    def _parts(self, core: str) -> set[str]:
+        """What stands between separators and is no plain word; single characters in a row are one part, its separators left out."""
+        found = set()
+        for cut in (_BREAK, *(_BREAK_AT[c] for c in SEPARATORS if c in core)):
+            row = ""
+            for part in (*cut.split(core), ""):
+                if len(part) == 1:
+                    row += part
+                    continue
+                if len(row) > 2:
+                    found.add(row)
+                row = ""
+                part = _EDGE.sub("", part)
+                if part != core and len(part) > 1 and not (_PLAIN(part) and not _TRIPLE(part)) and any(c.isalpha() for c in part):
+                    found.add(part)
+        return found
 
     def _features(self, words: Iterable[str]) -> tuple[str, ...]:
         return tuple(f for w in words for f in features(w) if self.wanted is None or f in self.wanted)
@@ -174,9 +204,10 @@ class Restorer:
             if found:
                 out.update(found)
         for m in _SPACED.finditer(text):
-            joined = re.sub(r"[ .\-_*·~]", "", m[0])
-            if len(joined) <= self.longest:
-                out.update(self._features([decode(joined, self.model)]))
+            joined = _GAP.sub("", m[0])
+            out.update(self._features([decode(joined, self.model), *decode(joined, self.model, breaks=True).split()]))
+            if len(words := _WIDE_GAP.split(m[0])) > 1:
+                out.update(self._features(decode(_GAP.sub("", w), self.model) for w in words))
         out.discard("")
         return out
 

@@ -328,3 +328,14 @@ def test_resembling_short_texts_at_the_limit(spark):
         words = [f"w{rng.randrange(10**6)}" for _ in range(rng.choice((8, 12)))]
         rows += [(i, " ".join(words)), (i + 1, " ".join([*words, *("end again".split()[: len(words) // 6])]))]
     assert _resembling_groups(spark, rows) == _groups_by_all_pairs(rows) == {i: i - i % 2 for i, _ in rows}
+
+
+def test_deobfuscation_of_any_length():
+    words = "you are an idiot moron scum stupid pathetic clown loser the and of trash other people some thing".split() * 200
+    restorer = toxicity.Restorer(toxicity.CharModel(toxicity.trigram_counts([" ".join(words)])))
+    for token in ("m" + "o" * 60 + "ron", "some-other-people.and-the-thing/m0r0n/of-other-people", "the-people-m.0.r.0.n-some-thing-and-other-people", "other_thing_" * 9 + "m0r0n_the"):
+        assert len(token) > 40 and "moron" in restorer.features_of(token), token
+    letters = "you are an idiot and the other people are some trash and pathetic loser".split()
+    for gap in (" ", "  "):
+        assert {"idiot", "trash", "pathetic", "loser"} <= restorer.features_of(gap.join(" ".join(w) for w in letters)), gap
+    assert "moron" in restorer.features_of("ab-" * 20_000 + "m0r0n")
