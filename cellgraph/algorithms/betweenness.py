@@ -1,47 +1,49 @@
-"""Betweenness centrality from chosen sources (all of them: exact; some: the sum over those)."""
+"""Betweenness centrality from all sources (exact) or chosen ones (the sum over those)."""
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cellgraph.algorithms.traversal import sssp_vertex
 from cellgraph.graph import Graph
 from cellgraph.scratch import Scratch
 
 
-def betweenness(g: Graph, sources: list[int]) -> DataFrame:
-    """``(vid, score)``: shortest-path dependencies summed over the sources; ordered pairs, ends not counted.
+def betweenness(g: Graph, sources: list[int] | None = None, batch_pairs: int = 200_000_000) -> DataFrame:
+    """``(vid, score)``: shortest-path dependencies summed over the sources, all vertices if none are given; ordered pairs, ends not counted.
 
-    Per source: levels by breadth-first search, path counts level by level outwards, dependencies back
-    inwards.  Unit weights, parallel arcs count once.
+    Rows are keyed by source, so that all sources of a batch go together: path counts level by level
+    outwards, dependencies back inwards.  A batch has at most ``batch_pairs`` pairs of source and
+    vertex.  Unit weights, parallel arcs count once.
     """
     scratch = Scratch(g.vertices.sparkSession, "betweenness")
     arcs = scratch.save(g.arcs().where("src <> dst").select("src", "dst").distinct())
-    total = scratch.save(g.vertices.select("vid", F.lit(0.0).alias("score")))
-    for source in sources:
-        dist, _ = sssp_vertex(g, [source])
-        dist = scratch.save(dist)
-        deepest = dist.agg(F.max("dist")).first()[0] or 0
-        d0, d1 = dist.select(F.col("vid").alias("src"), F.col("dist").alias("d0")), dist.select(F.col("vid").alias("dst"), F.col("dist").alias("d1"))
-        tight = scratch.save(arcs.join(d0, "src").join(d1, "dst").where("d1 = d0 + 1"))
-        paths = scratch.save(dist.where("dist = 0").select("vid", F.lit(1.0).alias("paths")))
-        layers = [paths]
-        for level in range(1, deepest + 1):
-            step = tight.where(F.col("d1") == level).join(layers[-1].withColumnRenamed("vid", "src"), "src")
-            layers.append(scratch.save(step.groupBy(F.col("dst").alias("vid")).agg(F.sum("paths").alias("paths"))))
-        lean = layers[-1].select("vid", F.lit(0.0).alias("lean"))
-        all_lean = [lean]
-        for level in range(deepest, 0, -1):
-            below = layers[level].join(lean, "vid").select(F.col("vid").alias("dst"), ((1 + F.col("lean")) / F.col("paths")).alias("share"))
-            back = tight.where(F.col("d1") == level).join(below, "dst").groupBy(F.col("src").alias("vid")).agg(F.sum("share").alias("share"))
-            lean = scratch.save(layers[level - 1].join(back, "vid", "left").select("vid", (F.col("paths") * F.coalesce("share", F.lit(0.0))).alias("lean")))
-            if level > 1:
-                all_lean.append(lean)
-        added = all_lean[0] if deepest else all_lean[0].where("false")
-        for more in all_lean[1:]:
-            added = added.union(more)
-        nxt = scratch.save(total.join(added, "vid", "left").select("vid", (F.col("score") + F.coalesce("lean", F.lit(0.0))).alias("score")))
-        scratch.drop(total, tight, *layers)
-        total = nxt
-    return total
+    vertices = scratch.save(g.vertices.select("vid").distinct())
+    starts = vertices if sources is None else vertices.where(F.col("vid").isin(sources))
+    batches = max(1, -(-starts.count() * vertices.count() // batch_pairs))
+    parts = []
+    for k in range(batches):
+        mine = starts.where(F.pmod(F.xxhash64("vid"), F.lit(batches)) == k)
+        layers = [scratch.save(mine.select(F.col("vid").alias("source"), "vid", F.lit(1.0).alias("paths")))]
+        while True:
+            reached = layers[-1].join(arcs, F.col("vid") == F.col("src")).groupBy("source", F.col("dst").alias("vid")).agg(F.sum("paths").alias("paths"))
+            seen = reduce(DataFrame.union, [x.select("source", "vid") for x in layers])
+            layer = scratch.save(reached.join(seen, ["source", "vid"], "left_anti"))
+            if not layer.limit(1).count():
+                break
+            layers.append(layer)
+        lean, found = layers[-1].select("source", "vid", F.lit(0.0).alias("lean")), []
+        for level in range(len(layers) - 1, 1, -1):
+            share = layers[level].join(lean, ["source", "vid"]).select("source", F.col("vid").alias("dst"), ((1 + F.col("lean")) / F.col("paths")).alias("share"))
+            back = share.join(arcs, "dst").groupBy("source", F.col("src").alias("vid")).agg(F.sum("share").alias("share"))
+            lean = scratch.save(layers[level - 1].join(back, ["source", "vid"], "left").select("source", "vid", (F.col("paths") * F.coalesce("share", F.lit(0.0))).alias("lean")))
+            found.append(lean)
+        if found:
+            parts.append(scratch.save(reduce(DataFrame.union, found).groupBy("vid").agg(F.sum("lean").alias("lean"))))
+        scratch.drop(*layers, *found)
+    if not parts:
+        return vertices.select("vid", F.lit(0.0).alias("score"))
+    total = reduce(DataFrame.union, parts).groupBy("vid").agg(F.sum("lean").alias("lean"))
+    return scratch.save(vertices.join(total, "vid", "left").select("vid", F.coalesce("lean", F.lit(0.0)).alias("score")))

@@ -271,8 +271,7 @@ def _(s, d):
 
 @query("betweenness_exact_conv")
 def _(s, d):
-    g = fixtures.conv_turns(s, d)
-    return _rounded(bc.betweenness(g, [r["vid"] for r in g.vertices.orderBy("vid").limit(8).collect()]), "score")
+    return _rounded(bc.betweenness(fixtures.conv_turns(s, d)), "score")
 
 
 # --- ranks -------------------------------------------------------------------------------------------------
