@@ -1,11 +1,12 @@
 """Packing token sequences into windows by Karmarkar-Karp multiway differencing.
 
 Every partition is packed on its own, so no token is shuffled.  A document longer than a window
-fills whole windows; what is left of it is cut into short pieces.  When the pieces of a lot come to
+fills whole windows; what is left of it is one piece.  When the pieces of a lot come to
 ``lot_windows`` windows, they are dealt to m of them by differencing: each piece starts as a partial
 partition of m windows, and the two partial partitions of largest imbalance are merged with their
-windows in opposing order, until one is left.  m starts at the least number that could hold the lot
-and rises whenever a window comes out above its capacity.
+windows in opposing order, until one is left.  m starts at the least number that could hold the lot.
+A window that comes out above its capacity has its largest piece cut at the excess and the lot is
+dealt again; if that has not helped after a few times, m rises.
 """
 
 from __future__ import annotations
@@ -57,32 +58,42 @@ def difference(sizes: list[int], m: int) -> list[list[int]]:
     return windows + [[] for _ in range(m - len(windows))]
 
 
-def balanced_windows(sizes: list[int], capacity: int) -> list[list[int]]:
-    """`difference` with the fewest windows, counted up from the least possible, that all keep to the capacity."""
-    total = sum(sizes)
-    m = max(1, -(-total // capacity))
-    while True:
-        windows = difference(sizes, m)
-        worst = max((sum(sizes[i] for i in w) for w in windows), default=0)
-        if worst <= capacity:
-            return [w for w in windows if w]
-        m += max(1, -(-(worst - capacity) * m // (8 * capacity)))
-
+def balanced_windows(sizes: list[int], capacity: int, cuts: int = 3) -> list[list[tuple[int, int, int]]]:
+    """Windows of ``(item, start, length)`` by `difference`, none above the capacity; every item lies in them once.
 
-def remainder_pieces(length: int, piece: int) -> list[int]:
-    """Lengths of the pieces of a document's rest: full pieces and one shorter."""
-    whole, rest = divmod(length, piece)
-    return [piece] * whole + ([rest] if rest else [])
+    With the fewest windows that could hold all, items are cut only where a window is too full, in up to
+    ``cuts`` rounds; then the number of windows rises until all keep to the capacity.
+    """
+    pieces = [(i, 0, n) for i, n in enumerate(sizes)]
+    m = max(1, -(-sum(sizes) // capacity))
+    while True:
+        windows = difference([n for _, _, n in pieces], m)
+        loads = [sum(pieces[i][2] for i in w) for w in windows]
+        full = [k for k, load in enumerate(loads) if load > capacity]
+        if not full:
+            return [[pieces[i] for i in w] for w in windows if w]
+        if cuts > 0:
+            cuts -= 1
+            for k in full:
+                largest = max(windows[k], key=lambda i: (pieces[i][2], i))
+                item, start, n = pieces[largest]
+                over = min(loads[k] - capacity, n - 1)
+                if over > 0:
+                    pieces[largest] = (item, start, n - over)
+                    pieces.append((item, start + n - over, over))
+        else:
+            worst = max(loads)
+            m += max(1, -(-(worst - capacity) * m // (8 * capacity)))
 
 
 class Packer:
     """Packs the documents of one partition as they come; holds at most one lot of piece records."""
 
-    def __init__(self, partition: int, window: int, piece: int, lot_windows: int):
+    def __init__(self, partition: int, window: int, lot_windows: int):
         self.next_sequence = partition << 32
-        self.window, self.piece, self.lot = window, piece, lot_windows * window
+        self.window, self.lot = window, lot_windows * window
         self.records: list[tuple] = []
-        self.waiting: list[tuple] = []
+        self.waiting: list[tuple] = []  # (doc_id, start, bytes of the ids, total)
         self.waiting_tokens = 0
 
     def _window(self, pieces: list[tuple]) -> None:
@@ -95,22 +106,24 @@ class Packer:
     def add(self, doc_id: int | None, ids: np.ndarray) -> None:
         total, start = len(ids), 0
         raw = ids.astype("<u4", copy=False).tobytes()
-        cut = lambda a, n: (doc_id, a, n, zlib.crc32(raw[4 * a : 4 * (a + n)]), total)
         while total - start >= self.window:
-            self._window([cut(start, self.window)])
+            self._window([(doc_id, start, self.window, zlib.crc32(raw[4 * start : 4 * (start + self.window)]), total)])
             start += self.window
-        for n in remainder_pieces(total - start, self.piece):
-            self.waiting.append(cut(start, n))
-            start += n
-            self.waiting_tokens += n
+        if start < total:
+            self.waiting.append((doc_id, start, raw[4 * start :], total))
+            self.waiting_tokens += total - start
         if self.waiting_tokens >= self.lot:
             self.flush()
 
     def flush(self) -> None:
         if not self.waiting:
             return
-        for window in balanced_windows([p[2] for p in self.waiting], self.window):
-            self._window(sorted((self.waiting[i] for i in window), key=lambda p: (p[0] is None, p[0] or 0, p[1])))
+        for window in balanced_windows([len(w[2]) // 4 for w in self.waiting], self.window):
+            pieces = []
+            for item, at, n in window:
+                doc_id, start, raw, total = self.waiting[item]
+                pieces.append((doc_id, start + at, n, zlib.crc32(raw[4 * at : 4 * (at + n)]), total))
+            self._window(sorted(pieces, key=lambda p: (p[0] is None, p[0] or 0, p[1])))
         self.waiting, self.waiting_tokens = [], 0
 
     def take(self) -> list[tuple]:
@@ -121,14 +134,23 @@ class Packer:
 FIELDS = {"doc_id": pa.int64(), "start": pa.int64(), "length": pa.int64(), "ids_crc32": pa.int64(), "doc_tokens": pa.int64(), "sequence_id": pa.int64(), "offset": pa.int64()}
 
 
+#: Texts of more characters go to the slower library; no run inside a shorter one reaches the fast one's limit.
+LONG = 300_000
+
+
 def make_encoder(tokenizer_json: str):
     """text -> token ids as an array: the ids that the library ``tokenizers`` gives without added specials.
 
-    Plain byte-level BPE files run on the faster library ``tiktoken``, which gives the same ids (tested over every code
-    point); any other file runs on ``tokenizers`` itself.
+    Texts of plain byte-level BPE files run on the faster library ``tiktoken``, which gives the same ids (tested over
+    every code point).  Its pattern matcher gives up within a run of about a million white-space characters, so texts
+    of over ``LONG`` characters run on ``tokenizers`` itself, as do all texts of any other file.
     """
     import json
 
+    from tokenizers import Tokenizer
+
+    library = Tokenizer.from_str(tokenizer_json)
+    whole = lambda text: np.array(library.encode(text, add_special_tokens=False).ids, dtype=np.uint32)
     spec = json.loads(tokenizer_json)
     pre, model = spec.get("pre_tokenizer") or {}, spec["model"]
     plain = pre.get("type") == "ByteLevel" and not pre.get("add_prefix_space") and pre.get("use_regex", True) and not spec.get("normalizer") and not model.get("ignore_merges")
@@ -143,26 +165,24 @@ def make_encoder(tokenizer_json: str):
         in_order = all(model["vocab"][a] < model["vocab"][b] for a, b in zip(merged, merged[1:], strict=False))
         if in_order and len(ranks) == len(merged) + 256:
             encoding = tiktoken.Encoding("byte_bpe", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens=special)
-            return lambda text: encoding.encode_to_numpy(text, allowed_special="all")
-    from tokenizers import Tokenizer
-
-    library = Tokenizer.from_str(tokenizer_json)
-    return lambda text: np.array(library.encode(text, add_special_tokens=False).ids, dtype=np.uint32)
+            return lambda text: encoding.encode_to_numpy(text, allowed_special="all") if len(text) <= LONG else whole(text)
+    return whole
 
 
-def pack_documents(docs: DataFrame, tokenizer_json: str, id_col: str = "doc_id", text_col: str = "text", window: int = 1024, piece: int = 128, lot_windows: int = 256, end_id: int = 0) -> DataFrame:
+def pack_documents(docs: DataFrame, tokenizer_json: str, id_col: str = "doc_id", text_col: str = "text", window: int = 1024, lot_windows: int = 512, end_id: int = 0) -> DataFrame:
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset.
 
     A document is its ids and then ``end_id``; a null or empty text is that id alone.  Each id lies in
     exactly one piece, sequences hold at most ``window`` ids and offsets are gapless.  sequence_id is the
     input partition's number times 2^32 plus a count.  Repeated rows are packed as often as they come.
-    Only the last window lot of each partition may be loosely filled.
+    Only the last window lot of each partition may be loosely filled.  Texts of any length and any characters
+    are encoded whole; an empty table gives an empty result, other columns are ignored.
     """
     key = str(hash(tokenizer_json))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = worker_state("encoder", key, lambda: make_encoder(tokenizer_json))
-        packer = Packer(TaskContext.get().partitionId(), window, piece, lot_windows)
+        packer = Packer(TaskContext.get().partitionId(), window, lot_windows)
 
         def out() -> pa.RecordBatch:
             cols = zip(*packer.take(), strict=True)

@@ -69,14 +69,6 @@ def test_packing_round_trip(spark, awkward, empty):
     assert packing.pack_documents(empty, _bpe()).count() == 0
 
 
-def test_differencing_is_a_partition():
-    rng = random.Random(2)
-    sizes = [rng.randrange(1, 129) for _ in range(700)]
-    windows = packing.balanced_windows(sizes, 1024)
-    assert sorted(i for w in windows for i in w) == list(range(700)) and max(sum(sizes[i] for i in w) for w in windows) <= 1024
-    assert len(windows) <= -(-sum(sizes) // 1024) + 2
-
-
 def test_mixing(spark, awkward, empty):
     rows = [(i, f"s{i % 3}" if i % 7 else None, i % 11) for i in range(400)]
     got = mixing.mix(spark.createDataFrame(rows, "doc_id long, source string, size long")).collect()
