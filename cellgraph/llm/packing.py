@@ -11,9 +11,11 @@ dealt again; if that has not helped after a few times, m rises.
 
 from __future__ import annotations
 
+import bisect
 import heapq
 import zlib
 from collections.abc import Iterator
+from operator import itemgetter
 
 import numpy as np
 import pyarrow as pa
@@ -33,28 +35,35 @@ def difference(sizes: list[int], m: int) -> list[list[int]]:
     """
     if m == 1:
         return [list(range(len(sizes)))]
-    # a partition: (sums ascending-padded to m) represented by its non-zero loads, normalised by its least load
-    heap = [(-s, i, [(s, [i])]) for i, s in enumerate(sizes)]
+    # a partial partition: negated loads, ascending (heaviest first), and the items of each
+    heap = [(-s, i, [-s], [[i]]) for i, s in enumerate(sizes)]
     heapq.heapify(heap)
     serial = len(sizes)
     while len(heap) > 1:
-        _, _, a = heapq.heappop(heap)
-        _, _, b = heapq.heappop(heap)
-        # a heaviest first, b lightest first: its loads meet a's lightest windows
-        room = m - len(a)
-        if len(b) <= room:
-            merged = a + b
-        else:
-            split = len(b) - room  # the heaviest b go to a's empty windows, the others meet a's lightest
-            merged = a[: len(a) - split] + b[:room]
-            for (x, xs), (y, ys) in zip(reversed(a[len(a) - split :]), b[room:], strict=True):
-                xs.extend(ys)
-                merged.append((x + y, xs))
-        merged.sort(key=lambda w: -w[0])
-        spread = merged[0][0] - (merged[-1][0] if len(merged) == m else 0)
-        heapq.heappush(heap, (-spread, serial, merged))
+        _, _, loads, items = heapq.heappop(heap)
+        _, _, other, its = heapq.heappop(heap)
+        if len(loads) < len(other):
+            loads, items, other, its = other, its, loads, items
+        if len(other) == 1:  # one load meets an empty window, or the lightest
+            load, own = other[0], its[0]
+            if len(loads) == m:
+                load += loads.pop()
+                own = [*items.pop(), *own]
+            at = bisect.bisect_right(loads, load)
+            loads.insert(at, load)
+            items.insert(at, own)
+        else:  # the heaviest of the other meet empty windows, then the lightest
+            room = min(m - len(loads), len(other))
+            meet = len(other) - room
+            kept = len(loads) - meet
+            pairs = [*zip(loads[:kept], items[:kept], strict=True), *zip(other[:room], its[:room], strict=True)]
+            for k in range(meet):
+                pairs.append((loads[-1 - k] + other[room + k], [*items[-1 - k], *its[room + k]]))
+            pairs.sort(key=itemgetter(0))
+            loads, items = [load for load, _ in pairs], [x for _, x in pairs]
+        heapq.heappush(heap, (loads[0] - (loads[-1] if len(loads) == m else 0), serial, loads, items))
         serial += 1
-    windows = [items for _, items in heap[0][2]] if heap else []
+    windows = heap[0][3] if heap else []
     return windows + [[] for _ in range(m - len(windows))]
 
 
