@@ -4,81 +4,99 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cellgraph.cells import CellGraph
+from cellgraph.engine.cellprog import CellProgram, Context, Part, run_cell_program
 from cellgraph.engine.loop import Run
 from cellgraph.graph import Graph
 from cellgraph.scratch import Scratch
 
 
-def _iterate(spread, vertices: DataFrame, iterations: int | None, damping: float, dangling: str, tol: float | None, seed: DataFrame | None, scratch: Scratch, cut_every: int) -> tuple[DataFrame, Run, list[float]]:
-    """``spread(ranks(vid, rank, degree))`` gives ``(vid, got)`` and, if counted, the messages of the round."""
-    run, deltas = Run(), []
-    n = vertices.count()
-    if not n:
-        return vertices.select("vid", F.lit(0.0).alias("rank")), run, deltas
-    first = F.lit(1.0 / n) if seed is None else F.coalesce("seed", F.lit(0.0))
-    base = vertices if seed is None else vertices.join(seed.select("vid", F.col("rank").alias("seed")), "vid", "left")
-    ranks = scratch.save(base.select("vid", first.alias("rank"), "degree"))
-    stored = ranks
-    round_no = 0
-    while iterations is None or round_no < iterations:
-        round_no += 1
-        got, sent = spread(ranks)
-        lost = F.lit(0.0)
-        if dangling == "redistribute":
-            loose = ranks.where("degree = 0").agg(F.coalesce(F.sum("rank"), F.lit(0.0)).alias("loose"))
-            ranks = ranks.crossJoin(F.broadcast(loose))  # a single row
-            lost = F.col("loose") / n
-        value = F.lit((1 - damping) / n) + F.lit(damping) * (F.coalesce("got", F.lit(0.0)) + lost)
-        nxt = ranks.join(got, "vid", "left").select("vid", value.alias("rank"), "degree", F.abs(value - F.col("rank")).alias("moved"))
-        if tol is None and round_no % cut_every and round_no != iterations:
-            ranks = nxt.drop("moved")
-            run.step(sent, sent)
-            continue
-        nxt = scratch.save(nxt)
-        run.step(sent, sent)
-        if tol is not None:
-            deltas.append(nxt.agg(F.sum("moved")).first()[0])
-        scratch.drop(stored)
-        stored, ranks = nxt, nxt.drop("moved")
-        if tol is not None and deltas[-1] < tol:
-            break
-    return ranks.select("vid", "rank"), run, deltas
-
-
-def pagerank_vertex(g: Graph, iterations: int | None = 30, damping: float = 0.85, dangling: str = "redistribute", tol: float | None = None, seed: DataFrame | None = None, cut_every: int = 5) -> tuple[DataFrame, Run, list[float]]:
-    """Rank by vertex messages.  ``dangling``: 'leak' loses the rank of vertices without out-arcs, 'redistribute' spreads it.
+def pagerank_vertex(g: Graph, iterations: int | None = 30, damping: float = 0.85, dangling: str = "redistribute", tol: float | None = None, seed: DataFrame | None = None, parts: int = 8) -> tuple[DataFrame, Run, list[float]]:
+    """``(vid, rank)``, the run and the L1 change of every round.  ``dangling``: 'leak' loses the rank of vertices without out-arcs, 'redistribute' spreads it.
 
     Runs ``iterations`` rounds, or until the L1 change of a round is below ``tol``.  Parallel arcs count.
+    A round is one job: ranks meet the arcs, which are cached by source, shares are summed by target, and
+    the change and the rank of vertices without out-arcs are observed while the new ranks are written.
     """
     scratch = Scratch(g.vertices.sparkSession, "rank-vertex")
-    arcs = scratch.save(g.arcs().select("src", "dst"))
-    vertices = scratch.save(g.degrees())
-    sent = arcs.count()
-
-    def spread(ranks: DataFrame) -> tuple[DataFrame, int]:
+    run, deltas = Run(), []
+    shards = int(g.vertices.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    arcs = g.arcs().select("src", "dst").repartition(shards, "src").persist(StorageLevel.MEMORY_AND_DISK)
+    home = lambda v: F.pmod(F.xxhash64(v), F.lit(parts))
+    counted = arcs.agg(F.count(F.lit(1)).alias("n"), F.count(F.when(home("src") != home("dst"), 1)).alias("x"), F.countDistinct("dst").alias("c")).first()
+    degree = arcs.groupBy(F.col("src").alias("vid")).agg(F.count(F.lit(1)).alias("degree"))
+    n = g.vertices.count()
+    first = F.lit(1.0 / max(1, n)) if seed is None else F.coalesce("seed", F.lit(0.0))
+    base = g.vertices.select("vid") if seed is None else g.vertices.select("vid").join(seed.select("vid", F.col("rank").alias("seed")), "vid", "left")
+    loose_now = F.sum(F.when(F.col("degree") == 0, F.col("rank")))
+    ranks, told = scratch.counted(base.join(degree, "vid", "left").select("vid", first.alias("rank"), F.coalesce("degree", F.lit(0)).alias("degree")), loose=loose_now)
+    while n and (iterations is None or run.supersteps < iterations):
         share = ranks.where("degree > 0").select(F.col("vid").alias("src"), (F.col("rank") / F.col("degree")).alias("share"))
-        return arcs.join(share, "src").groupBy(F.col("dst").alias("vid")).agg(F.sum("share").alias("got")), sent
-
-    return _iterate(spread, vertices, iterations, damping, dangling, tol, seed, scratch, cut_every)
-
-
-def pagerank_cell(cg: CellGraph, iterations: int | None = 30, damping: float = 0.85, dangling: str = "redistribute", tol: float | None = None, seed: DataFrame | None = None, cut_every: int = 5) -> tuple[DataFrame, Run, list[float]]:
-    """The same ranks; arcs inside a part need no message, those over a cut are summed per sending part and target."""
-    scratch = cg.scratch
-    vertices = scratch.save(cg.graph.degrees())
-    links = scratch.save(cg.links.select("src", "dst", "src_pid", "dst_pid"))
-    sent = links.where("src_pid <> dst_pid").select("src_pid", "dst").distinct().count()
+        got = arcs.join(share, "src").groupBy(F.col("dst").alias("vid")).agg(F.sum("share").alias("got"))
+        spread = (told["loose"] or 0.0) / n if dangling == "redistribute" else 0.0
+        value = F.lit((1 - damping) / n) + F.lit(damping) * (F.coalesce("got", F.lit(0.0)) + F.lit(spread))
+        nxt, told = scratch.counted(ranks.join(got, "vid", "left").select("vid", value.alias("rank"), "degree", F.abs(value - F.col("rank")).alias("moved")), loose=loose_now, moved=F.sum("moved"))
+        deltas.append(told["moved"] or 0.0)
+        run.step(counted["n"], counted["c"], counted["x"], counted["n"], deltas[-1])
+        scratch.drop(ranks)
+        ranks = nxt
+        if tol is not None and deltas[-1] < tol:
+            break
+    arcs.unpersist()
+    return ranks.select("vid", "rank"), run, deltas
 
-    def spread(ranks: DataFrame) -> tuple[DataFrame, int]:
-        share = ranks.where("degree > 0").select(F.col("vid").alias("src"), (F.col("rank") / F.col("degree")).alias("share"))
-        by_part = links.join(share, "src").groupBy("src_pid", "dst").agg(F.sum("share").alias("part_sum"))
-        return by_part.groupBy(F.col("dst").alias("vid")).agg(F.sum("part_sum").alias("got")), sent
 
-    return _iterate(spread, vertices, iterations, damping, dangling, tol, seed, scratch, cut_every)
+class Rank(CellProgram):
+    """One rank update of all cells of a part per superstep; a remote vertex gets one pre-summed share from each part."""
+
+    merge, dtype = "sum", "double"
+
+    def __init__(self, n: int, iterations: int | None, damping: float, dangling: str, tol: float | None, seeded: bool):
+        self.n, self.iterations, self.damping, self.dangling, self.tol, self.seeded = n, iterations, damping, dangling, tol, seeded
+
+    def start(self, part: Part) -> np.ndarray:
+        return np.full(len(part.ids), 0.0 if self.seeded else 1.0 / self.n)
+
+    def compute(self, part: Part, ctx: Context) -> None:
+        degree = np.diff(part.indptr)
+        src, inner = part.src, part.to >= 0
+        out = lambda rank: np.divide(rank, degree, out=np.zeros_like(rank), where=degree > 0)
+        ctx.work += len(part.dst)
+        if ctx.superstep == 1:
+            part.value[part.told] = part.told_value  # the seed, if there is one
+        else:
+            got = np.bincount(part.to[inner], weights=out(part.value)[src[inner]], minlength=len(part.ids)).astype(float)
+            got[part.told] += part.told_value
+            spread = ctx.reported[0] / self.n if self.dangling == "redistribute" else 0.0
+            new = (1 - self.damping) / self.n + self.damping * (got + spread)
+            ctx.report(float(np.abs(new - part.value).sum()), 1)
+            part.value[:] = new
+        ctx.report(float(part.value[degree == 0].sum()))
+        last = self.iterations is not None and ctx.superstep > self.iterations
+        if last or (self.tol is not None and ctx.superstep > 2 and ctx.reported[1] < self.tol):
+            return
+        ctx.keep_awake()
+        cut = np.flatnonzero(~inner)
+        ctx.send_arcs(part, cut, out(part.value)[src[cut]])
+
+
+def pagerank_cell(cg: CellGraph, iterations: int | None = 30, damping: float = 0.85, dangling: str = "redistribute", tol: float | None = None, seed: DataFrame | None = None) -> tuple[DataFrame, Run, list[float]]:
+    """The same ranks by a cell program: arcs inside a part need no message, those over a cut are summed per sending part and target.
+
+    The first superstep only sends, so there is one more than there are rounds; with ``tol`` one more again, in which all parts learn that the last round moved less.
+    """
+    n = sum(r["n"] for r in cg.cell_of.groupBy("pid").agg(F.count(F.lit(1)).alias("n")).collect())
+    if not n:
+        return cg.cell_of.select("vid", F.lit(0.0).alias("rank")), Run(), []
+    first = None
+    if seed is not None:  # every part must be called, seeded or not
+        first = cg.cell_of.join(seed.select("vid", "rank"), "vid", "left").select("pid", "cell_id", "vid", F.coalesce("rank", F.lit(0.0)).alias("value"))
+    found, run = run_cell_program(Rank(n, iterations, damping, dangling, tol, seed is not None), cg, first)
+    return found.select("vid", F.col("value").alias("rank")), run, run.reports[1:]
 
 
 def local_rank(cg: CellGraph, rounds: int = 30, damping: float = 0.85, tol: float | None = None) -> DataFrame:
@@ -127,11 +145,11 @@ def cell_rank(cg: CellGraph, local: DataFrame, rounds: int = 30, damping: float
     start = F.col("n_vertices") / F.lit(float(n_vertices)) if block_teleport == "size" else F.lit(1.0 / max(1, n_cells))
     kept = flows.groupBy(F.col("src_cell").alias("cell_id")).agg((F.lit(1.0) - F.sum("w")).alias("kept"))
     ranks = scratch.save(cells.join(kept, "cell_id", "left").select("cell_id", start.alias("start"), F.coalesce("kept", F.lit(1.0)).alias("kept"), start.alias("rank")))
-    for i in range(rounds):
+    for _ in range(rounds):
         sent = flows.join(ranks.select(F.col("cell_id").alias("src_cell"), "rank"), "src_cell").groupBy(F.col("dst_cell").alias("cell_id")).agg(F.sum(F.col("w") * F.col("rank")).alias("got"))
-        ranks = ranks.join(sent, "cell_id", "left").select("cell_id", "start", "kept", (F.lit(1 - damping) * F.col("start") + F.lit(damping) * (F.coalesce("got", F.lit(0.0)) + F.col("kept") * F.col("rank"))).alias("rank"))
-        if i % 5 == 4 or i == rounds - 1:
-            ranks = scratch.save(ranks)
+        nxt = scratch.save(ranks.join(sent, "cell_id", "left").select("cell_id", "start", "kept", (F.lit(1 - damping) * F.col("start") + F.lit(damping) * (F.coalesce("got", F.lit(0.0)) + F.col("kept") * F.col("rank"))).alias("rank")))
+        scratch.drop(ranks)
+        ranks = nxt
     return ranks.select("cell_id", "rank")
 
 
@@ -142,11 +160,14 @@ def seed_rank(local: DataFrame, cells: DataFrame, scratch: Scratch) -> DataFrame
     return seed.select("vid", (F.col("rank") / total).alias("rank"))
 
 
-def block_rank(cg: CellGraph, tol: float = 1e-6, damping: float = 0.85, block_teleport: str = "size", local_tol: float = 1e-6) -> tuple[DataFrame, Run, list[float]]:
-    """Classic rank from a seed of local ranks and cell ranks; same limit, often in fewer rounds."""
+def block_rank(cg: CellGraph, tol: float = 1e-6, damping: float = 0.85, block_teleport: str = "size", local_tol: float = 1e-6, engine: str = "vertex") -> tuple[DataFrame, Run, list[float]]:
+    """Classic rank from a seed of local ranks and cell ranks; same limit, in fewer rounds where cells are nearly closed.  ``engine`` runs the last stage."""
     local = cg.scratch.save(local_rank(cg, 200, damping, local_tol))
     cells = cell_rank(cg, local, 30, damping, block_teleport)
-    return pagerank_vertex(cg.graph, None, damping, "redistribute", tol, seed_rank(local, cells, cg.scratch))
+    seed = seed_rank(local, cells, cg.scratch)
+    if engine == "cell":
+        return pagerank_cell(cg, None, damping, "redistribute", tol, seed)
+    return pagerank_vertex(cg.graph, None, damping, "redistribute", tol, seed)
 
 
 def rank_error(ranks: DataFrame, reference: DataFrame) -> DataFrame:

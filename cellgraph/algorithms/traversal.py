@@ -16,6 +16,9 @@ from cellgraph.graph import Graph
 from cellgraph.scratch import Scratch
 
 
+WHOLE = ("tinyint", "smallint", "int", "bigint")
+
+
 def max_value_vertex(g: Graph, values: DataFrame) -> tuple[DataFrame, Run]:
     """``values(vid, value)``; every vertex gets the greatest value of its weak component."""
     scratch = Scratch(values.sparkSession, "max-vertex")
@@ -49,85 +52,177 @@ def component_stats(labels: DataFrame) -> DataFrame:
     return labels.groupBy("component").agg(F.count(F.lit(1)).alias("n"))
 
 
+def _cost(g: Graph, weight: bool):
+    """The arcs' costs in their own type: whole weights as long, others as double; arcs of null weight cannot be walked."""
+    if not weight:
+        return g.arcs().where("src <> dst").select("src", "dst", F.lit(1).cast("long").alias("weight"))
+    kind = "long" if dict(g.edges.dtypes)["weight"] in WHOLE else "double"
+    arcs = g.arcs().where("src <> dst and weight is not null").select("src", "dst", F.col("weight").cast(kind).alias("weight"))
+    return arcs.where(~F.isnan("weight")) if kind == "double" else arcs
+
+
+def _refuse_negative(arcs: DataFrame) -> None:
+    if arcs.where("weight < 0").limit(1).count():
+        raise ValueError("weights must not be negative")
+
+
 def sssp_vertex(g: Graph, sources: list[int], weight: bool = False) -> tuple[DataFrame, Run]:
-    """``(vid, dist)`` of the reached vertices; unit weights unless ``weight``."""
+    """``(vid, dist)`` of the reached vertices, in the type of the weights; unit weights unless ``weight``."""
     scratch = Scratch(g.vertices.sparkSession, "sssp-vertex")
-    cost = F.col("weight").cast("long") if weight else F.lit(1).cast("long")
-    arcs = scratch.save(g.arcs().where("src <> dst").groupBy("src", "dst").agg(F.min(cost).alias("weight")))
-    if weight and arcs.where("weight < 0").limit(1).count():
-        raise ValueError("weights must not be negative")
+    arcs = scratch.save(_cost(g, weight).groupBy("src", "dst").agg(F.min("weight").alias("weight")))
+    if weight:
+        _refuse_negative(arcs)
     here = F.col("vid").isin(sources)
-    initial = g.vertices.select("vid", F.when(here, F.lit(0).cast("long")).alias("value"), here.alias("active"))
+    initial = g.vertices.select("vid", F.when(here, F.lit(0).cast(dict(arcs.dtypes)["weight"])).alias("value"), here.alias("active"))
     found, run = run_vertex_program(shorter(), arcs, initial, scratch)
     return found.where("value is not null").withColumnRenamed("value", "dist"), run
 
 
 class ShortestPaths(CellProgram):
-    """Every call searches its part from all improved vertices at once and tells each remote vertex its best value."""
-
-    combine = "min"
-
-    def __init__(self, weighted: bool):
-        self.weighted = weighted
-
-    def compute(self, part: Part, ctx: Context) -> dict[tuple[int, int], float]:
-        ids, at = np.unique(np.concatenate([part.src, part.dst[part.dst_pid == part.pid]]), return_inverse=True)
-        n_src = len(part.src)
-        order = np.argsort(at[:n_src], kind="stable")
-        starts = np.searchsorted(at[:n_src][order], np.arange(len(ids) + 1))
-        index = {v: i for i, v in enumerate(ids.tolist())}
-        dist = {v: x for (_, v), x in part.state.items()}
-        cell_at: dict[int, int] = {}
-        heap = []
-        for cell, vid, value in part.inbox:
-            if value < dist.get(vid, np.inf):
-                dist[vid] = value
-                cell_at[vid] = cell
-                heap.append((value, vid))
+    """Every call searches its part from all improved vertices at once and tells each remote vertex its best value.
+
+    ``local`` is the search inside a part: 'relax' lowers all far ends of the changed vertices at once
+    until none changes, 'heap' settles vertices in order of distance.
+    """
+
+    merge = "min"
+
+    def __init__(self, weighted: bool, whole: bool, local: str = "relax"):
+        if local not in ("relax", "heap"):
+            raise ValueError(local)
+        self.weighted, self.local = weighted, local
+        self.dtype = "bigint" if whole or not weighted else "double"
+        self.far = np.iinfo(np.int64).max if self.dtype == "bigint" else np.inf
+
+    def start(self, part: Part) -> np.ndarray:
+        return np.full(len(part.ids), self.far)
+
+    def has_value(self, value: np.ndarray) -> np.ndarray:
+        return value < self.far
+
+    def compute(self, part: Part, ctx: Context) -> None:
+        value = part.value
+        better = part.told_value < value[part.told]
+        frontier = part.told[better]
+        value[frontier] = part.told_value[better]
+        cost = part.weight if self.weighted else np.ones(len(part.dst), dtype=value.dtype)
+        walkable = cost >= 0  # neither the mark of a null weight
+        changed = np.zeros(len(value), dtype=bool)
+        changed[frontier] = True
+        (self._relax if self.local == "relax" else self._settle)(part, ctx, frontier, cost, walkable, changed)
+        places = np.flatnonzero(changed)
+        arcs, owner = part.arcs_of(places)
+        cut = (part.to[arcs] < 0) & walkable[arcs]
+        arcs, owner = arcs[cut], owner[cut]
+        ctx.send_arcs(part, arcs, value[places[owner]] + cost[arcs])
+
+    def _relax(self, part: Part, ctx: Context, frontier: np.ndarray, cost: np.ndarray, walkable: np.ndarray, changed: np.ndarray) -> None:
+        value = part.value
+        while len(frontier):
+            ctx.work += len(frontier)
+            arcs, owner = part.arcs_of(frontier)
+            inner = (part.to[arcs] >= 0) & walkable[arcs]
+            arcs, owner = arcs[inner], owner[inner]
+            to, new = part.to[arcs], value[frontier[owner]] + cost[arcs]
+            less = new < value[to]
+            np.minimum.at(value, to[less], new[less])
+            frontier = np.unique(to[less])
+            changed[frontier] = True
+
+    def _settle(self, part: Part, ctx: Context, frontier: np.ndarray, cost: np.ndarray, walkable: np.ndarray, changed: np.ndarray) -> None:
+        value, indptr, to = part.value, part.indptr, part.to
+        heap = [(value[v], v) for v in frontier]
         heapq.heapify(heap)
-        remote: dict[int, tuple[float, int, int]] = {}
-        src_cell, dst, dst_pid, dst_cell, weight = part.src_cell, part.dst, part.dst_pid, part.dst_cell, part.weight
         while heap:
             d, v = heapq.heappop(heap)
-            if d > dist[v] or v not in index:
+            if d > value[v]:
                 continue
-            i = index[v]
-            for e in order[starts[i] : starts[i + 1]].tolist():
-                value, u = d + (weight[e] if self.weighted else 1.0), int(dst[e])
-                if dst_pid[e] != part.pid:
-                    if value < remote.get(u, (np.inf,))[0]:
-                        remote[u] = (value, int(dst_pid[e]), int(dst_cell[e]))
-                elif value < dist.get(u, np.inf):
-                    dist[u] = value
-                    cell_at[u] = int(src_cell[e])
-                    heapq.heappush(heap, (value, u))
-        for u, (value, pid, cell) in remote.items():
-            ctx.send_vertex(pid, cell, u, value)
-        return {(cell, v): dist[v] for v, cell in cell_at.items()}
-
-
-def sssp_cell(cg: CellGraph, sources: list[int], weight: bool = False) -> tuple[DataFrame, Run]:
+            ctx.work += 1
+            for e in range(indptr[v], indptr[v + 1]):
+                u = to[e]
+                if u >= 0 and walkable[e] and d + cost[e] < value[u]:
+                    value[u] = d + cost[e]
+                    changed[u] = True
+                    heapq.heappush(heap, (value[u], u))
+
+
+def sssp_cell(cg: CellGraph, sources: list[int], weight: bool = False, local: str = "relax") -> tuple[DataFrame, Run]:
     """Shortest paths by cells: each superstep settles whole parts, messages cross part borders only."""
-    if weight and cg.links.where("weight < 0").limit(1).count():
-        raise ValueError("weights must not be negative")
-    seeds = cg.cell_of.where(F.col("vid").isin(sources)).select("pid", "cell_id", "vid", F.lit(0.0).alias("value"))
-    found, run = run_cell_program(ShortestPaths(weight), cg, seeds)
-    return found.select("vid", F.col("value").cast("long").alias("dist")), run
+    whole = dict(cg.links.dtypes)["weight"] in WHOLE
+    if weight:
+        _refuse_negative(cg.links)
+    seeds = cg.cell_of.where(F.col("vid").isin(sources)).select("pid", "cell_id", "vid", F.lit(0).alias("value"))
+    found, run = run_cell_program(ShortestPaths(weight, whole, local), cg, seeds)
+    return found.select("vid", F.col("value").alias("dist")), run
 
 
 def with_parents(g: Graph, distances: DataFrame, weight: bool = False) -> DataFrame:
-    """``(vid, dist, parent)``: the least neighbour through which the distance is reached; null at sources."""
-    cost = F.col("weight").cast("long") if weight else F.lit(1).cast("long")
-    arcs = g.arcs().where("src <> dst").select("src", "dst", cost.alias("w"))
+    """``(vid, dist, parent)``: the least neighbour through which the distance is reached; null at sources.
+
+    Fractional distances are sums along a path, and a parent's distance plus the arc's weight is that very sum.
+    Over arcs of weight 0 a parent's distance is the same as its child's.
+    """
+    arcs = _cost(g, weight).withColumnRenamed("weight", "w")
     tight = arcs.join(distances.select(F.col("vid").alias("src"), F.col("dist").alias("d0")), "src").join(distances.select(F.col("vid").alias("dst"), F.col("dist").alias("d1")), "dst").where("d0 + w = d1 and d1 > 0")
     return distances.join(tight.groupBy(F.col("dst").alias("vid")).agg(F.min("src").alias("parent")), "vid", "left").select("vid", "dist", "parent")
 
 
+class Greatest(CellProgram):
+    """The greatest value of the component, cell by cell: every cell holds one value and tells the cells it touches when that rises.
+
+    The first superstep calls all cells; afterwards a cell sleeps until a neighbour writes to it.
+    """
+
+    merge, dtype = "max", "bigint"
+    least = np.iinfo(np.int64).min
+
+    def start(self, part: Part) -> np.ndarray:
+        return np.full(len(part.ids), self.least)
+
+    def has_value(self, value: np.ndarray) -> np.ndarray:
+        return value > self.least
+
+    def compute(self, part: Part, ctx: Context) -> None:
+        names, own = np.unique(part.cell, return_inverse=True)
+        before = np.full(len(names), self.least)
+        np.maximum.at(before, own, part.value)
+        best = before.copy()
+        np.maximum.at(best, own[part.told], part.told_value)  # the vertices' own values, in the first superstep
+        for cell, value in part.cell_messages:
+            at = np.searchsorted(names, cell)
+            best[at] = max(best[at], value)
+        ctx.work += len(names)
+        part.value[:] = best[own]
+        for at in np.flatnonzero(best > before):
+            ctx.send_neighbors(part, int(names[at]), int(best[at]))
+
+
+def max_value_program(cg: CellGraph, values: DataFrame) -> tuple[DataFrame, Run]:
+    """`max_value_cell` as a cell program with messages from cell to cell; for undirected graphs and whole values."""
+    first = cg.cell_of.join(values, "vid").select("pid", "cell_id", "vid", "value")
+    found, run = run_cell_program(Greatest(), cg, first)
+    return found.select("vid", "value"), run
+
+
+def _diameter_sweep(dist: DataFrame) -> tuple[int, int]:
+    row = dist.agg(F.max(F.struct("dist", "vid")).alias("m")).first()["m"]
+    return (row["dist"], row["vid"]) if row else (0, 0)
+
+
+def cell_diameter(cg: CellGraph, sweeps: int = 2) -> int:
+    """Lower bound of the diameter of the cell graph: the most cells that a message passes on its way; 0 without cut edges."""
+    between = cg.scratch.save(cg.cell_edges().select("src", "dst", F.lit(1).cast("long").alias("weight")))
+    if not between.limit(1).count():
+        return 0
+    g = Graph.from_edges(between, directed=cg.graph.directed).weak()
+    # from the cell with most cut edges, then from the farthest one
+    start = between.groupBy("src").count().orderBy(F.desc("count"), "src").first()["src"]
+    return diameter_lower_bound(g, start, sweeps)
+
+
 def eccentricity(g: Graph, source: int) -> tuple[int, int]:
     """(greatest distance from the source, a vertex at that distance)."""
-    dist, _ = sssp_vertex(g, [source])
-    row = dist.agg(F.max(F.struct("dist", F.col("vid"))).alias("m")).first()["m"]
-    return row["dist"], row["vid"]
+    return _diameter_sweep(sssp_vertex(g, [source])[0])
 
 
 def diameter_lower_bound(g: Graph, start: int, sweeps: int = 2) -> int:

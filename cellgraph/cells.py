@@ -7,6 +7,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -16,22 +17,28 @@ from cellgraph.scratch import Scratch
 
 
 def local_components(src: np.ndarray, dst: np.ndarray, n: int) -> np.ndarray:
-    """Least member of each vertex's component, for vertices 0..n-1: union by least root with path halving."""
-    root = list(range(n))
+    """Least member of each vertex's component, for vertices 0..n-1: roots hang below lesser neighbouring roots, then pointers are doubled."""
+    root = np.arange(n)
+    while len(src):
+        a, b = root[src], root[dst]
+        apart = a != b
+        src, dst = src[apart], dst[apart]
+        if not len(src):
+            break
+        np.minimum.at(root, np.maximum(a, b)[apart], np.minimum(a, b)[apart])
+        while (up := root[root], (up != root).any())[1]:
+            root = up
+    return root
 
-    def find(x: int) -> int:
-        while root[x] != x:
-            root[x] = root[root[x]]
-            x = root[x]
-        return x
 
-    for a, b in zip(src.tolist(), dst.tolist(), strict=True):
-        x, y = find(a), find(b)
-        if x < y:
-            root[y] = x
-        elif y < x:
-            root[x] = y
-    return np.fromiter((find(x) for x in range(n)), dtype=np.int64, count=n)
+#: Packed columns of a part's topology row and their types.
+TOPOLOGY = {"ids": np.int64, "cell": np.int64, "indptr": np.int64, "to": np.int32, "dst": np.int64, "dst_pid": np.int32, "dst_cell": np.int64}
+
+
+def topology_arrays(row: dict) -> dict[str, np.ndarray]:
+    """The arrays of one topology row; nothing is copied."""
+    out = {name: np.frombuffer(row[name], dtype=kind) for name, kind in TOPOLOGY.items()}
+    return out | {"weight": np.frombuffer(row["weight"], dtype=np.int64 if row["whole"] else np.float64)}
 
 
 @dataclass
@@ -42,6 +49,49 @@ class CellGraph:
     cell_of: DataFrame  # vid, pid, cell_id
     links: DataFrame  # arcs with src_pid, src_cell, dst_pid, dst_cell, weight
     scratch: Scratch
+    _topology: DataFrame | None = None
+    _parts: int | None = None
+
+    def topology(self) -> DataFrame:
+        """One row per part: its vertices and arcs as packed arrays, cached where the part's calls run.
+
+        Weights keep their type, whole or floating; a null weight becomes the least number, or NaN.
+        """
+        if self._topology is None:
+            whole = dict(self.links.dtypes)["weight"] in ("tinyint", "smallint", "int", "bigint")
+
+            def build(key, left: pa.Table, right: pa.Table) -> pa.Table:
+                ids = left.column("vid").to_numpy()
+                order = np.argsort(ids)
+                ids, cell = ids[order], left.column("cell_id").to_numpy()[order]
+                src = np.searchsorted(ids, right.column("src").to_numpy()) if right.num_rows else np.zeros(0, np.int64)
+                by = np.argsort(src, kind="stable")
+                at = lambda c: right.column(c).to_numpy()[by] if right.num_rows else np.zeros(0, np.int64)
+                dst, dst_pid = at("dst"), at("dst_pid")
+                to = np.where(dst_pid == key[0].as_py(), np.minimum(np.searchsorted(ids, dst), len(ids) - 1), -1)
+                arrays = {"ids": ids, "cell": cell, "indptr": np.searchsorted(src[by], np.arange(len(ids) + 1)), "to": to, "dst": dst, "dst_pid": dst_pid, "dst_cell": at("dst_cell")}
+                cols = {name: pa.array([arrays[name].astype(kind).tobytes()], pa.binary()) for name, kind in TOPOLOGY.items()}
+                weight = at("weight").astype(np.int64 if whole else np.float64).tobytes()
+                return pa.table({"pid": pa.array([key[0].as_py()], pa.int32()), **cols, "weight": pa.array([weight], pa.binary()), "whole": pa.array([whole])})
+
+            weight = F.coalesce(F.col("weight").cast("long"), F.lit(-(1 << 63))) if whole else F.coalesce(F.col("weight").cast("double"), F.lit(float("nan")))
+            arcs = self.links.select(F.col("src_pid").alias("pid"), "src", "dst", "dst_pid", "dst_cell", weight.alias("weight"))
+            schema = f"pid int, {', '.join(f'{name} binary' for name in TOPOLOGY)}, weight binary, whole boolean"
+            packed = self.scratch.save(self.cell_of.groupBy("pid").cogroup(arcs.groupBy("pid")).applyInArrow(build, schema))
+            shards = int(packed.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+            self._topology = packed.repartition(shards, "pid").persist(StorageLevel.MEMORY_AND_DISK)
+        return self._topology
+
+    def parts(self) -> int:
+        """How many parts have vertices."""
+        if self._parts is None:
+            self._parts = self.topology().count()
+        return self._parts
+
+    def unpersist(self) -> None:
+        if self._topology is not None:
+            self._topology.unpersist()
+            self._topology = None
 
     @property
     def local_edges(self) -> DataFrame:
@@ -60,10 +110,10 @@ class CellGraph:
         return self.cut_edges.groupBy(F.col("src_cell").alias("src"), F.col("dst_cell").alias("dst")).agg(F.count(F.lit(1)).alias("n"), F.min("weight").alias("min_weight"))
 
 
-def discover_cells(g: Graph, assignment: DataFrame, part_edge_cap: int = 20_000_000) -> CellGraph:
+def discover_cells(g: Graph, assignment: DataFrame, part_edge_cap: int = 5_000_000) -> CellGraph:
     """Finds the cells of every part and resolves each arc's far end.
 
-    A part of at most ``part_edge_cap`` inner edges is searched by union-find in one Arrow group; if any
+    A part of at most ``part_edge_cap`` inner edges is searched in one Arrow group; if any
     part has more, all go by distributed contraction, which holds no part in memory.  A cell's id is its least vertex.
     """
     spark = g.vertices.sparkSession

@@ -1,8 +1,9 @@
 """Vertex-centric programs, as column expressions: no Python runs on the executors.
 
-A superstep joins the values of active vertices with their arcs, merges the messages by target with
-map-side combining, and left-joins them to the state.  Vertices whose value changed are active next;
-all others have halted and wake only when a message changes them.
+A superstep joins the vertices that changed with their arcs and merges the messages by target with
+map-side combining; what improves on a vertex's value is the next frontier.  Only the frontier is
+kept per superstep.  The whole state is rewritten when the changes since then have grown to a share of
+it, or after ``merge_every`` supersteps.
 """
 
 from __future__ import annotations
@@ -19,10 +20,7 @@ from cellgraph.scratch import Scratch
 
 @dataclass(frozen=True)
 class VertexProgram:
-    """``message`` maps a sender's value and an arc's weight to what is sent; ``merge`` is min or max.
-
-    ``better`` says whether a merged message replaces the old value (which may be null).
-    """
+    """``message`` maps a sender's value and an arc's weight to what is sent; ``merge`` is min or max, and a vertex takes what ``better`` prefers to its value (null: none yet)."""
 
     message: Callable[[Column, Column], Column]
     merge: Callable[[Column], Column]
@@ -37,20 +35,48 @@ def shorter() -> VertexProgram:
     return VertexProgram(lambda value, weight: value + weight, F.min, lambda new, old: old.isNull() | (new < old))
 
 
-def run_vertex_program(program: VertexProgram, arcs: DataFrame, initial: DataFrame, scratch: Scratch, max_supersteps: int = 10_000) -> tuple[DataFrame, Run]:
-    """``initial(vid, value, active)`` to ``(vid, value)`` at rest.  One job and one small read per superstep."""
+def _union(frames: list[DataFrame]) -> DataFrame:
+    out = frames[0]
+    for more in frames[1:]:
+        out = out.unionByName(more)
+    return out
+
+
+def run_vertex_program(program: VertexProgram, arcs: DataFrame, initial: DataFrame, scratch: Scratch, max_supersteps: int = 10_000, merge_every: int = 8, parts: int = 8) -> tuple[DataFrame, Run]:
+    """``initial(vid, value, active)`` to ``(vid, value)`` at rest; one job per superstep, which writes the vertices reached.
+
+    ``crossing`` counts the messages that leave their part when ``parts`` parts are dealt by hash, as
+    vertex-centric engines do.
+    """
     run = Run()
-    state = scratch.save(initial.select("vid", "value", "active"))
+    home = lambda v: F.pmod(F.xxhash64(v), F.lit(parts))
+    initial = scratch.save(initial.select("vid", "value", "active"))
+    state, frontier = initial.select("vid", "value"), initial.where("active").select("vid", "value")
+    total, changed = initial.count(), 0
+    changes: list[DataFrame] = []  # since the state was written: all vertices reached, the improved ones marked
     arcs = arcs.select("src", "dst", "weight")
+    latest = lambda: _union([c.where("better") for c in changes]).groupBy("vid").agg(program.merge("new").alias("latest"))
     while run.supersteps < max_supersteps:
-        senders = state.where("active").select(F.col("vid").alias("src"), "value")
-        sent = senders.join(arcs, "src").groupBy(F.col("dst").alias("vid")).agg(program.merge(program.message(F.col("value"), F.col("weight"))).alias("new"), F.count(F.lit(1)).alias("n"))
-        change = F.col("new").isNotNull() & program.better(F.col("new"), F.col("value"))
-        nxt = scratch.save(state.select("vid", "value").join(sent, "vid", "left").select("vid", F.when(change, F.col("new")).otherwise(F.col("value")).alias("value"), F.coalesce(change, F.lit(False)).alias("active"), "n"))
-        seen = nxt.agg(F.sum("n").alias("n"), F.count("n").alias("c")).first()
-        run.step(seen["n"] or 0, seen["c"])
-        scratch.drop(state)
-        state = nxt
-        if not seen["n"]:
+        senders = frontier.select(F.col("vid").alias("src"), "value")
+        crosses = F.count(F.when(home("src") != home("dst"), 1))
+        sent = senders.join(arcs, "src").groupBy(F.col("dst").alias("vid")).agg(program.merge(program.message(F.col("value"), F.col("weight"))).alias("new"), F.count(F.lit(1)).alias("n"), crosses.alias("x"))
+        reached = sent.join(state, "vid")
+        if changes:
+            reached = reached.join(latest(), "vid", "left").withColumn("value", F.coalesce("latest", "value"))
+        reached = reached.select("vid", "new", "n", "x", F.coalesce(program.better(F.col("new"), F.col("value")), F.lit(False)).alias("better"))
+        reached, got = scratch.counted(reached, n=F.sum("n"), c=F.count(F.lit(1)), x=F.sum("x"), found=F.count(F.when(F.col("better"), 1)))
+        run.step(got["n"] or 0, got["c"], got["x"] or 0, got["n"] or 0)
+        changes.append(reached)
+        changed += got["found"]
+        frontier = reached.where("better").select("vid", F.col("new").alias("value"))
+        if not got["found"] or len(changes) >= merge_every or changed * 2 > total:
+            merged = scratch.save(state.join(latest(), "vid", "left").select("vid", F.coalesce("latest", "value").alias("value")))
+            scratch.drop(state, *changes[:-1])
+            state, changes, changed = merged, [], 0
+        if not got["found"]:
+            if got["n"] and run.supersteps < max_supersteps:  # one more superstep, in which the last messages change nothing
+                run.step(0, 0)
             break
-    return state.select("vid", "value"), run
+    if changes:
+        state = scratch.save(state.join(latest(), "vid", "left").select("vid", F.coalesce("latest", "value").alias("value")))
+    return state, run

@@ -12,7 +12,7 @@ import atexit
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -43,6 +43,12 @@ class Scratch:
         out._scratch_path = path
         return out
 
+    def counted(self, df: DataFrame, **sums: Column) -> tuple[DataFrame, dict]:
+        """`save`, with aggregates of the written rows taken on the way."""
+        seen = Observation()
+        out = self.save(df.observe(seen, *[c.alias(name) for name, c in sums.items()]))
+        return out, seen.get
+
     def drop(self, *frames: DataFrame) -> None:
         for df in frames:
             path = getattr(df, "_scratch_path", None)
