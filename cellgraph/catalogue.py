@@ -13,7 +13,7 @@ from cellgraph.algorithms import ranks as rk
 from cellgraph.algorithms import traversal as tr
 from cellgraph.cells import CellGraph, discover_cells
 from cellgraph.graph import Graph
-from cellgraph.operators import relational
+from cellgraph.operators import analysis, relational  # noqa: F401
 from cellgraph.partition import balance_cells, partition_blocks, partition_hash, partition_mincut, partition_modulo, partition_range
 from cellgraph.scratch import Scratch
 from cellgraph.sources.slices import SliceStore
@@ -37,9 +37,7 @@ def _space(g: Graph) -> int:
     return (g.vertices.agg(F.max("vid")).first()[0] or 0) + 1
 
 
-def _blocks(g: Graph, k: int = 4) -> CellGraph:
-    """Contiguous id ranges over the ids there are."""
-    return discover_cells(g, partition_blocks(g, k, _space(g)))
+_blocks = fixtures.in_blocks
 
 
 def _modulo(g: Graph, k: int = 4) -> CellGraph:

@@ -5,7 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from cellgraph.graph import Graph, from_bipartite, from_equal, from_foreign_key, from_succession
+from cellgraph.cells import CellGraph, discover_cells
+from cellgraph.graph import Graph, from_bipartite, from_equal, from_foreign_key, from_similarity, from_succession
+from cellgraph.partition import partition_blocks
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -72,8 +74,12 @@ def part_flow(spark: SparkSession, sf_dir: str) -> Graph:
     return Graph.from_edges(pairs.select("src", "dst").distinct(), directed=True)
 
 
+#: More turns than a conversation has.
+TURNS = 1 << 20
+
+
 def conv_turns(spark: SparkSession, sf_dir: str) -> Graph:
-    turns = _table(spark, sf_dir, "conversations").select("conv_id", "turn", (F.col("conv_id") * 100 + F.col("turn")).alias("vid"))
+    turns = _table(spark, sf_dir, "conversations").select("conv_id", "turn", (F.col("conv_id") * TURNS + F.col("turn")).alias("vid"))
     return Graph.from_edges(from_succession(turns, ["conv_id"], ["turn"], "vid"), turns.select("vid"))
 
 
@@ -82,6 +88,29 @@ def doc_copies(spark: SparkSession, sf_dir: str) -> Graph:
     return Graph.from_edges(from_equal(docs, "doc_id", "text_key"), docs.select(F.col("doc_id").alias("vid")))
 
 
+def road_fraction(spark: SparkSession, sf_dir: str) -> Graph:
+    """The hourly road with fractional weights, whose sums are exact in binary."""
+    g = road_hour(spark, sf_dir)
+    return Graph(g.vertices, g.edges.withColumn("weight", F.col("weight") * F.lit(0.125) + F.lit(0.25)))
+
+
+def knn(spark: SparkSession, sf_dir: str, least: float = 0.3) -> Graph:
+    vectors = _table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    return Graph.from_edges(from_similarity(vectors, "vec_id", "embedding", least))
+
+
+def page_host(spark: SparkSession, sf_dir: str) -> Graph:
+    """Pages to the least page of their host: a star per host."""
+    pages = _table(spark, sf_dir, "pages").select("page_id", F.regexp_extract("url", "^[a-z]+://([^/]+)", 1).alias("host"))
+    return Graph.from_edges(from_equal(pages, "page_id", "host"), pages.select(F.col("page_id").alias("vid")))
+
+
+def in_blocks(g: Graph, k: int = 4) -> CellGraph:
+    """Cells of contiguous id ranges over the ids there are."""
+    space = (g.vertices.agg(F.max("vid")).first()[0] or 0) + 1
+    return discover_cells(g, partition_blocks(g, k, space))
+
+
 # --- the same graphs for the SQL side --------------------------------------------------------------
 
 _ROAD_SQL = """
@@ -116,14 +145,19 @@ EDGES_SQL = {
   SELECT DISTINCT src, dst, 1::BIGINT AS weight FROM (
     SELECT l_partkey AS src, lead(l_partkey) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey) AS dst FROM lineitem)
   WHERE dst IS NOT NULL AND src <> dst""",
-    "conv_turns": "SELECT * FROM (SELECT conv_id * 100 + turn AS src, lead(conv_id * 100 + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS dst, 1::BIGINT AS weight FROM conversations) WHERE dst IS NOT NULL",
+    "conv_turns": "SELECT * FROM (SELECT conv_id * 1048576 + turn AS src, lead(conv_id * 1048576 + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS dst, 1::BIGINT AS weight FROM conversations) WHERE dst IS NOT NULL",
     "doc_copies": "SELECT * FROM (SELECT doc_id AS src, min(doc_id) OVER (PARTITION BY text) AS dst, 1::BIGINT AS weight FROM documents WHERE text IS NOT NULL) WHERE src <> dst",
+    "knn": "SELECT a.vec_id AS src, b.vec_id AS dst, 1::BIGINT AS weight FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id AND list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) >= 0.3",
+    "page_host": "SELECT * FROM (SELECT page_id AS src, min(page_id) OVER (PARTITION BY regexp_extract(url, '^[a-z]+://([^/]+)', 1)) AS dst, 1::BIGINT AS weight FROM pages WHERE url IS NOT NULL) WHERE src <> dst",
 }
+EDGES_SQL["road_fraction"] = f"SELECT src, dst, weight * 0.125::DOUBLE + 0.25::DOUBLE AS weight FROM ({EDGES_SQL['road_hour']})"
 VERTICES_SQL = {
+    "road_fraction": "SELECT event_id AS vid FROM events",
+    "page_host": "SELECT page_id AS vid FROM pages",
     "event_road": "SELECT event_id AS vid FROM events",
     "road_hour": "SELECT event_id AS vid FROM events",
     "user_chain": "SELECT event_id AS vid FROM events",
-    "conv_turns": "SELECT conv_id * 100 + turn AS vid FROM conversations",
+    "conv_turns": "SELECT conv_id * 1048576 + turn AS vid FROM conversations",
     "doc_copies": "SELECT doc_id AS vid FROM documents",
 }
 

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -77,3 +79,30 @@ def from_bipartite(df: DataFrame, left, right, weight=None) -> DataFrame:
     """Distinct pairs as edges; ``weight`` aggregates the rows of a pair."""
     pairs = df.select(left.alias("src"), right.alias("dst"), *([] if weight is None else [weight.alias("w")]))
     return pairs.groupBy("src", "dst").agg((F.lit(1).cast("long") if weight is None else F.sum("w")).alias("weight"))
+
+
+def from_similarity(df: DataFrame, vid: str, vec: str, least: float, blocks: int = 8) -> DataFrame:
+    """``(src, dst, weight)`` with src below dst for every pair of vectors whose inner product is at least ``least``.
+
+    Exact: rows are dealt to ``blocks`` blocks by hash and every two blocks meet once as matrices, so that
+    work is quadratic in the rows and each row travels ``blocks`` times; choose blocks by rows over what
+    a task holds.  Null vectors take no part.
+    """
+    home = F.pmod(F.xxhash64(vid), F.lit(blocks)).cast("int")
+    meets = F.transform(F.sequence(F.lit(0), F.lit(blocks - 1)), lambda j: F.least("b", j) * blocks + F.greatest("b", j))
+    rows = df.where(F.col(vec).isNotNull()).select(F.col(vid).cast("long").alias("vid"), F.col(vec).cast("array<double>").alias("vec"), home.alias("b"))
+
+    def meet(table: pa.Table) -> pa.Table:
+        ids, block = table.column("vid").to_numpy(), table.column("b").to_numpy()
+        x = np.array(table.column("vec").to_pylist())
+        lo, hi = block == block.min(), block == block.max()
+        # a block meets itself in one group, in which lo and hi are all rows
+        products = x[lo] @ x[hi].T
+        i, j = np.nonzero(products >= least)
+        a, b = ids[lo][i], ids[hi][j]
+        own = (block[lo][i] != block[hi][j]) | (a < b)
+        if block.min() == block.max() and table.column("pair")[0].as_py() // blocks != table.column("pair")[0].as_py() % blocks:
+            own[:] = False  # only one of the two blocks has rows
+        return pa.table({"src": np.minimum(a, b)[own], "dst": np.maximum(a, b)[own], "weight": np.ones(int(own.sum()), dtype=np.int64)})
+
+    return rows.withColumn("pair", F.explode(meets)).groupBy("pair").applyInArrow(meet, "src long, dst long, weight long")

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from cellgraph import fixtures, oracles
 from cellgraph.scratch import Scratch
-from cellgraph.streaming.edges import IncrementalComponents, drain, event_stream, sessions, windowed_degree
+from cellgraph.streaming.edges import components_of_stream, drain, event_stream, sessions, succession, windowed_degree
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -83,15 +83,22 @@ def _(s, d):
 
 @_g("two_hop", f"SELECT a.src, count(DISTINCT b.dst) AS n FROM ({oracles.arcs('conv_turns', True)}) a JOIN ({oracles.arcs('conv_turns', True)}) b ON a.dst = b.src GROUP BY a.src")
 def _(s, d):
+    """Sort-merge, so that adaptive execution can split a hub's paths among tasks."""
     e = fixtures.conv_turns(s, d).edges.select("src", "dst")
-    return e.join(e.select(F.col("src").alias("dst"), F.col("dst").alias("far")), "dst").groupBy("src").agg(F.countDistinct("far").alias("n"))
+    return e.hint("merge").join(e.select(F.col("src").alias("dst"), F.col("dst").alias("far")), "dst").groupBy("src").agg(F.countDistinct("far").alias("n"))
 
 
 @_g("triangle_count", f"WITH e AS (SELECT DISTINCT least(src, dst) AS a, greatest(src, dst) AS b FROM ({oracles.arcs('part_flow', True)})) SELECT count(*) AS triangles FROM e x JOIN e y ON x.b = y.a JOIN e z ON z.a = x.a AND z.b = y.b")
 def _(s, d):
+    """Edges point from the end of less degree to that of more, so that no vertex starts more wedges than the square root of twice the edges, hubs included."""
     e = fixtures.part_flow(s, d).edges.select(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b")).distinct()
-    wedge = e.join(e.select(F.col("a").alias("b"), F.col("b").alias("c")), "b")
-    return wedge.join(e.select("a", F.col("b").alias("c")), ["a", "c"]).agg(F.count("*").alias("triangles"))
+    degree = e.select(F.explode(F.array("a", "b")).alias("v")).groupBy("v").agg(F.count("*").alias("n"))
+    end = lambda c: degree.select(F.col("v").alias(c), F.struct("n", "v").alias(f"{c}_order"))
+    up = e.join(end("a"), "a").join(end("b"), "b")
+    up = up.select(F.least("a_order", "b_order")["v"].alias("low"), F.greatest("a_order", "b_order").alias("high"))
+    wedge = up.select("low", F.col("high").alias("x")).join(up.select("low", F.col("high").alias("y")), "low").where("x < y")
+    closing = up.select(F.col("low").alias("xv"), F.col("high")["v"].alias("yv"))
+    return wedge.select(F.col("x.v").alias("xv"), F.col("y.v").alias("yv")).join(closing, ["xv", "yv"]).agg(F.count("*").alias("triangles"))
 
 
 @_g("reciprocal_edges", f"SELECT e.src, e.dst FROM ({oracles.arcs('part_flow', True)}) e JOIN ({oracles.arcs('part_flow', True)}) r ON r.src = e.dst AND r.dst = e.src")
@@ -140,10 +147,22 @@ def _(s, d):
     return _cut(s, d).groupingSets([["src_pid"], ["dst_pid"], []], "src_pid", "dst_pid").agg(F.count("*").alias("n"))
 
 
-@_g("cut_pivot", f"SELECT src_pid, count(*) FILTER (WHERE dst_pid = 0) AS to0, count(*) FILTER (WHERE dst_pid = 1) AS to1 FROM ({_CUT}) GROUP BY src_pid")
+_WIDE = ", ".join(f"count(*) FILTER (WHERE dst_pid = {p}) AS to{p}" for p in range(4))
+
+
+def _wide(s, d):
+    wide = _cut(s, d).groupBy("src_pid").pivot("dst_pid", [0, 1, 2, 3]).count()
+    return wide.select("src_pid", *[F.coalesce(str(p), F.lit(0)).alias(f"to{p}") for p in range(4)])
+
+
+@_g("cut_pivot", f"SELECT src_pid, {_WIDE} FROM ({_CUT}) GROUP BY src_pid")
+def _(s, d):
+    return _wide(s, d)
+
+
+@_g("cut_unpivot", f"SELECT p.src_pid, q.dst_pid, (SELECT count(*) FROM ({_CUT}) c WHERE c.src_pid = p.src_pid AND c.dst_pid = q.dst_pid) AS n FROM (SELECT DISTINCT src_pid FROM ({_CUT})) p, (SELECT 'to' || i AS col, i AS dst_pid FROM (SELECT unnest(range(4))::INT AS i)) q")
 def _(s, d):
-    wide = _cut(s, d).groupBy("src_pid").pivot("dst_pid", [0, 1]).count()
-    return wide.select("src_pid", F.coalesce("0", F.lit(0)).alias("to0"), F.coalesce("1", F.lit(0)).alias("to1"))
+    return _wide(s, d).unpivot("src_pid", [f"to{p}" for p in range(4)], "col", "n").select("src_pid", F.substring("col", 3, 1).cast("int").alias("dst_pid"), "n")
 
 
 @_g("adjacency_lists", f"SELECT src AS vid, string_agg(dst::VARCHAR, ',' ORDER BY dst) AS adjacent FROM ({oracles.arcs('conv_turns')}) GROUP BY src")
@@ -213,16 +232,46 @@ def _(s, d):
     return drain(s, windowed_degree(event_stream(s, f"{d}/events.parquet"), "1 hour"), "complete", "tumbling")
 
 
-@_g("stream_session_users", None)
+_GAPS = "SELECT user_id, ts, coalesce(ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) >= INTERVAL 30 MINUTE, true)::INT AS opens FROM events"
+
+
+@_g("stream_session_users", f"SELECT min(ts) AS start, user_id, count(*) AS n FROM (SELECT *, sum(opens) OVER (PARTITION BY user_id ORDER BY ts) AS session FROM ({_GAPS})) GROUP BY user_id, session")
 def _(s, d):
     return drain(s, sessions(event_stream(s, f"{d}/events.parquet"), "30 minutes"), "complete", "sessions")
 
 
+@_g("stream_sliding_degree", "SELECT start, user_id, count(*) AS n FROM (SELECT user_id, unnest([time_bucket(INTERVAL 30 MINUTE, ts), time_bucket(INTERVAL 30 MINUTE, ts) - INTERVAL 30 MINUTE]) AS start FROM events) GROUP BY start, user_id")
+def _(s, d):
+    return drain(s, windowed_degree(event_stream(s, f"{d}/events.parquet"), "1 hour", "30 minutes"), "complete", "sliding")
+
+
+@_g("stream_edges", "SELECT user_id * 2 AS src, event_id * 2 + 1 AS dst, value AS weight FROM events WHERE event_type = 'purchase'")
+def _(s, d):
+    bought = event_stream(s, f"{d}/events.parquet").where("event_type = 'purchase'")
+    return drain(s, bought.select((F.col("user_id") * 2).alias("src"), (F.col("event_id") * 2 + 1).alias("dst"), F.col("value").alias("weight")), "append", "edges")
+
+
+@_g("stream_succession", f"SELECT src, dst FROM ({oracles.arcs('user_chain', True)})")
+def _(s, d):
+    return drain(s, succession(event_stream(s, f"{d}/events.parquet")), "append", "succession")
+
+
+@_g("stream_dedup", "SELECT DISTINCT date_trunc('hour', ts) AS hour, user_id, event_type FROM events")
+def _(s, d):
+    """One row per hour, user and type; state older than the watermark is let go."""
+    rows = event_stream(s, f"{d}/events.parquet").select(F.date_trunc("hour", "ts").alias("hour"), "user_id", "event_type")
+    once = rows.withWatermark("hour", "2 hours").dropDuplicates(["hour", "user_id", "event_type"])
+    return drain(s, once.select(F.col("hour").cast("timestamp_ntz").alias("hour"), "user_id", "event_type"), "append", "dedup")
+
+
+@_g("stream_join_static", "SELECT e.event_id, c.c_mktsegment FROM events e JOIN customer c ON c.c_custkey = e.user_id")
+def _(s, d):
+    customers = s.read.parquet(f"{d}/customer.parquet").select("c_custkey", "c_mktsegment")
+    return drain(s, event_stream(s, f"{d}/events.parquet").join(customers, F.col("c_custkey") == F.col("user_id")).select("event_id", "c_mktsegment"), "append", "static")
+
+
 @_g("stream_components", f"SELECT v AS vid, lab AS component FROM ({oracles.spread(oracles.arcs('conv_turns'), 'SELECT src AS vid FROM (' + oracles.arcs('conv_turns') + ') UNION SELECT dst FROM (' + oracles.arcs('conv_turns') + ')', False)})")
 def _(s, d):
-    """Edges in three batches; labels are the least vertex seen."""
-    edges = Scratch(s, "stream-edges").save(fixtures.conv_turns(s, d).edges.select("src", "dst"))
-    held = IncrementalComponents(s)
-    for part in range(3):
-        held.add(edges.where(F.pmod(F.xxhash64("src"), F.lit(3)) == part))
-    return held.labels.select(F.col("v").alias("vid"), F.col("label").alias("component"))
+    """Edge files taken in one at a time; labels are the least vertex seen."""
+    files = Scratch(s, "stream-edges").save(fixtures.conv_turns(s, d).edges.select("src", "dst").repartition(3, "src"))
+    return components_of_stream(s, files._scratch_path).select(F.col("v").alias("vid"), F.col("label").alias("component"))

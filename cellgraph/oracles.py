@@ -21,6 +21,16 @@ def spread(edges: str, vertices: str, greatest: bool = True, value: str = "vid")
   SELECT v, lab FROM cc"""
 
 
+def last_change(edges: str, vertices: str) -> str:
+    """``n``: the round in which greatest ids that travel one arc a round change a value for the last time."""
+    return f"""
+  WITH RECURSIVE e AS MATERIALIZED (SELECT DISTINCT src, dst FROM ({edges}) WHERE src <> dst), cc(v, lab, round) USING KEY (v) AS (
+    SELECT v, lab, 0 FROM ({vertices})
+    UNION
+    SELECT e.dst, max(u.lab), max(u.round) + 1 FROM cc u JOIN e ON u.v = e.src JOIN recurring.cc r ON r.v = e.dst WHERE u.lab > r.lab GROUP BY e.dst)
+  SELECT max(round) AS n FROM cc"""
+
+
 def components(name: str) -> str:
     return f"SELECT v AS vid, lab AS component FROM ({spread(arcs(name), vertices_sql(name))})"
 
@@ -41,9 +51,10 @@ def links(name: str, pid: str) -> str:
   SELECT p.*, a.cell_id AS src_cell, b.cell_id AS dst_cell FROM ({placed(name, pid)}) p JOIN cell a ON a.vid = p.src JOIN cell b ON b.vid = p.dst"""
 
 
-def distances(name: str, sources: list[int], weighted: bool = False, directed: bool = False) -> str:
-    cost = "weight::BIGINT" if weighted else "1::BIGINT"
-    seeds = " UNION ALL ".join(f"SELECT {s}::BIGINT AS v, 0::BIGINT AS d" for s in sources)
+def distances(name: str, sources: list[int] | str, weighted: bool = False, directed: bool = False, kind: str = "BIGINT") -> str:
+    """``sources``: ids, or SQL for one column of ids named v."""
+    cost = f"weight::{kind}" if weighted else f"1::{kind}"
+    seeds = f"SELECT v, 0::{kind} AS d FROM ({sources})" if isinstance(sources, str) else " UNION ALL ".join(f"SELECT {s}::BIGINT AS v, 0::{kind} AS d" for s in sources)
     return f"""
   WITH RECURSIVE e AS MATERIALIZED (SELECT src, dst, min({cost}) AS w FROM ({arcs(name, directed)}) WHERE src <> dst GROUP BY src, dst), sp(v, d) USING KEY (v) AS (
     SELECT v, d FROM ({seeds})

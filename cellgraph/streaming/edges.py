@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -30,6 +31,8 @@ def drain(spark: SparkSession, stream: DataFrame, mode: str, name: str) -> DataF
         out.append(scratch.save(batch))
 
     stream.writeStream.outputMode(mode).foreachBatch(keep).option("checkpointLocation", f"{shared_dir(spark)}/{name}-{os.urandom(6).hex()}").trigger(availableNow=True).start().awaitTermination()
+    if not out:  # nothing has arrived
+        return spark.createDataFrame([], stream.schema)
     result = out[0]
     for more in out[1:]:
         result = result.unionByName(more)
@@ -45,6 +48,31 @@ def sessions(stream: DataFrame, gap: str, late: str = "1 hour") -> DataFrame:
     return stream.withWatermark("ts", late).groupBy(F.session_window("ts", gap), "user_id").agg(F.count(F.lit(1)).alias("n")).select(F.col("session_window.start").cast("timestamp_ntz").alias("start"), "user_id", "n")
 
 
+def succession(stream: DataFrame) -> DataFrame:
+    """Edges ``(src, dst)`` from each event to the user's next one; the last event of a user is state.
+
+    Events of a micro-batch are put in order; one that arrives in a later batch than its successor is
+    joined to the user's last event at that time.
+    """
+
+    def follow(key, batches, state):
+        rows = pd.concat(list(batches)).sort_values(["ts", "event_id"])
+        ids = ([state.get[0]] if state.exists else []) + rows["event_id"].tolist()
+        state.update((ids[-1],))
+        yield pd.DataFrame({"src": ids[:-1], "dst": ids[1:]}, dtype="int64")
+
+    return stream.select("user_id", "ts", "event_id").groupBy("user_id").applyInPandasWithState(follow, "src long, dst long", "last long", "append", "NoTimeout")
+
+
+def components_of_stream(spark: SparkSession, folder: str, files_per_batch: int = 1) -> DataFrame:
+    """``(v, label)`` of edge files ``(src long, dst long)`` taken in as a stream, some files at a time."""
+    held = IncrementalComponents(spark)
+    stream = spark.readStream.schema("src long, dst long").option("maxFilesPerTrigger", files_per_batch).parquet(folder)
+    writer = stream.writeStream.foreachBatch(lambda batch, _: held.add(held.scratch.save(batch)))
+    writer.option("checkpointLocation", f"{shared_dir(spark)}/stream-components-{os.urandom(6).hex()}").trigger(availableNow=True).start().awaitTermination()
+    return held.labels if held.labels is not None else spark.createDataFrame([], "v long, label long")
+
+
 class IncrementalComponents:
     """Labels kept up to date batch by batch: new edges are lifted to labels, and only the label graph is solved."""
 
