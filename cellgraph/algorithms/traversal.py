@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import heapq
+from collections.abc import Callable
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -48,6 +49,22 @@ def components_cell(cg: CellGraph) -> tuple[DataFrame, Run]:
     return found.withColumnRenamed("value", "component"), run
 
 
+def components_uncached(read: Callable[[], Graph]) -> DataFrame:
+    """`components_vertex` as a chain of jobs that keep nothing but the labels: each round reads the graph anew and rewrites all labels."""
+    g = read()
+    scratch = Scratch(g.vertices.sparkSession, "uncached")
+    labels = scratch.save(g.vertices.select("vid", F.col("vid").alias("component")))
+    while True:
+        sent = read().weak().arcs().join(labels.withColumnRenamed("vid", "src"), "src").groupBy(F.col("dst").alias("vid")).agg(F.max("component").alias("new"))
+        grown = F.coalesce(F.col("new") > F.col("component"), F.lit(False))
+        nxt, got = scratch.counted(labels.join(sent, "vid", "left").select("vid", F.greatest("component", "new").alias("component"), grown.alias("grown")), n=F.count(F.when(F.col("grown"), 1)))
+        scratch.drop(labels)
+        labels = nxt.select("vid", "component")
+        labels._scratch_path = nxt._scratch_path
+        if not got["n"]:
+            return labels
+
+
 def component_stats(labels: DataFrame) -> DataFrame:
     return labels.groupBy("component").agg(F.count(F.lit(1)).alias("n"))
 
@@ -225,10 +242,10 @@ def eccentricity(g: Graph, source: int) -> tuple[int, int]:
     return _diameter_sweep(sssp_vertex(g, [source])[0])
 
 
-def diameter_lower_bound(g: Graph, start: int, sweeps: int = 2) -> int:
-    """Repeated sweeps: each starts where the last ended."""
+def diameter_lower_bound(g: Graph, start: int, sweeps: int = 2, cg: CellGraph | None = None) -> int:
+    """Repeated sweeps, each from where the last ended; by the cell engine if ``cg``, the same graph undirected, is given."""
     best, at = 0, start
     for _ in range(sweeps):
-        far, at = eccentricity(g, at)
+        far, at = _diameter_sweep(sssp_cell(cg, [at])[0]) if cg is not None and not cg.graph.directed else eccentricity(g, at)
         best = max(best, far)
     return best

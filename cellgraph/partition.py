@@ -33,37 +33,56 @@ def partition_range(g: Graph, k: int, order_by: str = "vid", accuracy: int = 10_
     return g.vertices.select("vid", inside.cast("int").alias("pid"))
 
 
-def partition_mincut(g: Graph, k: int, balance: float = 1.05, rounds: int = 6, refine: int = 4, seed: int = 1) -> DataFrame:
-    """Vertex-balanced parts with few cut edges.
-
-    Label propagation with a size cap grows clusters; the clusters, heaviest first, are packed into k
-    parts of at most ``balance`` times the mean (those that touch a part already, by most edges, join
-    it); then boundary vertices move to the part that holds most of their neighbours, as far as the
-    room there goes.  The cluster graph is what reaches the driver; its size is at most a few
-    thousand clusters per part, since clusters of less than the cap keep merging.
+def _grow(arcs: DataFrame, sizes: DataFrame, cap: int, rounds: int, seed: int, scratch: Scratch) -> DataFrame:
+    """``(vid, label)``: label propagation over weighted ``arcs(src, dst, n)`` between vertices of ``sizes(vid, size)``; no label grows beyond ``cap``."""
+    labels = scratch.save(sizes.select("vid", F.col("vid").alias("label"), "size"))
+    for r in range(rounds):
+        held = labels.groupBy("label").agg(F.sum("size").alias("held"))
+        votes = arcs.join(labels.select(F.col("vid").alias("dst"), "label"), "dst").groupBy("src", "label").agg(F.sum("n").alias("n"))
+        best = votes.join(held, "label").where(F.col("held") < cap).groupBy("src").agg(F.max(F.struct("n", "held", F.pmod(F.xxhash64(F.lit(seed + r), "label"), F.lit(1 << 30)).alias("h"), "label")).alias("b"))
+        wish = labels.join(best.withColumnRenamed("src", "vid"), "vid").select("vid", "size", F.col("b.label").alias("to"), F.col("b.held").alias("held"), "label").where("to <> label")
+        # a label takes no more newcomers than it has room for
+        taken = F.sum("size").over(Window.partitionBy("to").orderBy(F.xxhash64(F.lit(seed + r), "vid")).rowsBetween(Window.unboundedPreceding, 0))
+        moves = wish.withColumn("taken", taken).where(F.col("taken") + F.col("held") <= cap).select("vid", "to")
+        nxt = scratch.save(labels.join(moves, "vid", "left").select("vid", F.coalesce("to", "label").alias("label"), "size"))
+        scratch.drop(labels)
+        labels = nxt
+    return labels.select("vid", "label")
+
+
+def partition_mincut(g: Graph, k: int, balance: float = 1.05, rounds: int = 6, refine: int = 4, seed: int = 1, driver_clusters: int = 200_000) -> DataFrame:
+    """Parts with few cut edges, of at most ``balance`` times the mean number of vertices (and one more).
+
+    Label propagation with a size cap grows clusters; while there are more than ``driver_clusters``, the
+    clusters become the vertices of a smaller graph and grow again, and where that no longer helps, small
+    clusters are put together by hash.  That bounds what the driver looks at, at every size: it packs
+    the clusters into k parts, heaviest first, each joining those it has most edges with.  Then boundary
+    vertices move to the part that holds most of their neighbours, as far as the room there goes; at last
+    what a part holds over its limit goes to parts with room.
     """
     scratch = Scratch(g.vertices.sparkSession, "mincut")
     arcs = scratch.save(g.weak().arcs().where("src <> dst").select("src", "dst"))
     n = g.vertices.count()
+    if not n:
+        return g.vertices.select("vid", F.lit(0).alias("pid"))
     cap = max(1, n // (k * 8))
-    labels = scratch.save(g.vertices.select("vid", F.col("vid").alias("label")))
-    for r in range(rounds):
-        sizes = labels.groupBy("label").agg(F.count(F.lit(1)).alias("size"))
-        votes = arcs.join(labels.withColumnRenamed("vid", "dst"), "dst").groupBy("src", "label").agg(F.count(F.lit(1)).alias("n"))
-        best = votes.join(sizes, "label").where(F.col("size") < cap).groupBy("src").agg(F.max(F.struct("n", "size", F.pmod(F.xxhash64(F.lit(seed + r), "label"), F.lit(1 << 30)).alias("h"), "label")).alias("b"))
-        wish = labels.join(best.withColumnRenamed("src", "vid"), "vid").select("vid", "label", F.col("b.label").alias("to"), F.col("b.size").alias("size")).where("to <> label")
-        # a label takes no more newcomers than it has room for
-        turn = F.row_number().over(Window.partitionBy("to").orderBy(F.xxhash64(F.lit(seed + r), "vid")))
-        moves = wish.withColumn("turn", turn).where(F.col("turn") + F.col("size") <= cap).select("vid", "to")
-        nxt = scratch.save(labels.join(moves, "vid", "left").select("vid", F.coalesce("to", "label").alias("label")))
-        scratch.drop(labels)
-        labels = nxt
-    weight = {r["label"]: r["n"] for r in labels.groupBy("label").agg(F.count(F.lit(1)).alias("n")).collect()} if n <= 5_000_000 else None
-    if weight is None:  # too many clusters to look at in one place: whole clusters by hash
-        placed = labels.select("vid", F.pmod(F.xxhash64("label"), F.lit(k)).cast("int").alias("pid"))
-    else:
-        placed = labels.join(F.broadcast(_pack_clusters(labels, arcs, weight, k, balance)), "label").select("vid", "pid")
-    placed = scratch.save(placed)
+    one = F.lit(1).cast("long")
+    labels = scratch.save(_grow(arcs.withColumn("n", one), g.vertices.select("vid", one.alias("size")), cap, rounds, seed, scratch))
+    clusters = labels.select("label").distinct().count()
+    while clusters > driver_clusters:
+        sizes = scratch.save(labels.groupBy(F.col("label").alias("vid")).agg(F.count(F.lit(1)).alias("size")))
+        ends = labels.select(F.col("vid").alias("src"), F.col("label").alias("a")), labels.select(F.col("vid").alias("dst"), F.col("label").alias("b"))
+        between = scratch.save(arcs.join(ends[0], "src").join(ends[1], "dst").where("a <> b").groupBy(F.col("a").alias("src"), F.col("b").alias("dst")).agg(F.count(F.lit(1)).alias("n")))
+        up = scratch.save(_grow(between, sizes, cap, rounds, seed + 100, scratch))
+        fewer = up.select("label").distinct().count()
+        if fewer > clusters * 0.8:  # what is left hardly touches: clusters of like hash become one, which leaves at most half the limit
+            bins = max(1, driver_clusters // 2)
+            up = scratch.save(up.select("vid", F.pmod(F.xxhash64("label"), F.lit(bins)).alias("label")))
+            fewer = up.select("label").distinct().count()
+        labels = scratch.save(labels.join(up.select(F.col("vid").alias("label"), F.col("label").alias("next")), "label").select("vid", F.col("next").alias("label")))
+        clusters = fewer
+    weight = {r["label"]: r["n"] for r in labels.groupBy("label").agg(F.count(F.lit(1)).alias("n")).collect()}
+    placed = scratch.save(labels.join(F.broadcast(_pack_clusters(labels, arcs, weight, k, balance)), "label").select("vid", "pid"))
     limit = int(balance * n / k) + 1
     for _ in range(refine):
         load = placed.groupBy("pid").agg(F.count(F.lit(1)).alias("load"))
@@ -71,14 +90,47 @@ def partition_mincut(g: Graph, k: int, balance: float = 1.05, rounds: int = 6, r
         top = votes.groupBy("src").agg(F.max(F.struct("n", F.col("pid").alias("to"))).alias("t"))
         held = placed.join(votes.withColumnRenamed("src", "vid"), ["vid", "pid"]).select("vid", F.col("n").alias("held"))
         want = placed.join(top.withColumnRenamed("src", "vid"), "vid").join(held, "vid", "left").select("vid", "pid", F.col("t.to").alias("to"), (F.col("t.n") - F.coalesce("held", F.lit(0))).alias("gain"))
-        gains = want.where("to <> pid and gain > 0")
-        room = load.select(F.col("pid").alias("to"), (F.lit(limit) - F.col("load")).alias("room"))
-        turn = F.row_number().over(Window.partitionBy("to").orderBy(F.desc("gain"), "vid"))
-        moves = gains.join(F.broadcast(room), "to").withColumn("turn", turn).where("turn * 2 <= room").select("vid", "to")
+        gains = want.where("to <> pid and gain > 0").withColumn("bucket", F.pmod(F.xxhash64("vid"), F.lit(64)))
+        # each of 64 buckets of movers gets its share of half the room, so that no task holds all movers to a part
+        room = load.select(F.col("pid").alias("to"), F.floor((F.lit(limit) - F.col("load")) / 128.0).alias("room"))
+        turn = F.row_number().over(Window.partitionBy("to", "bucket").orderBy(F.desc("gain"), "vid"))
+        moves = gains.join(F.broadcast(room), "to").withColumn("turn", turn).where("turn <= greatest(room, 0)").select("vid", "to")
         nxt = scratch.save(placed.join(moves, "vid", "left").select("vid", F.coalesce("to", "pid").alias("pid")))
         scratch.drop(placed)
         placed = nxt
-    return placed
+    return _within_limit(placed, limit, k, scratch)
+
+
+def _within_limit(placed: DataFrame, limit: int, k: int, scratch: Scratch) -> DataFrame:
+    """Moves what is over a part's limit, by hash of the id, to parts with room; exact, by numbers per part and hash bucket."""
+    loads = {r["pid"]: r["n"] for r in placed.groupBy("pid").agg(F.count(F.lit(1)).alias("n")).collect()}
+    over = {p: c - limit for p, c in loads.items() if c > limit}
+    if not over:
+        return placed
+    spark = placed.sparkSession
+    free = [(p, limit - loads.get(p, 0)) for p in range(k) if loads.get(p, 0) < limit]
+    bucket = F.pmod(F.xxhash64(F.lit(7), "vid"), F.lit(1024))
+    counts = placed.where(F.col("pid").isin(list(over))).withColumn("bucket", bucket).groupBy("pid", "bucket").agg(F.count(F.lit(1)).alias("n")).collect()
+    quota, taken = [], dict.fromkeys(over, 0)
+    for r in sorted(counts, key=lambda r: (r["pid"], r["bucket"])):  # the first buckets leave, the last of them in part
+        leave = min(r["n"], over[r["pid"]] - taken[r["pid"]])
+        if leave <= 0:
+            continue
+        taken[r["pid"]] += leave
+        start = 0
+        while start < leave:
+            to, room = free[-1]
+            n = min(room, leave - start)
+            quota.append((r["pid"], r["bucket"], start, start + n, to))
+            start += n
+            free[-1] = (to, room - n)
+            if room == n:
+                free.pop()
+    table = F.broadcast(spark.createDataFrame(quota, "pid int, bucket long, first long, past long, to int"))
+    turn = F.row_number().over(Window.partitionBy("pid", "bucket").orderBy("vid")) - 1
+    leaving = placed.withColumn("bucket", bucket).join(F.broadcast(table.select("pid", "bucket").distinct()), ["pid", "bucket"]).withColumn("turn", turn)
+    moves = leaving.join(table, ["pid", "bucket"]).where("turn >= first and turn < past").select("vid", "to")
+    return scratch.save(placed.join(moves, "vid", "left").select("vid", F.coalesce("to", "pid").alias("pid")))
 
 
 def _pack_clusters(labels: DataFrame, arcs: DataFrame, weight: dict[int, int], k: int, balance: float) -> DataFrame:
@@ -125,25 +177,31 @@ def _pack_clusters(labels: DataFrame, arcs: DataFrame, weight: dict[int, int], k
     return labels.sparkSession.createDataFrame(list(where.items()), "label long, pid int")
 
 
-def balance_cells(assignment: DataFrame, cell_of: DataFrame, k: int, max_cells: int = 1_000_000) -> DataFrame:
-    """Deals whole cells anew, largest first to the emptiest part, so that parts are alike in vertices and cells.
+def balance_cells(cell_of: DataFrame, k: int, cores: int = 1) -> DataFrame:
+    """``(vid, pid)``: whole cells dealt anew, so that parts are alike in vertices and each has a multiple of ``cores`` units of like size.
 
-    Looks at one row per cell on the driver up to ``max_cells``; beyond, cells are dealt by snake order of size ranks.
+    A unit is a large cell, or the small cells of one hash bin taken together: at every size the driver
+    sees at most 64 large cells a part (those of over a 64th of a part) and 16 bins a core.  Units are
+    dealt largest first to the emptiest part that may still take one; empty bins fill up the number.
     """
     import heapq
 
+    spark = cell_of.sparkSession
     sizes = cell_of.groupBy("cell_id").agg(F.count(F.lit(1)).alias("n"))
-    spark = assignment.sparkSession
-    if sizes.count() <= max_cells:
-        heap = [(0, 0, p) for p in range(k)]
-        rows = []
-        for r in sorted(sizes.collect(), key=lambda r: (-r["n"], r["cell_id"])):
-            load, cells, p = heapq.heappop(heap)
-            rows.append((r["cell_id"], p))
-            heapq.heappush(heap, (load + r["n"], cells + 1, p))
-        table = spark.createDataFrame(rows, "cell_id long, pid int")
-    else:
-        bucket = F.floor(F.log2("n"))
-        turn = F.row_number().over(Window.partitionBy(bucket, F.pmod(F.xxhash64("cell_id"), F.lit(1024))).orderBy("cell_id"))
-        table = sizes.select("cell_id", F.pmod(turn + F.pmod(F.xxhash64("cell_id"), F.lit(1024)), F.lit(k)).cast("int").alias("pid"))
-    return cell_of.select("vid", "cell_id").join(table, "cell_id").select("vid", "pid")
+    total = cell_of.count()
+    large = F.col("n") * (64 * k) > total
+    bins = k * cores * 16
+    unit = F.when(large, F.struct(F.lit(1).alias("large"), F.col("cell_id").alias("u"))).otherwise(F.struct(F.lit(0).alias("large"), F.pmod(F.xxhash64("cell_id"), F.lit(bins)).alias("u")))
+    units = sizes.withColumn("unit", unit)
+    rows = [((r["unit"]["large"], r["unit"]["u"]), r["n"]) for r in units.groupBy("unit").agg(F.sum("n").alias("n")).collect()]
+    per_part = -(-len(rows) // (k * cores)) * cores
+    heap = [(0, p, 0) for p in range(k)]
+    table = []
+    for (is_large, u), n in sorted(rows, key=lambda r: (-r[1], r[0])):
+        load, p, held = heapq.heappop(heap)
+        table.append((is_large, u, p))
+        if held + 1 < per_part:
+            heapq.heappush(heap, (load + n, p, held + 1))
+    dealt = spark.createDataFrame(table, "large int, u long, pid int")
+    where = units.select("cell_id", "unit.large", "unit.u").join(F.broadcast(dealt), ["large", "u"]).select("cell_id", "pid")
+    return cell_of.select("vid", "cell_id").join(where, "cell_id").select("vid", "pid")
