@@ -1,9 +1,12 @@
 """Main-text extraction from HTML by minimum-cut labelling.
 
-A page becomes a sequence of text blocks.  A small linear classifier on tag path, class names, length
-and link share gives each block a cost for either label; these are the capacities to the two
-terminals.  Blocks that follow each other, and blocks under one parent, are joined by smoothness
-edges that weaken with their distance in the tree.  The minimum cut separates content from the rest.
+A page becomes a sequence of text blocks.  A classifier gives each block log-odds for content: a
+logistic model of its text (length, link share, how it ends, its tag), fitted on a bounded sample of
+pages whose own markup says what is article and what is not, plus evidence from where it stands
+(article, navigation, class names).  These are the capacities to the two terminals.  Blocks that
+follow each other, and blocks under one parent, are joined by smoothness edges that weaken with
+their distance in the tree, strong enough to overrule a block's own odds.  The minimum cut separates
+content from the rest.
 
 Blocks whose terminal cost outweighs all their edges keep their own label in every minimum cut; they
 are folded into their neighbours' costs first, and max-flow runs on what is left.
@@ -11,12 +14,14 @@ are folded into their neighbours' costs first, and max-flow runs on what is left
 
 from __future__ import annotations
 
+import math
 import re
-from collections import deque
+from collections import Counter, deque
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 from html import unescape
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -27,40 +32,43 @@ BLOCK_TAGS = frozenset(
 )
 VOID_TAGS = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW_TAGS = frozenset("script style textarea title iframe noembed noframes xmp".split())
-DROPPED_TAGS = frozenset("script style textarea title iframe noembed noframes xmp template noscript svg math canvas object audio video select button datalist".split())
-AVOIDED_TAGS = frozenset("nav footer aside form menu dialog".split())
+DROPPED_TAGS = frozenset("script style textarea title iframe noembed noframes xmp template noscript svg math canvas object audio video".split())
+AVOIDED_TAGS = frozenset("nav footer aside form menu dialog select datalist button".split())
 AVOIDED_ROLES = frozenset("navigation banner contentinfo complementary search form dialog alertdialog alert menu menubar toolbar tablist".split())
-AVOIDED_NAMES = frozenset(
-    "ad ads adv advert adverts advertisement advertising adsense adslot sponsor sponsored sponsors promo promoted promotion nav navbar navigation menu breadcrumb breadcrumbs sidebar rail footer masthead banner cookie cookies consent gdpr notice notices notification alert comment comments commentlist disqus reply replies respond discussion share sharing social related recommended recommendations newsletter subscribe subscription signup popup modal overlay login search widget widgets pagination pager copyright disclaimer toolbar skip outbrain taboola".split()
+TELLING_NAMES = frozenset(
+    "ad ads adv advert adverts advertisement advertising adsense adslot nav navbar navigation menu breadcrumb breadcrumbs sidebar footer cookie cookies consent gdpr comment comments commentlist disqus replies newsletter popup modal outbrain taboola".split()
+)
+HINTING_NAMES = frozenset(
+    "sponsor sponsored sponsors promo promoted promotion rail masthead banner notice notices notification alert reply respond discussion share sharing social related recommended recommendations subscribe subscription signup overlay login search widget widgets pagination pager copyright disclaimer toolbar skip".split()
+)
+NEUTRAL_NAMES = frozenset(
+    "article articles post posts story stories news entry entries main primary secondary text body page site wrap wrapper container layout box bar block area section panel list links link items item buttons button icons icon inner outer top bottom left right header head title content unit slot row col column group form field input count count meta info small large sticky fixed the and of".split()
 )
-WANTED_NAMES = frozenset("article articlebody content post entry story main text body copy page wrapper container layout has with no without site".split())
 CLOSED_BY_BLOCK = frozenset("p h1 h2 h3 h4 h5 h6".split())
 ITEM_SCOPES = {"li": ("ul", "ol", "menu"), "dt": ("dl",), "dd": ("dl",), "tr": ("table",), "td": ("tr", "table"), "th": ("tr", "table"), "option": ("select",)}
 
 _MARKUP = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)([^>\"']*(?:\"[^\"]*\"[^>\"']*|'[^']*'[^>\"']*)*)>|<(/?)([a-zA-Z][^\s/>]*)([^>]*)(?:>|\Z)", re.S)
 _ATTRIBUTE = re.compile(r"""([^\s=/"'>]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""")
 _NAME_PARTS = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
-_HIDDEN = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden", re.I)
+
+
+#: Features of a block's text, in the order of their weights.
+TEXT_FEATURES = ("any", "long", "sentence", "short", "linked", "heading", "paragraph", "copyright")
 
 
 @dataclass(frozen=True)
 class Weights:
-    """The classifier: log-odds for content, and the smoothness of the labelling."""
-
-    base: float = 1.0
-    inside_main: float = 3.0
-    avoided: float = -9.0
-    page_header: float = -7.0
-    long_text: float = 1.5
-    sentence: float = 1.0
-    short_text: float = -0.7
-    linked: float = -3.5
-    first_heading: float = 1.5
-    heading: float = 0.5
-    paragraph: float = 0.7
-    copyright: float = -4.0
-    adjacent: float = 0.6
-    same_parent: float = 0.4
+    """Log-odds for content: of the text features (fitted), of the place (evidence), and the smoothness of the labelling."""
+
+    text: tuple[float, ...] = (0.0, 1.5, 1.0, -0.7, -3.0, 0.5, 0.7, -2.0)
+    text_limit: float = 2.5
+    inside_main: float = 2.0
+    tag: float = -6.0
+    telling_name: float = -6.0
+    hinting_name: float = -2.0
+    page_header: float = -5.0
+    adjacent: float = 1.2
+    same_parent: float = 0.8
 
 
 @dataclass
@@ -69,7 +77,8 @@ class Node:
     parent: Node | None
     depth: int
     main: bool
-    avoided: bool
+    avoided: bool  # by tag or role
+    named: int  # 2: a telling class name, 1: a hint
     header: bool
     linked: bool
 
@@ -82,27 +91,42 @@ class Block:
     text: str = ""
 
 
+def name_evidence(names: str) -> int:
+    """2 if a class name or id tells that this is no article, 1 if it hints at it, 0 else.
+
+    A name counts only if all its parts are of that kind or neutral: ``share-bar`` does, ``share-price`` does not.
+    """
+    found = 0
+    for name in names.split():
+        parts = {p.lower() for p in _NAME_PARTS.findall(name)}
+        if parts & TELLING_NAMES and parts <= TELLING_NAMES | HINTING_NAMES | NEUTRAL_NAMES:
+            return 2
+        if parts & HINTING_NAMES and parts <= HINTING_NAMES | NEUTRAL_NAMES:
+            found = 1
+    return found
+
+
 def _opened(tag: str, attributes: str, parent: Node) -> Node:
     main = parent.main or tag in ("article", "main")
     avoided = parent.avoided or tag in AVOIDED_TAGS
     header = parent.header or (tag == "header" and not main)
-    if attributes and not avoided and tag not in ("html", "body", "main", "article"):
-        named = {k.lower(): a or b or c for k, a, b, c in _ATTRIBUTE.findall(attributes)}
-        if "class" in named or "id" in named or "role" in named or "hidden" in named or "style" in named or "aria-hidden" in named:
-            names = {p.lower() for p in _NAME_PARTS.findall(f"{named.get('class', '')} {named.get('id', '')}")}
-            bad = names & AVOIDED_NAMES
-            avoided = bool(bad) and not names & WANTED_NAMES or bool(bad & {"comment", "comments", "ad", "ads", "advert"}) or named.get("role", "").lower() in AVOIDED_ROLES
-            avoided = avoided or "hidden" in named or named.get("aria-hidden", "").lower() == "true" or bool(_HIDDEN.search(named.get("style", "")))
-            if "header" in names and not main and not names & {"entry", "post", "article"}:
-                header = True
-            if named.get("role", "").lower() == "main" or named.get("itemprop", "").lower() == "articlebody":
-                main = True
-    return Node(tag, parent, parent.depth + 1, main, avoided, header, parent.linked or tag == "a")
+    named = parent.named
+    if attributes and tag not in ("html", "body", "main", "article"):
+        given = {k.lower(): a or b or c for k, a, b, c in _ATTRIBUTE.findall(attributes)}
+        names = f"{given.get('class', '')} {given.get('id', '')}"
+        named = max(named, name_evidence(names))
+        avoided = avoided or given.get("role", "").lower() in AVOIDED_ROLES
+        if not main and any(p.lower() in ("header", "masthead") for n in names.split() for p in [n]):
+            header = True
+        if given.get("role", "").lower() == "main" or given.get("itemprop", "").lower() == "articlebody":
+            main = True
+    return Node(tag, parent, parent.depth + 1, main, avoided, named, header, parent.linked or tag == "a")
 
 
 def blocks_of(html: str) -> list[Block]:
     """The page's text blocks in order, white space settled, empty ones left out."""
-    root = Node("#root", None, 0, False, False, False, False)
+    root = Node("#root", None, 0, False, False, 0, False, False)
+    unclosed: set[str] = set()
     stack, out, current, at, end = [root], [], None, 0, len(html)
 
     def add(raw: str) -> None:
@@ -146,8 +170,9 @@ def blocks_of(html: str) -> list[Block]:
         if tag in DROPPED_TAGS:
             if attributes.endswith("/"):
                 continue
-            stop = re.compile(rf"</{re.escape(tag)}[\s/>]", re.I).search(html, at)
+            stop = None if tag in unclosed else re.compile(rf"</{re.escape(tag)}[\s/>]", re.I).search(html, at)
             if stop is None:
+                unclosed.add(tag)  # nor does it close further on
                 at = end if tag in RAW_TAGS else at
             else:
                 at = html.find(">", stop.start()) + 1 or end
@@ -182,34 +207,62 @@ def blocks_of(html: str) -> list[Block]:
     return kept
 
 
-def content_odds(b: Block, first_heading: bool, w: Weights) -> float:
-    """Log-odds that the block is content."""
-    n, t = b.node, b.text
+def text_features(b: Block) -> int:
+    """`TEXT_FEATURES` as bits."""
+    t, tag = b.text, b.node.tag
     words = t.count(" ") + 1
-    odds = w.base + (w.inside_main if n.main else 0.0)
+    heading = tag in ("h1", "h2", "h3", "h4", "h5", "h6")
+    on = (True, words >= 20, words >= 6 and t[-1] in ".!?…\"'”»:;", words < 4 and not heading, b.linked * 2 > len(t), heading, tag == "p", t[0] == "©" or t[:9].lower() == "copyright")
+    return sum(1 << i for i, x in enumerate(on) if x)
+
+
+def content_odds(b: Block, w: Weights) -> float:
+    """Log-odds that the block is content."""
+    n, bits = b.node, text_features(b)
+    odds = sum(x for i, x in enumerate(w.text) if bits >> i & 1)
+    odds = max(-w.text_limit, min(w.text_limit, odds))
+    if n.main:
+        odds += w.inside_main
     if n.avoided:
-        odds += w.avoided
+        odds += w.tag
+    if n.named:
+        odds += w.telling_name if n.named == 2 else w.hinting_name
     if n.header:
         odds += w.page_header
-    if words >= 20:
-        odds += w.long_text
-    if words >= 6 and t[-1] in ".!?…\"'”»:;":
-        odds += w.sentence
-    elif words < 4:
-        odds += w.short_text
-    if b.linked * 2 > len(t):
-        odds += w.linked
-    if n.tag == "h1" and first_heading:
-        odds += w.first_heading
-    elif n.tag in ("h1", "h2", "h3", "h4", "h5", "h6"):
-        odds += w.heading
-    elif n.tag == "p":
-        odds += w.paragraph
-    if t[0] == "©" or t[:9].lower() == "copyright":
-        odds += w.copyright
     return odds
 
 
+def own_label(b: Block) -> int:
+    """What the page's markup says of a block: 1 for article, 0 for none, -1 if it says nothing."""
+    n = b.node
+    outside = n.avoided or n.named == 2 or n.header
+    return 0 if outside else 1 if n.main and not n.named else -1
+
+
+def fit_text_weights(counts: dict[tuple[int, int], int], prior: Weights = Weights(), strength: float = 4.0, steps: int = 25) -> Weights:
+    """Logistic regression of the label on the text features from ``counts[features, label]``, both labels weighing alike.
+
+    ``strength`` pulls towards the prior's weights; features that were never seen keep those.
+    """
+    rows = [(f, y, n) for (f, y), n in sorted(counts.items()) if y >= 0]
+    totals = Counter()
+    for _, y, n in rows:
+        totals[y] += n
+    if len(totals) < 2:
+        return prior
+    x = np.array([[f >> i & 1 for i in range(len(TEXT_FEATURES))] for f, _, _ in rows], dtype=float)
+    y = np.array([y for _, y, _ in rows], dtype=float)
+    n = np.array([n / totals[y] for _, y, n in rows]) * 100.0
+    start = np.array(prior.text)
+    w = start.copy()
+    for _ in range(steps):  # Newton steps
+        p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
+        grad = x.T @ (n * (y - p)) - strength * (w - start)
+        hess = (x * (n * p * (1 - p))[:, None]).T @ x + strength * np.eye(len(w))
+        w = w + np.linalg.solve(hess, grad)
+    return replace(prior, text=tuple(round(float(v), 6) for v in w))
+
+
 def tree_distance(a: Node, b: Node) -> int:
     steps = 0
     while a is not b:
@@ -297,40 +350,76 @@ def _source_side(pull: list[float], arcs: dict[tuple[int, int], float]) -> list[
                 trail.pop()
 
 
-def extract(html: str | None, weights: Weights = Weights()) -> str:
-    """The page's main text: its content blocks in page order, one per line."""
-    blocks = blocks_of(html) if html else []
-    if not blocks:
-        return ""
-    odds, seen_heading = [], False
-    for b in blocks:
-        odds.append(content_odds(b, not seen_heading, weights))
-        seen_heading = seen_heading or b.node.tag == "h1"
+def page_costs(blocks: list[Block], w: Weights) -> tuple[list[float], dict[tuple[int, int], float]]:
+    """Terminal capacities (log-odds) and smoothness edges of a page."""
     edges: dict[tuple[int, int], float] = {}
     last_under: dict[int, int] = {}
     for i, b in enumerate(blocks):
         if i:
-            edges[(i - 1, i)] = weights.adjacent * 2.0 ** -(tree_distance(blocks[i - 1].node, b.node) / 2)
+            edges[(i - 1, i)] = w.adjacent * 2.0 ** (-tree_distance(blocks[i - 1].node, b.node) / 2)
         parent = id(b.node.parent)
         if parent in last_under:
             pair = (last_under[parent], i)
-            edges[pair] = edges.get(pair, 0.0) + weights.same_parent
+            edges[pair] = edges.get(pair, 0.0) + w.same_parent
         last_under[parent] = i
-    return "\n".join(b.text for b, content in zip(blocks, min_cut(odds, edges), strict=True) if content)
+    return [content_odds(b, w) for b in blocks], edges
+
+
+def extract(html: str | None, weights: Weights = Weights()) -> str:
+    """The page's main text: its content blocks in page order, one per line."""
+    blocks = blocks_of(html) if html else []
+    if not blocks:
+        return ""
+    return "\n".join(b.text for b, content in zip(blocks, min_cut(*page_costs(blocks, weights)), strict=True) if content)
+
+
+def cut_effect(html: str | None, weights: Weights = Weights()) -> tuple[int, int]:
+    """(blocks, blocks whose label differs from the sign of their own odds)."""
+    blocks = blocks_of(html) if html else []
+    if not blocks:
+        return 0, 0
+    odds, edges = page_costs(blocks, weights)
+    return len(blocks), sum(label != (o > 0) for label, o in zip(min_cut(odds, edges), odds, strict=True))
+
+
+def fit_weights(pages: DataFrame, id_col: str = "page_id", html_col: str = "html", sample: int = 2000, seed: int = 5) -> Weights:
+    """Fits the text weights on about ``sample`` pages by id hash, all pages if there are fewer.
+
+    The driver gets a count per combination of the binary text features and label.
+    """
+    total = pages.count()
+    if not total:
+        return Weights()
+    near = F.pmod(F.xxhash64(F.lit(seed), id_col), F.lit(1 << 30)) < math.ceil((1 << 30) * min(1.0, sample / total))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: Counter = Counter()
+        for b in batches:
+            for h in b.column(0):
+                seen.update((text_features(x), own_label(x)) for x in blocks_of(h.as_py() or ""))
+        rows = sorted((f, y, n) for (f, y), n in seen.items() if y >= 0)
+        cols = list(zip(*rows, strict=True)) or [(), (), ()]
+        yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names=["f", "y", "n"])
+
+    chosen = pages.where(F.coalesce(near, F.lit(True))).select(html_col)
+    counts = chosen.mapInArrow(run, "f long, y long, n long").groupBy("f", "y").agg(F.sum("n").alias("n")).collect()
+    return fit_text_weights({(r["f"], r["y"]): r["n"] for r in counts})
 
 
-def extract_text(pages: DataFrame, id_col: str = "page_id", html_col: str = "html", keep: tuple[str, ...] = ("url",), weights: Weights = Weights()) -> DataFrame:
-    """``(id, keep.., text, n_chars)`` from whole pages, one pass, no shuffle.
+def extract_text(pages: DataFrame, id_col: str = "page_id", html_col: str = "html", keep: tuple[str, ...] = ("url",), weights: Weights | None = None) -> DataFrame:
+    """``(id, keep.., text, n_chars)`` from whole pages: one pass without a shuffle, after `fit_weights` unless weights are given.
 
     A null or empty page, and one without content, has the text ''.  Broken markup is read as far as it
-    goes.  Repeated rows get equal answers; ids may be null.
+    goes, in time linear in the page.  Repeated rows get equal answers; ids may be null; an empty table gives an empty
+    result; other columns are ignored.
     """
+    fitted = fit_weights(pages, id_col, html_col) if weights is None else weights
     columns = [id_col, *keep]
     schema = pages.select(*columns).schema.add("text", "string").add("n_chars", "long")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            texts = [extract(h.as_py(), weights) for h in b.column(len(columns))]
+            texts = [extract(h.as_py(), fitted) for h in b.column(len(columns))]
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=[*columns, "text", "n_chars"])
 
     return pages.select(*columns, html_col).mapInArrow(run, schema)
