@@ -1,6 +1,7 @@
 """Toxicity scoring behind a noisy-channel deobfuscator.
 
-Writers hide words by look-alike characters, by spacing letters out and by repeating them.  Each
+Writers hide words by look-alike characters, by spacing letters out and by repeating them.
+Compatibility forms and letters of other alphabets that look like Latin ones are folded.  Each
 suspicious word becomes a lattice: a position offers the letters that its character may stand for, a
 repeated letter may be one letter, a separator may be nothing.  Viterbi decoding under a character
 trigram model of the corpus picks the likeliest reading.  The restored words and their beginnings
@@ -28,10 +29,13 @@ LOOKALIKES = {
     "0": "o", "1": "il", "2": "z", "3": "e", "4": "a", "5": "s", "6": "gb", "7": "t", "8": "b", "9": "g",
     "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "(": "c", "<": "c", "€": "e", "£": "l", "¡": "i", "*": "",
 }
+#: Cyrillic and Greek letters that look like Latin ones, and those.
+HOMOGLYPHS = str.maketrans("асеіјорѕухԁһӏкмтвнαειοκνρτυχ", "aceijopsyxdhlkmtbnaeioknptux")
 SEPARATORS = ".-_*·~'"
 N_SYMBOLS = 64  # the trigram model's alphabet: boundary, a-z, other letters folded into the rest
 _PLAIN = re.compile(r"[^\W\d_]+\Z").match
 _TRIPLE = re.compile(r"(.)\1\1").search
+_DOUBLE = re.compile(r"(.)\1")
 _SPACED = re.compile(r"(?<!\S)(?:[^\W_]|[@$!|+(]|[0-9])(?:[ .\-_*·~]{1,2}(?:[^\W_]|[@$!|+(])){2,}(?!\S)")
 _EDGE = re.compile(r"^[^\w@$!|+(<€£¡]+|(?:[^\w@$+€]+|([@$+€])\1{2,})+\Z")
 _TOKEN = re.compile(r"\S+")
@@ -151,14 +155,24 @@ class Restorer:
     in the parts between their separators.
     """
 
-    def __init__(self, model: CharModel, wanted: frozenset[str] | None = None, memory: int = 120_000):
+    def __init__(self, model: CharModel, wanted: frozenset[str] | None = None, memory: int = 80_000):
         self.model, self.wanted, self.memory, self.known = model, wanted, memory, {}
+        self.single = frozenset(_DOUBLE.sub(r"\1", f) for f in wanted or ())
+
+    def _doubled(self, word: str) -> bool:
+        """Whether a plain word with doubled letters could be a wanted one with single letters; only then its lattice is decoded."""
+        if self.wanted is None or not _DOUBLE.search(word):
+            return False
+        thin = _DOUBLE.sub(r"\1", word)
+        return thin in self.single or any("^" + thin[:k] in self.single for k in (3, 4, 5, 6) if len(thin) > k)
 
     def token_words(self, token: str) -> tuple[str, ...]:
         core = _EDGE.sub("", token)
         if not core:
             return ()
         if _PLAIN(core) and not _TRIPLE(core):
+            if self._doubled(core) and (read := decode(core, self.model)) != core:
+                return (core, read)
             return (core,)
         pieces = tuple(w for w in _WORDS.findall(core) if len(w) > 1)
         if not any(c.isalpha() for c in core):
@@ -183,27 +197,34 @@ class Restorer:
                     found.add(part)
         return found
 
+    def _folded(self, token: str) -> tuple[str, ...]:
+        """The words of the token with look-alikes of other alphabets folded, if it has any."""
+        if token.isascii() or (latin := token.translate(HOMOGLYPHS)) == token:
+            return ()
+        mixed = any("a" <= c <= "z" for c in token)
+        return self.token_words(latin) if mixed or latin.isascii() else ()
+
     def _features(self, words: Iterable[str]) -> tuple[str, ...]:
         return tuple(f for w in words for f in features(w) if self.wanted is None or f in self.wanted)
 
     def features_of(self, text: str | None) -> set[str]:
-        """Features of the distinct words of the whole text, lower-cased, letters composed."""
+        """Features of the distinct words of the whole text, lower-cased, in compatibility form."""
         if not text:
             return set()
-        text = text.lower()
         if not text.isascii():
-            text = unicodedata.normalize("NFC", text)
+            text = unicodedata.normalize("NFKC", text)
+        text = text.lower()
         known, out = self.known, set()
         for token in set(text.split()):
             found = known.get(token)
             if found is None:
-                found = self._features(self.token_words(token))
+                found = self._features((*self.token_words(token), *self._folded(token)))
                 if len(known) >= self.memory:
                     known.clear()
                 known[token] = found
             if found:
                 out.update(found)
-        for m in _SPACED.finditer(text):
+        for m in _SPACED.finditer(text if text.isascii() else text.translate(HOMOGLYPHS)):
             joined = _GAP.sub("", m[0])
             out.update(self._features([decode(joined, self.model), *decode(joined, self.model, breaks=True).split()]))
             if len(words := _WIDE_GAP.split(m[0])) > 1:
@@ -241,7 +262,10 @@ def fit_logistic(rows: list[np.ndarray], y: np.ndarray, n: int, l2: float = 0.3,
 
 
 def corpus_char_model(docs: DataFrame, text_col: str = "text") -> CharModel:
-    """Trigram counts of all texts, summed on the executors; the driver gets one row per trigram of a fixed alphabet."""
+    """Trigram counts of all texts, summed on the executors; the driver gets one row per trigram of a fixed alphabet.
+
+    Null and empty texts add nothing, and no texts at all give the uniform model; repeated rows count as often as they come.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(N_SYMBOLS**3, dtype=np.int64)
@@ -274,12 +298,12 @@ def _slices(batches: Iterator[pa.RecordBatch], rows: int) -> Iterator[pa.RecordB
             yield b.slice(at, rows)
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, may_learn, char_model: CharModel, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", min_docs: int = 3, min_gain: float = 10, min_lift: float = 1.5, max_features: int = 20_000, sample: int = 20_000, broadcast_labels: int = 2_000_000, seed: int = 9) -> ToxicModel:
+def fit_toxicity(docs: DataFrame, labels: DataFrame, may_learn, char_model: CharModel, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", min_docs: int = 3, min_gain: float = 7, min_lift: float = 1.5, max_features: int = 20_000, sample: int = 20_000, broadcast_labels: int = 2_000_000, seed: int = 9) -> ToxicModel:
     """Chooses features by their association with the label over all learnable rows, then fits weights.
 
     Feature counts are taken over every learnable labelled row, on the executors.  Features that are
     ``min_lift`` times as frequent among toxic rows as the label itself go on, at most ``max_features`` of highest
-    log-likelihood ratio (at least ``min_gain``); their weights are fitted on the driver from the
+    log-likelihood ratio (at least ``min_gain``; the bound keeps the model that every task gets below some MB); their weights are fitted on the driver from the
     feature numbers of about ``sample`` rows, chosen by id hash.  Of several labels of an id the highest
     counts; rows without a label or id teach nothing; without toxic rows every score is near 0.
     """
@@ -355,9 +379,13 @@ def toxicity_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     chars, model = train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
     scored = score_documents(docs, chars, model, keep_text=False)
-    return scored.select("doc_id", (F.crc32(F.col("doc_id").cast("string")) % 5 == 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+    return scored.select("doc_id", F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
 def reject_toxic(docs: DataFrame, chars: CharModel, model: ToxicModel, threshold: float = 0.5) -> DataFrame:
-    """``docs`` without the rows that score ``threshold`` or more; columns unchanged."""
+    """``docs`` without the rows that score ``threshold`` or more; columns unchanged.
+
+    Null and empty texts score the bias and stay as a rule; repeated rows share their fate; an empty table stays
+    empty; a column named ``_toxicity`` is not expected.
+    """
     return score_documents(docs, chars, model, out_col="_toxicity").where(F.col("_toxicity") < threshold).drop("_toxicity")

@@ -331,3 +331,12 @@ def test_deobfuscation_of_any_length():
     for gap in (" ", "  "):
         assert {"idiot", "trash", "pathetic", "loser"} <= restorer.features_of(gap.join(" ".join(w) for w in letters)), gap
     assert "moron" in restorer.features_of("ab-" * 20_000 + "m0r0n")
+
+
+def test_deobfuscation_of_other_alphabets_and_doubles():
+    words = "you are an idiot moron scum stupid pathetic clown loser the and of trash other people some thing little letter".split() * 200
+    model = toxicity.CharModel(toxicity.trigram_counts([" ".join(words)]))
+    restorer = toxicity.Restorer(model, frozenset(["idiot", "moron", "^path", "loser"]))
+    for text, feature in {"iidiot": "idiot", "moronn": "moron", "іdіоt": "idiot", "ｉｄｉｏｔ": "idiot", "Ｍｏｒｏｎ": "moron", "lоsеr!": "loser", "ppathetically": "^path", "y o u a r e a n i d i o t": "idiot", "і d і о t": "idiot"}.items():
+        assert feature in restorer.features_of(text), text
+    assert restorer.features_of("little letter people") == set()
