@@ -56,11 +56,11 @@ class LanguageModel:
         self.languages, self.code, self.weights, self.bias, self.ambiguity = languages, code, weights, bias, ambiguity
 
     @classmethod
-    def fit(cls, texts: list[str], labels: list[str], steps: int = 300, rate: float = 2.0, l2: float = 1e-4) -> LanguageModel:
-        """Full-batch logistic regression for all bits at once; classes weigh alike."""
+    def fit(cls, texts: list[str | np.ndarray], labels: list[str], steps: int = 300, rate: float = 2.0, l2: float = 1e-4) -> LanguageModel:
+        """Full-batch logistic regression for all bits at once, from texts or their n-gram shares; classes weigh alike."""
         languages = sorted(set(labels))
         code = codewords(len(languages))
-        x = np.stack([ngram_frequencies(t) for t in texts]).astype(np.float32) if texts else np.zeros((0, DIM), np.float32)
+        x = np.stack([ngram_frequencies(t) if isinstance(t, str) else t for t in texts]).astype(np.float32) if texts else np.zeros((0, DIM), np.float32)
         which = np.searchsorted(languages, labels) if texts else np.zeros(0, int)
         y = code[which]
         share = np.bincount(which, minlength=len(languages)) if len(which) else np.ones(1)
@@ -93,26 +93,43 @@ class LanguageModel:
 def fit_languages(docs: DataFrame, may_learn, text_col: str = "text", lang_col: str = "lang", id_col: str = "doc_id", per_language: int = 400, seed: int = 3) -> LanguageModel:
     """Fits on the ``per_language`` rows of least id hash of each language among those that ``may_learn``.
 
-    That bounds what reaches the driver: per_language texts of each of the languages.  Rows are ranked by
-    id alone, before any text is read.
+    That bounds what reaches the driver: ids of a few times that many rows, then the n-gram shares of the
+    chosen ones, which executors take from the whole texts.  Rows are ranked by id and language alone; a
+    text that is null or has no letter teaches nothing, and a null id or language is not chosen.
     """
-    ranked = docs.where(may_learn & F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(lang_col).alias("lang"), F.col(id_col).alias("id"), F.xxhash64(F.lit(seed), id_col).alias("h"))
-    tops = ranked.groupBy("lang").agg(F.min_by("id", "h").alias("first"), F.count(F.lit(1)).alias("n"))
-    limits = {r["lang"]: r["n"] for r in tops.collect()}
+    ranked = docs.where(may_learn & F.col(lang_col).isNotNull() & F.col(id_col).isNotNull()).select(F.col(lang_col).alias("lang"), F.col(id_col).alias("id"), F.xxhash64(F.lit(seed), id_col).alias("h"))
+    limits = {r["lang"]: r["n"] for r in ranked.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}
     # a hash threshold expected to pass a few times the wanted rows, then the exact smallest of those
     cut = F.lit(False)
     for lang, n in limits.items():
         share = min(1.0, 3.0 * per_language / n)
         cut = cut | ((F.col("lang") == lang) & (F.pmod("h", F.lit(1_000_000)) < int(share * 1_000_000) + 1))
-    chosen = {}
-    for r in ranked.where(cut).select("lang", "id", "h").toLocalIterator():
+    chosen: dict[str, list] = {}
+    for r in ranked.where(cut).toLocalIterator():
         chosen.setdefault(r["lang"], []).append((r["h"], r["id"]))
-    ids = [i for rows in chosen.values() for _, i in sorted(rows)[:per_language]]
-    spark = docs.sparkSession
-    wanted = spark.createDataFrame([(i,) for i in ids], f"_id {docs.schema[id_col].dataType.simpleString()}") if ids else None
-    rows = [] if wanted is None else docs.join(F.broadcast(wanted.distinct()), F.col(id_col) == F.col("_id"), "left_semi").where(may_learn & F.col(lang_col).isNotNull()).select(id_col, text_col, lang_col).collect()
-    rows = sorted((r for r in rows if has_letter(r[text_col])), key=lambda r: (r[id_col], r[text_col]))
-    return LanguageModel.fit([r[text_col] for r in rows], [r[lang_col] for r in rows])
+    ids = sorted({i for rows in chosen.values() for _, i in sorted(rows)[:per_language]})
+    if not ids:
+        return LanguageModel.fit([], [])
+    wanted = docs.sparkSession.createDataFrame([(i,) for i in ids], f"_id {docs.schema[id_col].dataType.simpleString()}")
+    rows = docs.join(F.broadcast(wanted), F.col(id_col) == F.col("_id"), "left_semi").where(may_learn & F.col(lang_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(lang_col).alias("lang"), F.col(text_col).alias("text"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i in range(b.num_rows):
+                text = b.column(2)[i].as_py()
+                if has_letter(text):
+                    shares = ngram_frequencies(text).astype(np.float32)
+                    at = np.flatnonzero(shares).astype(np.uint16)
+                    yield pa.RecordBatch.from_arrays([b.column(0).slice(i, 1), b.column(1).slice(i, 1), pa.array([at.tobytes()]), pa.array([shares[at].tobytes()])], names=["id", "lang", "at", "share"])
+
+    schema = rows.select("id", "lang").schema.add("at", "binary").add("share", "binary")
+    found = sorted(rows.mapInArrow(run, schema).collect(), key=lambda r: (r["id"], r["lang"], r["at"], r["share"]))
+    x = []
+    for r in found:
+        dense = np.zeros(DIM, dtype=np.float32)
+        dense[np.frombuffer(r["at"], dtype=np.uint16)] = np.frombuffer(r["share"], dtype=np.float32)
+        x.append(dense)
+    return LanguageModel.fit(x, [r["lang"] for r in found])
 
 
 def identify(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -134,4 +151,4 @@ def langid_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "lang")
     held_out = F.crc32(F.col("doc_id").cast("string")) % 3 == 1
     model = fit_languages(docs, ~held_out)
-    return identify(docs, model).select("doc_id", (F.crc32(F.col("doc_id").cast("string")) % 3 == 1).alias("held_out"), "lang_pred", "score", "ambiguous")
+    return identify(docs, model).select("doc_id", F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 3 == 1, F.lit(False)).alias("held_out"), "lang_pred", "score", "ambiguous")
