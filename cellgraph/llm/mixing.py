@@ -2,9 +2,9 @@
 
 Every document gets a hash-random key.  Within each source the keys are cut into equal ranges
 (the keys are uniform, so the ranges are balanced without sampling); the ranges' sizes give
-distributed prefix sums, which say in which range a source's budget runs out.  Only that one range
-per source is sorted document by document, and the budget is cut inside it to the exact word.
-Whole epochs are taken before the partial one when the budget exceeds the source.
+distributed prefix sums, which say in which range a source's budget runs out.  That range is cut
+into finer ones until it holds few documents, at any number of rows.  Only those few are sorted
+document by document, and the budget is cut inside them to the exact word.  Whole epochs are taken before the partial one when the budget exceeds the source.
 """
 
 from __future__ import annotations
@@ -43,13 +43,25 @@ def plan_targets(sizes: list[tuple[str | None, int]], weights: tuple[float, ...]
         capped |= {name: float(max_epochs * size[name]) for name in over}
 
 
+STEP = 10  # bits of the key that a pass looks at
+
+
+def _prefix(bits) -> F.Column:
+    return F.call_function("shiftright", F.col("_mix_key"), F.lit(64) - bits)
+
+
 class MixPlan:
     """Where each source's budget runs out: a few numbers per source, found from range sums alone."""
 
-    def __init__(self, rows: DataFrame, weights: tuple[float, ...], max_epochs: float):
-        """rows: ``_mix_source``, ``_mix_size`` and ``_mix_rng``.  One row per source is collected, no document."""
+    def __init__(self, rows: DataFrame, weights: tuple[float, ...], max_epochs: float, cut_rows: int = 4096):
+        """rows: ``_mix_source``, ``_mix_size`` and ``_mix_key``, stored.  One row per source is collected, no document.
+
+        The range in which a budget runs out is cut again while it holds more than ``cut_rows`` rows.
+        """
         spark = rows.sparkSession
-        per_range = Scratch(spark, "mix-ranges").save(rows.groupBy("_mix_source", "_mix_rng").agg(F.sum("_mix_size").alias("n")))
+        scratch = Scratch(spark, "mix-ranges")
+        sums = [F.sum("_mix_size").alias("n"), F.count(F.lit(1)).alias("c")]
+        per_range = scratch.save(rows.groupBy("_mix_source", _prefix(F.lit(STEP)).alias("rng")).agg(*sums))
         sizes = [tuple(r) for r in per_range.groupBy("_mix_source").agg(F.sum("n")).collect()]
         targets = plan_targets(sizes, weights, max_epochs)
         plan = []
@@ -57,25 +69,29 @@ class MixPlan:
             epochs, rest = divmod(int(targets[name] + 0.5), size) if size else (0, 0)
             plan.append((name, size, targets[name], epochs, rest))
         self.n_sources = len(plan)
-        whole = spark.createDataFrame(plan, "s string, source_size long, target double, _mix_epochs long, _mix_rest long")
-        before = F.sum("n").over(Window.partitionBy("_mix_source").orderBy("_mix_rng")) - F.col("n")
-        reached = (
-            per_range.withColumn("before", before)
-            .join(whole.select("s", "_mix_rest"), F.col("_mix_source").eqNullSafe(F.col("s")))
-            .where("before < _mix_rest")
-            .groupBy("s")
-            .agg(F.max(F.struct("_mix_rng", "before")).alias("at"))
-        )
-        cuts = {r["s"]: r["at"] for r in reached.collect()}
-        self.table = spark.createDataFrame(
-            [(*row, *(cuts.get(row[0]) or (None, None))) for row in plan],
-            "_mix_s string, source_size long, target double, _mix_epochs long, _mix_rest long, _mix_cut int, _mix_before long",
-        )
+        small = (lambda df: F.broadcast(df)) if self.n_sources <= 100_000 else (lambda df: df)
+        cuts = {name: (None, None, 0) for name, *_ in plan}  # bits, prefix, words before
+        todo, bits = {row[0]: row[4] for row in plan}, STEP
+        while todo:
+            open_ = spark.createDataFrame([(s, rest, cuts[s][2]) for s, rest in todo.items()], "s string, rest long, base long")
+            ends = F.sum("n").over(Window.partitionBy("_mix_source").orderBy("rng").rowsBetween(Window.unboundedPreceding, 0))
+            before = per_range.join(small(open_), F.col("_mix_source").eqNullSafe(F.col("s"))).withColumn("before", F.col("base") + ends - F.col("n"))
+            reached = before.where("before < rest").groupBy("s").agg(F.max(F.struct("rng", "before", "c")).alias("at")).collect()
+            todo_rows = {r["s"]: r["at"]["c"] for r in reached}
+            for r in reached:
+                cuts[r["s"]] = (bits, r["at"]["rng"], r["at"]["before"])
+            todo = {s: rest for s, rest in todo.items() if todo_rows.get(s, 0) > cut_rows and bits < 60}
+            if todo:
+                chosen = spark.createDataFrame([(s, cuts[s][1]) for s in todo], "s string, prefix long")
+                inside = rows.join(small(chosen), F.col("_mix_source").eqNullSafe(F.col("s")) & (_prefix(F.lit(bits)) == F.col("prefix")))
+                bits += STEP
+                per_range = scratch.save(inside.groupBy("_mix_source", _prefix(F.lit(bits)).alias("rng")).agg(*sums))
+        self.table = spark.createDataFrame([(*row, *cuts[row[0]]) for row in plan], "_mix_s string, source_size long, target double, _mix_epochs long, _mix_rest long, _mix_bits int, _mix_cut long, _mix_before long")
 
     def place(self, rows: DataFrame) -> DataFrame:
         """Adds ``taken``; only rows of the range where a source's budget ends are shuffled and sorted."""
         table = F.broadcast(self.table) if self.n_sources <= 100_000 else self.table
-        placed = rows.join(table, F.col("_mix_source").eqNullSafe(F.col("_mix_s")))
+        placed = rows.join(table, F.col("_mix_source").eqNullSafe(F.col("_mix_s"))).withColumn("_mix_rng", _prefix(F.coalesce("_mix_bits", F.lit(STEP))))
         inside = F.col("_mix_cut").isNotNull() & (F.col("_mix_rng") == F.col("_mix_cut"))
         outer = placed.where(~inside).withColumn("_mix_part", F.when(F.col("_mix_rng") < F.col("_mix_cut"), F.col("_mix_size")).otherwise(F.lit(0)))
         order = Window.partitionBy("_mix_source").orderBy("_mix_key", "_mix_id", "_mix_size").rowsBetween(Window.unboundedPreceding, 0)
@@ -84,16 +100,10 @@ class MixPlan:
         return outer.unionByName(edge).withColumn("taken", (F.col("_mix_epochs") * F.col("_mix_size") + F.coalesce("_mix_part", F.lit(0))).cast("long"))
 
 
-def _keyed(docs: DataFrame, size, id_col: str, source_col: str, seed: int, range_bits: int) -> DataFrame:
-    key = F.xxhash64(F.lit(seed), F.col(id_col))
-    return docs.select(
-        "*",
-        F.col(id_col).alias("_mix_id"),
-        F.col(source_col).alias("_mix_source"),
-        size.alias("_mix_size"),
-        key.alias("_mix_key"),
-        (F.shiftright(key, 64 - range_bits) + (1 << (range_bits - 1))).cast("int").alias("_mix_rng"),
-    )
+def _keyed(docs: DataFrame, size, id_col: str, source_col: str, seed: int, tie) -> DataFrame:
+    """Adds the mixing columns; rows without an id get their key from ``tie``."""
+    key = F.xxhash64(F.lit(seed), F.col(id_col), F.when(F.col(id_col).isNull(), tie))
+    return docs.select("*", F.col(id_col).alias("_mix_id"), F.col(source_col).alias("_mix_source"), size.alias("_mix_size"), key.alias("_mix_key"))
 
 
 def mix(
@@ -104,7 +114,8 @@ def mix(
     weights: tuple[float, ...] = (5, 2, 1),
     max_epochs: float = 3,
     seed: int = 17,
-    range_bits: int = 10,
+    tie_col: str | None = None,
+    cut_rows: int = 4096,
 ) -> DataFrame:
     """``(id, source, size, source_size, target, taken, mix_key)`` for every row.
 
@@ -112,30 +123,36 @@ def mix(
     last, partial epoch in key order that is cut at the budget, the boundary row in part.  Each
     source's taken sum is its target rounded to a whole number.  Rows of size 0 or null (null or empty
     texts) take 0; a null source is a source; rows of equal id are told apart by size and are otherwise
-    interchangeable; an empty table gives an empty result; other columns are ignored.
+    interchangeable; rows of null id get their keys from ``tie_col`` (by default their size); an empty table
+    gives an empty result; other columns are ignored.
     """
-    slim = docs.select(F.col(id_col).alias("id"), F.col(source_col).alias("source"), F.coalesce(F.col(size_col).cast("long"), F.lit(0)).alias("size"))
-    rows = Scratch(docs.sparkSession, "mix").save(_keyed(slim, F.col("size"), "id", "source", seed, range_bits))
-    placed = MixPlan(rows, weights, max_epochs).place(rows)
+    tie = F.col(size_col if tie_col is None else tie_col).alias("tie")
+    slim = docs.select(F.col(id_col).alias("id"), F.col(source_col).alias("source"), F.coalesce(F.col(size_col).cast("long"), F.lit(0)).alias("size"), tie)
+    rows = Scratch(docs.sparkSession, "mix").save(_keyed(slim, F.col("size"), "id", "source", seed, F.col("tie")).drop("tie"))
+    placed = MixPlan(rows, weights, max_epochs, cut_rows).place(rows)
     return placed.select(F.col("id").alias(id_col), "source", "size", "source_size", "target", "taken", F.col("_mix_key").alias("mix_key"))
 
 
 def mix_documents(docs: DataFrame, **options) -> DataFrame:
     """`mix` over a table of documents, sized by their words."""
-    return mix(docs.select("doc_id", "source", word_count(F.col("text")).alias("size")), **options)
+    return mix(docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), F.xxhash64("text").alias("tie")), tie_col="tie", **options)
 
 
-def apply_mix(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), max_epochs: float = 3, seed: int = 17, range_bits: int = 10) -> DataFrame:
-    """The mixed corpus itself, with the columns of ``docs``; texts are not shuffled, except in the cut ranges.
+def apply_mix(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), max_epochs: float = 3, seed: int = 17, cut_rows: int = 4096) -> DataFrame:
+    """The mixed corpus itself, with the columns of ``docs``; texts are not shuffled, except those of the few rows where a budget ends.
 
     A document comes as often as the mix takes it, whole; the share of the boundary document is
-    rounded to whole copies (from one half up).  Documents without words cost no budget and come once.
+    rounded to whole copies (from one half up).  Null and empty texts, and others without words, cost no budget and
+    come once.  Repeated rows and rows of null id are mixed like others; a null source is a source; an empty
+    table gives an empty result; columns of any name but ``_mix_...`` are kept as they are.
     """
-    slim = _keyed(docs.select("doc_id", "source", word_count(F.col("text")).alias("size")), F.col("size"), "doc_id", "source", seed, range_bits)
-    plan = MixPlan(slim, weights, max_epochs)
-    placed = plan.place(_keyed(docs.select(F.struct("*").alias("_mix_doc"), "doc_id", "source", word_count(F.col("text")).alias("size")), F.col("size"), "doc_id", "source", seed, range_bits))
+    size, tie = word_count(F.col("text")), F.xxhash64("text")
+    slim = _keyed(docs.select("doc_id", "source", size.alias("size"), tie.alias("tie")), F.col("size"), "doc_id", "source", seed, F.col("tie"))
+    plan = MixPlan(Scratch(docs.sparkSession, "mix").save(slim.select("_mix_source", "_mix_size", "_mix_key")), weights, max_epochs, cut_rows)
+    whole = docs.select(F.struct("*").alias("_mix_doc"))
+    keyed = _keyed(whole, word_count(F.col("_mix_doc.text")), "_mix_doc.doc_id", "_mix_doc.source", seed, F.xxhash64("_mix_doc.text"))
     copies = F.when(F.col("_mix_size") == 0, F.lit(1)).otherwise(F.floor(F.col("taken") / F.col("_mix_size") + 0.5)).cast("int")
-    return placed.select("_mix_doc", F.explode(F.array_repeat(F.lit(1), copies)).alias("_mix_copy")).select("_mix_doc.*")
+    return plan.place(keyed).select("_mix_doc", F.explode(F.array_repeat(F.lit(1), copies)).alias("_mix_copy")).select("_mix_doc.*")
 
 
 def mix_query(spark: SparkSession, sf_dir: str) -> DataFrame:
