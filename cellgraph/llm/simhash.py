@@ -152,191 +152,3 @@ def simhash_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     out = near_duplicates(docs)
     return out.select(F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
-
-
-# --- documents of high resemblance -------------------------------------------------------------
-
-
-def shingle_hashes(text: str | None, words: int, seed: int) -> np.ndarray:
-    """Sorted hashes of the distinct shingles."""
-    import xxhash
-
-    digest = xxhash.xxh64_intdigest
-    return np.unique(np.fromiter((digest(s, seed) for s in shingles(text, words)), dtype=np.uint64))
-
-
-def common_shingles(docs: DataFrame, text_col: str, words: int, seed: int, at_least: int = 8, keep: int = 200_000, block: int = 2_000_000) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of frequent shingles, sorted, and their counts: what is repeated within blocks of texts, summed; the most frequent ``keep``.
-
-    It only sets an order of shingles, in which frequent ones come last.  Any order gives the same
-    links, so that counts may be low or missing.
-    """
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def repeated(parts: list[np.ndarray]) -> pa.RecordBatch:
-            found, n = np.unique(np.concatenate(parts), return_counts=True)
-            return pa.RecordBatch.from_arrays([pa.array(found[n > 1].view(np.int64)), pa.array(n[n > 1])], names=["shingle", "n"])
-
-        parts, size = [], 0
-        for b in batches:
-            for t in b.column(0):
-                parts.append(shingle_hashes(t.as_py(), words, seed))
-                size += len(parts[-1])
-                if size > block:
-                    yield repeated(parts)
-                    parts, size = [], 0
-        if parts:
-            yield repeated(parts)
-
-    counts = docs.select(text_col).mapInArrow(run, "shingle long, n long").groupBy("shingle").agg(F.sum("n").alias("n")).where(F.col("n") >= at_least)
-    rows = counts.orderBy(F.desc("n"), "shingle").limit(keep).collect()
-    found = np.array([r["shingle"] for r in rows], dtype=np.int64).view(np.uint64)
-    order = np.argsort(found)
-    return found[order], np.array([r["n"] for r in rows], dtype=np.int64)[order]
-
-
-def rare_prefix(found: np.ndarray, common: tuple[np.ndarray, np.ndarray], similarity: float) -> np.ndarray:
-    """The first shingles, rare ones first, of which any other set of that similarity has one among its own first; none if only an equal set has it."""
-    n = len(found)
-    least = math.ceil(similarity * n - 1e-9)
-    if n == least and math.floor(n / similarity + 1e-9) == n:
-        return found[:0]
-    hashes, counts = common
-    weight = np.zeros(n, dtype=np.int64)
-    if len(hashes):
-        at = np.minimum(np.searchsorted(hashes, found), len(hashes) - 1)
-        weight = np.where(hashes[at] == found, counts[at], 0)
-    return found[np.argsort(weight, kind="stable")[: n - least + 1]]
-
-
-def shingle_prefixes(docs: DataFrame, id_col: str, text_col: str, similarity: float, words: int, seed: int, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
-    """``(id, n, d0, d1, prefix)``: number of distinct shingles, a 128-bit digest of their set, and its `rare_prefix`."""
-    import xxhash
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for at in range(0, batch.num_rows, 500):
-                b = batch.slice(at, 500)
-                sizes, digests, prefixes = np.zeros(b.num_rows, dtype=np.int64), [], []
-                for i, t in enumerate(b.column(1)):
-                    found = shingle_hashes(t.as_py(), words, seed)
-                    sizes[i] = len(found)
-                    digests.append(xxhash.xxh3_128_digest(found.tobytes()))
-                    prefixes.append(rare_prefix(found, common, similarity).view(np.int64))
-                halves = np.frombuffer(b"".join(digests), dtype=np.int64).reshape(-1, 2)
-                cols = [b.column(0), pa.array(sizes), *(pa.array(np.ascontiguousarray(halves[:, k])) for k in (0, 1)), pa.array(prefixes, pa.list_(pa.int64()))]
-                yield pa.RecordBatch.from_arrays(cols, names=["id", "n", "d0", "d1", "prefix"])
-
-    return docs.select(F.col(id_col).cast("long").alias("id"), text_col).mapInArrow(run, "id long, n long, d0 long, d1 long, prefix array<bigint>")
-
-
-def shingle_sets(docs: DataFrame, ids: DataFrame, id_col: str, text_col: str, words: int, seed: int) -> DataFrame:
-    """``(id, s)``: the sorted distinct shingle hashes of the rows whose id is in ``ids(id)``, equal rows once."""
-    import xxhash
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        digest = xxhash.xxh64_intdigest
-        for b in batches:
-            for at in range(0, b.num_rows, 500):
-                part = b.slice(at, 500)
-                sets = [np.unique(np.fromiter((digest(x, seed) for x in shingles(t.as_py(), words)), dtype=np.uint64)).view(np.int64) for t in part.column(1)]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sets, pa.list_(pa.int64()))], names=["id", "s"])
-
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).join(ids, "id", "left_semi")
-    once = rows.groupBy("id", F.xxhash64("text"), F.xxhash64(F.lit(1), "text")).agg(F.first("text").alias("text"))
-    return once.select("id", "text").mapInArrow(run, "id long, s array<bigint>")
-
-
-def verified_pairs(doubtful: DataFrame, docs: DataFrame, id_col: str, text_col: str, similarity: float, words: int, seed: int, scratch: Scratch) -> DataFrame:
-    """The pairs ``(a, b)`` of ``doubtful`` whose shingle sets have that Jaccard similarity, counted from the whole texts.
-
-    ``b`` is joined first: a group's many pairs share their ``a``, whose set then stands on the single-row side.
-    """
-    ids = scratch.save(doubtful.select(F.explode(F.array("a", "b")).alias("id")).distinct())
-    sets = scratch.save(shingle_sets(docs, ids, id_col, text_col, words, seed))
-    held = doubtful.join(sets.select(F.col("id").alias("b"), F.col("s").alias("sb")), "b")
-    held = held.join(sets.select(F.col("id").alias("a"), F.col("s").alias("sa")), "a")
-    both, total = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
-    return held.where((both > 0) & (both * (1 + similarity) >= total * similarity - 1e-9)).select("a", "b")
-
-
-def _may_resemble(a: str, b: str, similarity: float) -> F.Column:
-    """Whether two sets that share the shingle at these positions can have that similarity, by their sizes and by what stands before and after it."""
-    size_a, size_b, at_a, at_b = (F.col(f"{side}_{c}") for c in ("n", "pos") for side in (a, b))
-    both = F.least(at_a, at_b) + F.least(size_a - at_a, size_b - at_b)
-    return (F.least(size_a, size_b) >= F.greatest(size_a, size_b) * similarity - 1e-9) & (both * (1 + similarity) >= (size_a + size_b) * similarity - 1e-9)
-
-
-def _pairs_to_check(members: DataFrame, step: int, similarity: float, scratch: Scratch) -> DataFrame:
-    """Pairs ``(a, b)`` of different components ``c`` that share a key: with one member of the key in steps 0 and 1, all in step 2."""
-    order = F.col("rep") if step == 0 else F.xxhash64("key", "rep")
-    lead = F.min(F.struct(order.alias("o"), "rep", "n", "pos", "c")).alias("lead")
-    mixed = members.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.count(F.lit(1)).alias("size"), lead).where("lo < hi")
-    if step:
-        mixed = mixed.where("size > 2")  # two alone have met in step 0
-    mixed = scratch.save(mixed.select("key", *[F.col(f"lead.{c}").alias(f"x_{c}") for c in ("rep", "n", "pos", "c")]))
-    small = F.broadcast if mixed.count() <= 200_000 else (lambda df: df)
-    side = lambda name: [F.col(c).alias(f"{name}_{c}") for c in ("rep", "n", "pos", "c")]
-    if step < 2:
-        pairs = members.select("key", *side("y")).join(small(mixed), "key").where("x_c != y_c")
-    else:
-        crossing = scratch.save(members.join(small(mixed.select("key")), "key"))
-        pairs = crossing.select("key", *side("x")).join(crossing.select("key", *side("y")), "key").where("x_c < y_c")
-    return scratch.save(pairs.where(_may_resemble("x", "y", similarity)).select(F.least("x_rep", "y_rep").alias("a"), F.greatest("x_rep", "y_rep").alias("b")).distinct())
-
-
-def resembling(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = 0.8, words: int = 5, seed: int = 42) -> DataFrame:
-    """``(id, component)``: groups of documents connected by pairs whose sets of word shingles have that Jaccard similarity or more.
-
-    Texts of equal shingle sets are merged first.  Two different sets of that similarity have a shingle in
-    common among the first of each in any fixed order, here rare ones first; these are the join keys.  First
-    every text of a key is compared with one text of it, then those of other components with another one,
-    and then every two texts of a key that are still in different components.  So a group of close copies
-    costs linear work, and no pair is left out: each is compared or connected already.
-    Whole shingle sets decide.
-    """
-    spark = docs.sparkSession
-    scratch = Scratch(spark, "resembling")
-    shape = ["n", "d0", "d1"]
-    common = common_shingles(docs, text_col, words, seed)
-    sets = scratch.save(shingle_prefixes(docs, id_col, text_col, similarity, words, seed, common))
-    same = scratch.save(sets.groupBy(*shape).agg(F.min("id").alias("rep")).where("rep is not null"))
-    first = sets.join(same.select(F.col("rep").alias("id")).distinct(), "id", "left_semi")
-    keyed = first.select(F.col("id").alias("rep"), "n", F.posexplode("prefix").alias("pos", "key"))
-    shared = scratch.save(keyed.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("key"))
-    small = F.broadcast if shared.count() <= 500_000 else (lambda df: df)
-    members = scratch.save(keyed.join(small(shared), "key"))
-    edges, linked = spark.createDataFrame([], "a long, b long"), None
-    for step in range(3):
-        at = F.col("rep")
-        known = members
-        if linked is not None:
-            known, at = members.join(linked, members.rep == linked.v, "left"), F.coalesce("component", "rep")
-        known = scratch.save(known.select("key", "rep", "n", "pos", at.alias("c")))
-        pairs = _pairs_to_check(known, step, similarity, scratch)
-        scratch.drop(known)
-        if not pairs.limit(1).count():
-            continue
-        edges = scratch.save(edges.union(verified_pairs(pairs, docs, id_col, text_col, similarity, words, seed, scratch)))
-        linked = components(spark, edges, scratch=scratch)
-    if linked is None:
-        linked = components(spark, edges, scratch=scratch)
-    merged = scratch.save(same.join(linked, same.rep == linked.v, "left").select(*shape, F.coalesce("component", "rep").alias("component")))
-    return sets.where("id is not null").join(merged, shape).select("id", "component")
-
-
-def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """``docs`` with the document of least id of each group of `resembling`; columns and other rows unchanged.
-
-    Of rows of equal id one stays.  Rows of null id are kept.  Blank texts form one group.
-    """
-    scratch = Scratch(docs.sparkSession, "near-duplicates")
-    groups = scratch.save(resembling(docs, id_col, text_col, **options))
-    copies = scratch.save(groups.where("id != component").select(F.col("id").alias("_dup")).distinct())
-    small = F.broadcast if copies.count() <= 1_000_000 else (lambda df: df)
-    kept = docs.join(small(copies), F.col(id_col) == F.col("_dup"), "left_anti")
-    repeated = scratch.save(groups.groupBy("id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("id").alias("_rep")))
-    if not repeated.limit(1).count():
-        return kept
-    once = kept.join(repeated, F.col(id_col) == F.col("_rep"), "left_semi").dropDuplicates([id_col])
-    return kept.join(repeated, F.col(id_col) == F.col("_rep"), "left_anti").unionByName(once)

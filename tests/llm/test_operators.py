@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from cellgraph.llm import ann, htmltext, langid, linededup, mixing, packing, simhash, tokencount, topk, toxicity
+from cellgraph.llm import ann, htmltext, langid, linededup, mixing, packing, resemblance, simhash, tokencount, topk, toxicity
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
 AWKWARD = [
@@ -158,9 +158,9 @@ def test_simhash_awkward(spark, awkward, empty):
 
 
 def test_drop_near_duplicates(spark, awkward, empty):
-    kept = simhash.drop_near_duplicates(awkward)
+    kept = resemblance.drop_near_duplicates(awkward)
     assert kept.columns == awkward.columns and sorted(r["doc_id"] or -1 for r in kept.collect()) == [-1, 1, 3, 4, 6]
-    assert simhash.drop_near_duplicates(empty).count() == 0
+    assert resemblance.drop_near_duplicates(empty).count() == 0
 
 
 @pytest.mark.parametrize("options", [{}, {"broadcast_keys": 0}, {"keep_first": True}])
@@ -226,7 +226,7 @@ def test_min_cut_is_minimal():
 
 def test_resembling_against_brute_force(spark):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
-    found = {r["id"]: r["component"] for r in simhash.resembling(docs).collect()}
+    found = {r["id"]: r["component"] for r in resemblance.resembling(docs).collect()}
     sets = {r["doc_id"]: set(simhash.shingles(r["text"], 5)) for r in docs.collect()}
     parent = {d: d for d in sets}
 
@@ -258,7 +258,7 @@ def test_verified_pairs_repeated_rows(spark, tmp_path):
     rows = [(1, " ".join(words)), (1, " ".join(words)), (2, " ".join([*words[:-2], "x", "y"])), (3, " ".join([*words[:-9], *"abcdefghi"])), (4, None), (5, "")]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     asked = spark.createDataFrame([(1, 2), (1, 3), (4, 5)], "a long, b long")
-    got = simhash.verified_pairs(asked, docs, "doc_id", "text", 0.8, 5, 42, simhash.Scratch(spark, "test")).collect()
+    got = resemblance.verified_pairs(asked, docs, "doc_id", "text", 0.8, 5, 42, resemblance.Scratch(spark, "test")).collect()
     assert [tuple(r) for r in got] == [(1, 2)]
 
 
@@ -272,7 +272,7 @@ def test_resembling_repeated_passage(spark):
     rng = random.Random(8)
     once = " ".join(f"w{rng.randrange(900)}" for _ in range(300))
     rows = [(1, once), (2, f"{once} {once}"), (3, " ".join([once] * 5)), (4, "a b c d e " * 40), (5, "a b c d e " * 90)]
-    got = {r["id"]: r["component"] for r in simhash.resembling(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    got = {r["id"]: r["component"] for r in resemblance.resembling(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == {1: 1, 2: 1, 3: 1, 4: 4, 5: 4}
 
 
@@ -288,7 +288,7 @@ def _groups_by_all_pairs(texts, similarity=0.8):
 
 
 def _resembling_groups(spark, rows):
-    return {r["id"]: r["component"] for r in simhash.resembling(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    return {r["id"]: r["component"] for r in resemblance.resembling(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
 
 
 def test_resembling_crowded_keys(spark):
