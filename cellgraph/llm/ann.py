@@ -135,6 +135,41 @@ def best_of_block(q_ids: np.ndarray, q: np.ndarray, c_ids: np.ndarray, c: np.nda
     return row[keep], col[keep], score[keep]
 
 
+class Best:
+    """The best k candidates of every query met so far in a task; holds at most ``rows`` of them and some unsorted ones."""
+
+    def __init__(self, k: int, rows: int = 500_000, loose: int = 100_000):
+        self.k, self.rows, self.loose = k, rows, loose
+        self.parts: list[tuple[np.ndarray, ...]] = []
+        self.size = self.kept = 0
+
+    def add(self, query: np.ndarray, found: np.ndarray, score: np.ndarray) -> None:
+        self.parts.append((query, found, score))
+        self.size += len(query)
+        if self.size - self.kept > self.loose:
+            self._reduce()
+
+    def _reduce(self) -> None:
+        query, found, score = (np.concatenate(x) for x in zip(*self.parts, strict=True))
+        order = np.lexsort((found, -score, query))
+        query, found, score = query[order], found[order], score[order]
+        again = np.concatenate([[False], (query[1:] == query[:-1]) & (found[1:] == found[:-1]) & (score[1:] == score[:-1])]) if len(query) else np.zeros(0, bool)
+        query, found, score = query[~again], found[~again], score[~again]
+        keep = np.arange(len(query)) - np.searchsorted(query, query) < self.k
+        self.parts = [(query[keep], found[keep], score[keep])]
+        self.size = self.kept = int(keep.sum())
+
+    def full(self) -> bool:
+        return self.kept > self.rows
+
+    def take(self) -> pa.RecordBatch:
+        if self.parts:
+            self._reduce()
+        query, found, score = self.parts[0] if self.parts else (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
+        self.parts, self.size, self.kept = [], 0, 0
+        return pa.RecordBatch.from_arrays([pa.array(query), pa.array(found), pa.array(score)], names=["query_id", "id", "score"])
+
+
 def _vectors(b: pa.RecordBatch, kind: type, rows: int = 2048) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """(ids, vectors) of equal dimension from columns id and vec, some rows at a time."""
     ids, lists = b.column(0).to_numpy(zero_copy_only=False), b.column(1)
@@ -217,13 +252,17 @@ def nearest(vectors: DataFrame, is_query, id_col: str = "id", vec_col: str = "ve
     probes = _blocks(_placed(queries, tables, kind, True), "q", query_block, 1)
 
     def meet(batches: Iterator[pa.RecordBatch], all_buckets: bool) -> Iterator[pa.RecordBatch]:
+        best = Best(k)
         for b in batches:
             for r in b.to_pylist():
                 q_ids, c_ids = (np.frombuffer(r[f"{s}_ids"], dtype=np.int64) for s in "qc")
                 q, c = (np.frombuffer(r[f"{s}_vecs"], dtype=kind).reshape(-1, r["dim"]).astype(np.float64) for s in "qc")
                 seen = None if all_buckets else tables.visited(*tables.success(scaled(q), r["tab"]), tables.cells(scaled(c), r["tab"]))
                 row, col, score = best_of_block(q_ids, q, c_ids, c, k, seen)
-                yield pa.RecordBatch.from_arrays([pa.array(q_ids[row]), pa.array(c_ids[col]), pa.array(score)], names=["query_id", "id", "score"])
+                best.add(q_ids[row], c_ids[col], score)
+                if best.full():
+                    yield best.take()
+        yield best.take()
 
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "id")
     found = "query_id long, id long, score double"
