@@ -15,6 +15,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
 from cellgraph.cells import CellGraph
+from cellgraph.graph import Graph
+from cellgraph.scratch import Scratch
 
 
 class SliceStore:
@@ -49,6 +51,17 @@ class SliceStore:
             df = df.where(F.col("pid").isin(list(pids)))
         return df if cells is None else df.where(F.col("src_cell").isin(list(cells)))
 
+    def load(self, spark: SparkSession) -> CellGraph:
+        """The cell graph again, as it was written: no placement, no search for cells, no resolving of far ends."""
+        links, cells = self.spark.read.parquet(f"{self.root}/topology").drop("pid"), self.spark.read.parquet(f"{self.root}/cells").select("vid", "pid", "cell_id")
+        edges = links.select("src", "dst", "weight")
+        directed = self.meta()["directed"]
+        if not directed:  # each edge is stored in both directions, a loop twice
+            loops = edges.where("src = dst").groupBy("src", "dst", "weight").agg(F.count(F.lit(1)).alias("n"))
+            once = loops.select("src", "dst", "weight", F.explode(F.array_repeat(F.lit(1), (F.col("n") / 2).cast("int"))).alias("_n")).drop("_n")
+            edges = edges.where("src < dst").unionByName(once)
+        return CellGraph(Graph(cells.select("vid"), edges, directed), cells, links, Scratch(spark, "slices"))
+
     def read_attributes(self, family: str, names: list[str]) -> DataFrame:
         return self.spark.read.parquet(f"{self.root}/attr_{family}").select("vid", "pid", "cell_id", *names)
 

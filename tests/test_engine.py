@@ -66,14 +66,15 @@ def test_contraction_against_union_find(spark):
 
 
 def test_engine_choice():
-    assert choose_engine("rank", 0.7, 5, 8) == "vertex" and choose_engine("components", 0.01, 800, 2.8) == "cell"
+    assert choose_engine("rank", 0.7, 1.0, 8) == "vertex" and choose_engine("rank", 0.01, 1.0, 3) == "cell"
+    assert choose_engine("components", 0.01, 100, 2.8) == "cell" and choose_engine("sssp", 0.7, 2.0, 28) == "vertex" and choose_engine("sssp", 0.7, 4.0, 28) == "cell"
 
 
 def test_betweenness_has_all_sources(spark):
     turns = {}
     for r in spark.read.parquet("/root/testdata/sf0.001/conversations.parquet").select("conv_id", "turn").distinct().collect():
         turns.setdefault(r["conv_id"], []).append(r["turn"])
-    want = {c * 100 + t: 2.0 * i * (len(ts) - 1 - i) for c, ts in turns.items() for i, t in enumerate(sorted(ts))}
+    want = {c * (1 << 20) + t: 2.0 * i * (len(ts) - 1 - i) for c, ts in turns.items() for i, t in enumerate(sorted(ts))}
     got = {r["vid"]: r["score"] for r in catalogue.queries()["betweenness_exact_conv"](spark, "/root/testdata/sf0.001").collect()}
     assert got == want
     diamond = Graph.from_edges(spark.createDataFrame([(0, 1), (0, 2), (1, 3), (2, 3), (3, 4)], "src long, dst long"))
