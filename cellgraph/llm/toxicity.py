@@ -31,6 +31,7 @@ LOOKALIKES = {
 }
 #: Cyrillic and Greek letters that look like Latin ones, and those.
 HOMOGLYPHS = str.maketrans("асеіјорѕухԁһӏкмтвнαειοκνρτυχ", "aceijopsyxdhlkmtbnaeioknptux")
+_FOREIGN = re.compile(f"[{''.join(map(chr, HOMOGLYPHS))}]").search
 SEPARATORS = ".-_*·~'"
 N_SYMBOLS = 64  # the trigram model's alphabet: boundary, a-z, other letters folded into the rest
 _PLAIN = re.compile(r"[^\W\d_]+\Z").match
@@ -155,8 +156,9 @@ class Restorer:
     in the parts between their separators.
     """
 
-    def __init__(self, model: CharModel, wanted: frozenset[str] | None = None, memory: int = 80_000):
+    def __init__(self, model: CharModel, wanted: frozenset[str] | None = None, memory: int = 120_000):
         self.model, self.wanted, self.memory, self.known = model, wanted, memory, {}
+        self.heads = frozenset(f.lstrip("^")[:3] for f in wanted or ())
         self.single = frozenset(_DOUBLE.sub(r"\1", f) for f in wanted or ())
 
     def _doubled(self, word: str) -> bool:
@@ -199,13 +201,16 @@ class Restorer:
 
     def _folded(self, token: str) -> tuple[str, ...]:
         """The words of the token with look-alikes of other alphabets folded, if it has any."""
-        if token.isascii() or (latin := token.translate(HOMOGLYPHS)) == token:
+        if token.isascii() or not _FOREIGN(token):
             return ()
+        latin = token.translate(HOMOGLYPHS)
         mixed = any("a" <= c <= "z" for c in token)
         return self.token_words(latin) if mixed or latin.isascii() else ()
 
     def _features(self, words: Iterable[str]) -> tuple[str, ...]:
-        return tuple(f for w in words for f in features(w) if self.wanted is None or f in self.wanted)
+        if self.wanted is None:
+            return tuple(f for w in words for f in features(w))
+        return tuple(f for w in words if w[:3] in self.heads for f in features(w) if f in self.wanted)
 
     def features_of(self, text: str | None) -> set[str]:
         """Features of the distinct words of the whole text, lower-cased, in compatibility form."""
@@ -214,17 +219,19 @@ class Restorer:
         if not text.isascii():
             text = unicodedata.normalize("NFKC", text)
         text = text.lower()
+        foreign = not text.isascii() and _FOREIGN(text) is not None
         known, out = self.known, set()
         for token in set(text.split()):
             found = known.get(token)
             if found is None:
-                found = self._features((*self.token_words(token), *self._folded(token)))
+                words = self.token_words(token)
+                found = self._features((*words, *self._folded(token)) if foreign else words)
                 if len(known) >= self.memory:
                     known.clear()
                 known[token] = found
             if found:
                 out.update(found)
-        for m in _SPACED.finditer(text if text.isascii() else text.translate(HOMOGLYPHS)):
+        for m in _SPACED.finditer(text.translate(HOMOGLYPHS) if foreign else text):
             joined = _GAP.sub("", m[0])
             out.update(self._features([decode(joined, self.model), *decode(joined, self.model, breaks=True).split()]))
             if len(words := _WIDE_GAP.split(m[0])) > 1:
