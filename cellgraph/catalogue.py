@@ -14,7 +14,7 @@ from cellgraph.algorithms import traversal as tr
 from cellgraph.cells import CellGraph, discover_cells
 from cellgraph.operators import analysis, relational  # noqa: F401
 from cellgraph.graph import Graph
-from cellgraph.partition import balance_cells, partition_blocks, partition_hash, partition_mincut, partition_modulo, partition_range
+from cellgraph.partition import MIX, balance_cells, partition_blocks, partition_hash, partition_mincut, partition_modulo, partition_range
 from cellgraph.scratch import Scratch
 from cellgraph.sources.slices import SliceStore
 
@@ -68,7 +68,7 @@ def _(s, d):
     return partition_modulo(fixtures.order_supplier(s, d), 4).groupBy("pid").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("partition_hash_stats")
+@query("partition_hash_stats", f"SELECT (((vid % 2147483648 + vid // 2147483648) * {MIX}) % 4294967296 // 4096 % 4)::INT AS pid, count(*) AS n FROM ({oracles.vertices_sql('order_supplier')}) GROUP BY 1")
 def _(s, d):
     return partition_hash(fixtures.order_supplier(s, d), 4).groupBy("pid").agg(F.count(F.lit(1)).alias("n"))
 
@@ -420,10 +420,14 @@ def _(s, d):
     return s.createDataFrame([(i + 1, round(x, 9)) for i, x in enumerate(deltas)], "round long, l1_delta double")
 
 
-@query("rank_topk_overlap")
+def _top_sql(rounds: int) -> str:
+    return f"SELECT vid FROM ({oracles.ranks('part_flow', rounds, True)}) ORDER BY round(rank, 12) DESC, vid LIMIT 100"
+
+
+@query("rank_topk_overlap", f"SELECT 100::BIGINT AS k, count(*) AS overlap FROM ({_top_sql(2)}) a JOIN ({_top_sql(30)}) b USING (vid)")
 def _(s, d):
-    g = fixtures.order_supplier(s, d)
-    return rk.topk_overlap(rk.pagerank_vertex(g)[0], rk.pagerank_vertex(g, None, tol=1e-6)[0], 100)
+    g = fixtures.part_flow(s, d)
+    return rk.topk_overlap(rk.pagerank_vertex(g, 2)[0], rk.pagerank_vertex(g)[0], 100)
 
 
 # --- measures ------------------------------------------------------------------------------------------------
