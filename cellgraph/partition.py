@@ -184,11 +184,12 @@ def _pack_clusters(labels: DataFrame, arcs: DataFrame, weight: dict[int, int], k
 
 
 def balance_cells(cell_of: DataFrame, k: int, cores: int = 1) -> DataFrame:
-    """``(vid, pid)``: whole cells dealt anew, so that parts are alike in vertices and each has a multiple of ``cores`` units of like size.
+    """``(vid, pid)``: whole cells dealt anew, so that parts are alike in vertices and none has many more units than others.
 
     A unit is a large cell, or the small cells of one hash bin taken together: at every size the driver
     sees at most 64 large cells a part (those of over a 64th of a part) and 16 bins a core.  Units are
-    dealt largest first to the emptiest part that may still take one; empty bins fill up the number.
+    dealt largest first to the emptiest part that may still take one: the mean number of units, rounded up to a
+    multiple of ``cores``, and four more for each core.
     """
     import heapq
 
@@ -200,7 +201,7 @@ def balance_cells(cell_of: DataFrame, k: int, cores: int = 1) -> DataFrame:
     unit = F.when(large, F.struct(F.lit(1).alias("large"), F.col("cell_id").alias("u"))).otherwise(F.struct(F.lit(0).alias("large"), F.pmod(F.xxhash64("cell_id"), F.lit(bins)).alias("u")))
     units = sizes.withColumn("unit", unit)
     rows = [((r["unit"]["large"], r["unit"]["u"]), r["n"]) for r in units.groupBy("unit").agg(F.sum("n").alias("n")).collect()]
-    per_part = -(-len(rows) // (k * cores)) * cores
+    per_part = (-(-len(rows) // (k * cores)) + 4) * cores
     heap = [(0, p, 0) for p in range(k)]
     table = []
     for (is_large, u), n in sorted(rows, key=lambda r: (-r[1], r[0])):

@@ -13,10 +13,14 @@ from cellgraph.scratch import Scratch, shared_dir
 
 
 def event_stream(spark: SparkSession, path: str) -> DataFrame:
-    """The events table as a stream of its files."""
-    schema = spark.read.parquet(path).schema
-    folder, name = os.path.split(path.rstrip("/"))
-    stream = spark.readStream.schema(schema).option("pathGlobFilter", name).parquet(folder)
+    """The events table, a file or a folder, as a stream of its files."""
+    reader = spark.readStream.schema(spark.read.parquet(path).schema)
+    place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    if place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(place).isDirectory():
+        stream = reader.parquet(path)
+    else:
+        folder, name = os.path.split(path.rstrip("/"))
+        stream = reader.option("pathGlobFilter", name).parquet(folder)
     return stream.withColumn("ts", F.col("ts").cast("timestamp"))  # event time needs a zone
 
 
