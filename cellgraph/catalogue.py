@@ -136,6 +136,11 @@ def _(s, d):
     return store.read_attributes("event", ["value"]).select("vid", "value")
 
 
+#: Graph builders by the way they find their edges.
+for _name, _graph in (("foreign_key", "hub_tree"), ("succession", "part_flow"), ("bipartite", "order_supplier"), ("equal", "doc_copies"), ("similarity", "knn")):
+    query(f"graph_{_name}", f"SELECT src, dst FROM ({oracles.arcs(_graph, True)})")(lambda s, d, g=_graph: getattr(fixtures, g)(s, d).edges.select("src", "dst"))
+
+
 # --- maximum value and components ----------------------------------------------------------------------
 
 
@@ -430,6 +435,11 @@ def _(s, d):
     return rk.topk_overlap(rk.pagerank_vertex(g, 2)[0], rk.pagerank_vertex(g)[0], 100)
 
 
+@query("top_ranked", f"SELECT vid, round(rank, 9) AS rank FROM ({oracles.ranks('part_flow', 30, True)}) ORDER BY round(rank, 9) DESC, vid LIMIT 20")
+def _(s, d):
+    return _rounded(rk.pagerank_vertex(fixtures.part_flow(s, d))[0]).orderBy(F.desc("rank"), "vid").limit(20)
+
+
 # --- measures ------------------------------------------------------------------------------------------------
 
 
@@ -574,6 +584,12 @@ for _name, _graph in (("hub", "hub_tree"), ("road", "event_road")):
     )
 
 
+for _name, _end in (("out", "src"), ("in", "dst")):
+    query(f"degree_{_name}", f"SELECT {_end} AS vid, count(*) AS degree FROM ({oracles.arcs('part_flow', True)}) GROUP BY 1")(
+        lambda s, d, e=_end: fixtures.part_flow(s, d).edges.groupBy(F.col(e).alias("vid")).agg(F.count(F.lit(1)).alias("degree"))
+    )
+
+
 def queries() -> dict[str, Query]:
     return _QUERIES | relational.QUERIES
 

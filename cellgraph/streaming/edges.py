@@ -12,9 +12,11 @@ from cellgraph.algorithms.contraction import components
 from cellgraph.scratch import Scratch, shared_dir
 
 
-def event_stream(spark: SparkSession, path: str) -> DataFrame:
-    """The events table, a file or a folder, as a stream of its files."""
+def event_stream(spark: SparkSession, path: str, files_per_batch: int | None = None) -> DataFrame:
+    """The events table, a file or a folder, as a stream of its files in the order they were written, all at once or some to a batch."""
     reader = spark.readStream.schema(spark.read.parquet(path).schema)
+    if files_per_batch:
+        reader = reader.option("maxFilesPerTrigger", files_per_batch)
     place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
     if place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(place).isDirectory():
         stream = reader.parquet(path)

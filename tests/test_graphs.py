@@ -1,5 +1,6 @@
 """Weights, awkward graphs, placements, the cell API, slices and streams."""
 
+import os
 import random
 
 import numpy as np
@@ -13,7 +14,7 @@ from cellgraph.engine.cellprog import CellProgram, run_cell_program
 from cellgraph.graph import Graph, from_similarity
 from cellgraph.partition import balance_cells, partition_hash, partition_mincut, partition_modulo, partition_range
 from cellgraph.sources.slices import SliceStore, read_edge_list
-from cellgraph.streaming.edges import components_of_stream, drain, event_stream, succession
+from cellgraph.streaming.edges import components_of_stream, drain, event_stream, succession, windowed_degree
 
 DIR = "/root/testdata/sf0.001"
 
@@ -245,6 +246,23 @@ def test_succession_and_components_across_batches(spark, tmp_path):
     assert got == {i: 0 for i in range(31)} | {50: 50, 51: 50}
 
 
+def test_late_events_are_left_out(spark, tmp_path):
+    batches = [
+        [(1, "2024-01-01 10:00:00", 7)],
+        [(2, "2024-01-01 10:05:00", 7)],  # the bound that batch 1 moved is applied after this batch
+        [(3, "2024-01-01 08:00:00", 7), (4, "2024-01-01 09:30:00", 7)],  # two hours late, and half an hour: only one hour is waited for
+        [(5, "2024-01-01 13:00:00", 7)],
+    ]
+    for i, rows in enumerate(batches):
+        _events(spark, tmp_path, "late", rows)
+        for f in (tmp_path / "late").glob("*.parquet"):
+            if f.stat().st_mtime > 2000:
+                os.utime(f, (1000 + i, 1000 + i))
+    stream = event_stream(spark, f"{tmp_path}/late", files_per_batch=1)
+    got = drain(spark, windowed_degree(stream, "10 minutes", late="1 hour"), "append", "late").collect()
+    assert sorted((r["start"].strftime("%H:%M"), r["n"]) for r in got) == [("09:30", 1), ("10:00", 2)]
+
+
 def test_drain_of_nothing(spark, tmp_path):
     (tmp_path / "none").mkdir()
     stream = spark.readStream.schema("a long").parquet(str(tmp_path / "none"))
