@@ -340,3 +340,12 @@ def test_deobfuscation_of_other_alphabets_and_doubles():
     for text, feature in {"iidiot": "idiot", "moronn": "moron", "іdіоt": "idiot", "ｉｄｉｏｔ": "idiot", "Ｍｏｒｏｎ": "moron", "lоsеr!": "loser", "ppathetically": "^path", "y o u a r e a n i d i o t": "idiot", "і d і о t": "idiot"}.items():
         assert feature in restorer.features_of(text), text
     assert restorer.features_of("little letter people") == set()
+
+
+def test_plain_words_are_not_taken_apart(monkeypatch):
+    model = toxicity.CharModel(toxicity.trigram_counts(["some plain words of a text"]))
+    taken = []
+    whole = toxicity.Restorer.token_words
+    monkeypatch.setattr(toxicity.Restorer, "token_words", lambda self, token: taken.append(token) or whole(self, token))
+    found = toxicity.Restorer(model, frozenset({"idiot", "^moro"})).features_of("plain words, an idiot and moron moronic 1d1ot iddiot соme été")
+    assert found == {"idiot", "^moro"} and set(taken) == {"words,", "idiot", "moron", "moronic", "1d1ot", "iddiot", "соme", "come"}
