@@ -6,13 +6,15 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from cellgraph import catalogue
+from cellgraph import catalogue, fixtures
 from cellgraph.algorithms import betweenness, ranks, traversal
 from cellgraph.algorithms.contraction import components
 from cellgraph.cells import discover_cells, local_components
+from cellgraph.engine import vertex
 from cellgraph.graph import Graph
 from cellgraph.partition import partition_modulo
 from cellgraph.planner import choose_engine
+from cellgraph.scratch import Scratch
 
 VALUES = [1, 7, 14, 9, 3, 11, 13, 10, 8, 12, 5, 2, 6, 15, 4]
 EDGES = [(0, 1), (0, 2), (0, 3), (2, 4), (3, 5), (4, 5), (6, 7), (6, 9), (6, 10), (7, 8), (9, 10), (11, 12), (11, 14), (12, 13), (1, 10), (1, 13)]
@@ -80,3 +82,23 @@ def test_betweenness_has_all_sources(spark):
     diamond = Graph.from_edges(spark.createDataFrame([(0, 1), (0, 2), (1, 3), (2, 3), (3, 4)], "src long, dst long"))
     score = {r["vid"]: r["score"] for r in betweenness.betweenness(diamond, batch_pairs=12).collect()}
     assert score == {0: 1.0, 1: 2.0, 2: 2.0, 3: 7.0, 4: 0.0}
+
+
+def test_supersteps_in_one_task_are_those_of_jobs(spark):
+    rng = random.Random(5)
+    edges = [(rng.randrange(80), rng.randrange(80), rng.randrange(9)) for _ in range(160)] + [(i, i + 1, 2) for i in range(100, 104)] + [(5, 200, 1)]
+    arcs = Graph.from_edges(spark.createDataFrame(edges, "src long, dst long, weight long")).arcs()
+    rows = [(i, i * 7919 % 101 if i % 3 else None, i % 4 != 1) for i in (*range(80), *range(100, 105))]  # 200 is no vertex
+    labels, starts = spark.createDataFrame(rows, "vid long, value long, active boolean"), spark.createDataFrame([(i, 0 if i in (3, 100) else None, i in (3, 100)) for i, _, _ in rows], "vid long, value long, active boolean")
+    halves = arcs.withColumn("weight", F.col("weight") / 8), starts.withColumn("value", F.col("value").cast("double"))
+    for program, a, first in ((vertex.larger(), arcs, labels), (vertex.shorter(), arcs, starts), (vertex.shorter(), *halves), (vertex.larger(), arcs.where("src < 0"), labels), (vertex.larger(), arcs, labels.union(labels.where("vid = 7")))):
+        (one, run), (many, want) = (vertex.run_vertex_program(program, a, first, Scratch(spark, "test"), task_arcs=n) for n in (1000, 0))
+        assert sorted(map(str, one.collect())) == sorted(map(str, many.collect())) and run == want
+
+
+def test_long_roads_take_no_job_a_superstep(spark):
+    path = Graph.from_edges(spark.createDataFrame([(i, i + 1) for i in range(400)], "src long, dst long"))
+    tracker, before = spark.sparkContext.statusTracker(), len(spark.sparkContext.statusTracker().getJobIdsForGroup(None))
+    found, run = traversal.components_vertex(path)
+    assert run.supersteps == 402 and [tuple(r) for r in found.agg(F.min("component"), F.max("component")).collect()] == [(400, 400)]
+    assert len(tracker.getJobIdsForGroup(None)) - before < 40
