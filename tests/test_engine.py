@@ -96,6 +96,11 @@ def test_supersteps_in_one_task_are_those_of_jobs(spark):
         assert sorted(map(str, one.collect())) == sorted(map(str, many.collect())) and run == want
 
 
+def test_a_vertex_halts_in_a_superstep_of_its_own(spark):
+    turns = fixtures.conv_turns(spark, "/root/testdata/sf0.001")
+    assert traversal.components_cell(fixtures.in_blocks(turns))[1].supersteps == 2  # no conversation is cut, so no message is sent
+
+
 def test_long_roads_take_no_job_a_superstep(spark):
     path = Graph.from_edges(spark.createDataFrame([(i, i + 1) for i in range(400)], "src long, dst long"))
     tracker, before = spark.sparkContext.statusTracker(), len(spark.sparkContext.statusTracker().getJobIdsForGroup(None))
