@@ -24,6 +24,7 @@ from pyspark.sql import functions as F
 
 from cellgraph.algorithms.contraction import components
 from cellgraph.scratch import Scratch
+from cellgraph.workers import lean
 
 BITS = 64
 _BLOCK = 1 << 15
@@ -57,6 +58,7 @@ def fingerprint(text: str | None, words: int = 3, seed: int = 42) -> int:
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, seed: int = 42) -> DataFrame:
     """``(id, fp)``; whole texts, one pass, no shuffle.  Null, empty and blank texts have fingerprint 0."""
 
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             fps = np.fromiter((fingerprint(t.as_py(), words, seed) for t in b.column(1)), dtype=np.uint64, count=b.num_rows)

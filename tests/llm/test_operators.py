@@ -349,3 +349,14 @@ def test_plain_words_are_not_taken_apart(monkeypatch):
     monkeypatch.setattr(toxicity.Restorer, "token_words", lambda self, token: taken.append(token) or whole(self, token))
     found = toxicity.Restorer(model, frozenset({"idiot", "^moro"})).features_of("plain words, an idiot and moron moronic 1d1ot iddiot соme été")
     assert found == {"idiot", "^moro"} and set(taken) == {"words,", "idiot", "moron", "moronic", "1d1ot", "iddiot", "соme", "come"}
+
+
+def test_near_duplicates_go_by_fingerprints_first(spark, monkeypatch):
+    """The query's links hold in the pipeline too, and what they miss is still found."""
+    rng, seen = random.Random(8), []
+    base = " ".join(f"w{rng.randrange(10**6)}" for _ in range(60))
+    rows = [(3, base), (7, base + " tail"), (9, base.upper()), (11, "quite another text"), (None, base)]
+    whole = resemblance.near_duplicates
+    monkeypatch.setattr(resemblance, "near_duplicates", lambda *a: seen.append(1) or whole(*a))
+    kept = resemblance.drop_near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert sorted(r["doc_id"] or 0 for r in kept.collect()) == [0, 3, 11] and seen
