@@ -107,3 +107,21 @@ def test_long_roads_take_no_job_a_superstep(spark):
     found, run = traversal.components_vertex(path)
     assert run.supersteps == 402 and [tuple(r) for r in found.agg(F.min("component"), F.max("component")).collect()] == [(400, 400)]
     assert len(tracker.getJobIdsForGroup(None)) - before < 40
+
+
+def test_large_parts_are_cut_for_tasks(spark, monkeypatch):
+    g = fixtures.hub_tree(spark, "/root/testdata/sf0.001")
+    cg = fixtures.in_blocks(g)
+    arcs = cg.links.count()
+    fine = cg.fitted(arcs // 10)
+    assert cg.fitted(arcs) is cg and fine is cg.fitted(arcs // 10)
+    assert {tuple(r) for r in fine.links.select("src", "dst", "weight").collect()} == {tuple(r) for r in cg.links.select("src", "dst", "weight").collect()} and fine.links.count() == arcs
+    hub = cg.links.groupBy("src").count().agg(F.max("count")).first()[0]
+    assert fine.links.groupBy("src_pid").count().agg(F.max("count")).first()[0] <= arcs // 10 + hub and fine.parts() > cg.parts()
+    assert [fine.cell_of.count(), fine.cell_of.agg(F.countDistinct("vid")).first()[0]] == [cg.cell_of.count()] * 2
+    values = g.vertices.select("vid", (F.col("vid") * 7919 % 10007).alias("value"))
+    both = []
+    for one in (cg, fine):
+        monkeypatch.setattr(type(cg), "fitted", lambda self: self)
+        both.append([sorted(map(tuple, df.collect())) for df in (traversal.sssp_cell(one, [5])[0], traversal.max_value_program(one, values)[0], ranks.pagerank_cell(one, 5)[0].select("vid", F.round("rank", 12)))])
+    assert both[0] == both[1]
