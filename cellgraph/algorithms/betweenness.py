@@ -7,6 +7,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from cellgraph.algorithms.contraction import components
 from cellgraph.graph import Graph
 from cellgraph.scratch import Scratch
 
@@ -15,21 +16,25 @@ def betweenness(g: Graph, sources: list[int] | None = None, batch_pairs: int = 2
     """``(vid, score)``: shortest-path dependencies summed over the sources, all vertices if none are given; ordered pairs, ends not counted.
 
     Rows are keyed by source, so that all sources of a batch go together: path counts level by level
-    outwards, dependencies back inwards.  A batch has at most ``batch_pairs`` pairs of source and
-    vertex.  Unit weights, parallel arcs count once.
+    outwards, dependencies back inwards.  A batch has about ``batch_pairs`` pairs of source and vertex that
+    can reach each other by weak component.  Unit weights, parallel arcs count once.
     """
     scratch = Scratch(g.vertices.sparkSession, "betweenness")
     arcs = scratch.save(g.arcs().where("src <> dst").select("src", "dst").distinct())
     vertices = scratch.save(g.vertices.select("vid").distinct())
     starts = vertices if sources is None else vertices.where(F.col("vid").isin(sources))
-    batches = max(1, -(-starts.count() * vertices.count() // batch_pairs))
+    weak = components(g.vertices.sparkSession, arcs, "src", "dst", scratch).select(F.col("v").alias("vid"), "component")
+    sizes = weak.groupBy("component").agg(F.count(F.lit(1)).alias("n"))
+    pairs = starts.join(weak, "vid").join(sizes, "component").agg(F.sum("n")).first()[0] or 0
+    batches = max(1, -(-pairs // batch_pairs))
     parts = []
     for k in range(batches):
         mine = starts.where(F.pmod(F.xxhash64("vid"), F.lit(batches)) == k)
         layers = [scratch.save(mine.select(F.col("vid").alias("source"), "vid", F.lit(1.0).alias("paths")))]
         while True:
             reached = layers[-1].join(arcs, F.col("vid") == F.col("src")).groupBy("source", F.col("dst").alias("vid")).agg(F.sum("paths").alias("paths"))
-            seen = reduce(DataFrame.union, [x.select("source", "vid") for x in layers])
+            # without directions a neighbour of a level lies in it or next to it
+            seen = reduce(DataFrame.union, [x.select("source", "vid") for x in (layers if g.directed else layers[-2:])])
             layer = scratch.save(reached.join(seen, ["source", "vid"], "left_anti"))
             if not layer.limit(1).count():
                 break

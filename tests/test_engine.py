@@ -125,3 +125,11 @@ def test_large_parts_are_cut_for_tasks(spark, monkeypatch):
         monkeypatch.setattr(type(cg), "fitted", lambda self: self)
         both.append([sorted(map(tuple, df.collect())) for df in (traversal.sssp_cell(one, [5])[0], traversal.max_value_program(one, values)[0], ranks.pagerank_cell(one, 5)[0].select("vid", F.round("rank", 12)))])
     assert both[0] == both[1]
+
+
+def test_betweenness_batches_by_what_is_reached(spark, monkeypatch):
+    pieces = Graph.from_edges(spark.createDataFrame([(10 * i + k, 10 * i + k + 1) for i in range(20) for k in (0, 1)], "src long, dst long"))
+    saved, save = [], betweenness.Scratch.save
+    monkeypatch.setattr(betweenness.Scratch, "save", lambda self, df: saved.append(1) or save(self, df))
+    score = {r["vid"]: r["score"] for r in betweenness.betweenness(pieces, batch_pairs=200).collect()}  # 180 pairs in one batch, not 3600 in 18
+    assert score == {10 * i + k: 2.0 * (k == 1) for i in range(20) for k in range(3)} and len(saved) < 30
