@@ -360,3 +360,19 @@ def test_near_duplicates_go_by_fingerprints_first(spark, monkeypatch):
     monkeypatch.setattr(resemblance, "near_duplicates", lambda *a: seen.append(1) or whole(*a))
     kept = resemblance.drop_near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"))
     assert sorted(r["doc_id"] or 0 for r in kept.collect()) == [0, 3, 11] and seen
+
+
+def test_resembling_shared_passages_meet_seldom(spark, monkeypatch):
+    """Texts that share a few rare shingles and are not alike are no pairs of the last step; those that are alike are."""
+    rng, found = random.Random(12), []
+    word = lambda: f"w{rng.randrange(10**7)}"
+    passages = [[word() for _ in range(6)] for _ in range(12)]  # two shingles each
+    rows = [(i, " ".join(w for k in range(4) for w in [*[word() for _ in range(100)], *passages[(i + k) % 12]])) for i in range(72)]
+    near = rows[7][1].split()
+    for at in range(20, 400, 45):
+        near[at] = word()
+    rows.append((100, " ".join(near)))
+    close = resemblance._close_pairs
+    monkeypatch.setattr(resemblance, "_close_pairs", lambda *a: found.append(close(*a)) or found[-1])
+    assert _resembling_groups(spark, rows) == _groups_by_all_pairs(rows) == {i: 7 if i == 100 else i for i, _ in rows}
+    assert found[0].count() < 300  # of 2628 pairs, most of which share a passage
