@@ -133,3 +133,10 @@ def test_betweenness_batches_by_what_is_reached(spark, monkeypatch):
     monkeypatch.setattr(betweenness.Scratch, "save", lambda self, df: saved.append(1) or save(self, df))
     score = {r["vid"]: r["score"] for r in betweenness.betweenness(pieces, batch_pairs=200).collect()}  # 180 pairs in one batch, not 3600 in 18
     assert score == {10 * i + k: 2.0 * (k == 1) for i in range(20) for k in range(3)} and len(saved) < 30
+
+
+def test_cells_write_to_their_neighbours_at_once(spark, example, monkeypatch):
+    g, cg, values = example
+    monkeypatch.setattr("cellgraph.engine.cellprog.Context.send_neighbors", lambda *a: 1 / 0)  # which searches all vertices for each cell
+    for one in (cg, discover_cells(g, partition_modulo(g, 3))):
+        assert {r["value"] for r in traversal.max_value_program(one, values)[0].collect()} == {15}
