@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cellgraph.llm.tokencount import PATTERN, byte_letters, read_tokenizer
-from cellgraph.workers import worker_state
+from cellgraph.workers import release_memory, worker_state
 
 
 def difference(sizes: list[int], m: int) -> list[list[int]]:
@@ -191,6 +191,7 @@ def pack_documents(docs: DataFrame, tokenizer_json: str, id_col: str = "doc_id",
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = worker_state("encoder", key, lambda: make_encoder(tokenizer_json))
+        release_memory()  # of the tokenizer's file, of which only the encoder stays
         packer = Packer(TaskContext.get().partitionId(), window, lot_windows)
 
         def out() -> pa.RecordBatch:
@@ -207,6 +208,7 @@ def pack_documents(docs: DataFrame, tokenizer_json: str, id_col: str = "doc_id",
         packer.flush()
         if packer.records:
             yield out()
+        release_memory()
 
     schema = ", ".join(f"{name} long" for name in FIELDS)
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), text_col).mapInArrow(run, schema)

@@ -81,3 +81,13 @@ def test_all_stages(spark, tmp_path):
 def test_empty_tables(spark, tmp_path):
     sf = _table(spark, tmp_path, [], [])
     assert corpus_pipeline.run(spark, sf).count() == 0
+
+
+def test_stages_of_many_workers_begin_with_heap_given_back(spark):
+    beans = spark._jvm.java.lang.management.ManagementFactory.getGarbageCollectorMXBeans()
+    collected = lambda: sum(b.getCollectionCount() for b in beans if "Young" not in b.getName())
+    docs = spark.createDataFrame([(1, "a b c d e f g"), (2, None)], "doc_id long, text string")
+    for stage in (corpus_pipeline.near_duplicates, corpus_pipeline.packing):
+        before = collected()
+        assert stage(spark, docs, "").count() >= 2
+        assert collected() > before
