@@ -140,3 +140,21 @@ def test_cells_write_to_their_neighbours_at_once(spark, example, monkeypatch):
     monkeypatch.setattr("cellgraph.engine.cellprog.Context.send_neighbors", lambda *a: 1 / 0)  # which searches all vertices for each cell
     for one in (cg, discover_cells(g, partition_modulo(g, 3))):
         assert {r["value"] for r in traversal.max_value_program(one, values)[0].collect()} == {15}
+
+
+def test_rank_rounds_in_one_task(spark):
+    rng = random.Random(4)
+    arcs = [(rng.randrange(60), rng.randrange(50)) for _ in range(150)] + [(3, 3), (7, 8), (7, 8)]
+    g = Graph.from_edges(spark.createDataFrame(arcs, "src long, dst long"), spark.createDataFrame([(i,) for i in range(64)], "vid long"), directed=True)
+    seed = spark.createDataFrame([(i, 1 / 40) for i in range(40)], "vid long, rank double")
+    for options in ({"iterations": 7}, {"iterations": None, "tol": 1e-4}, {"dangling": "leak"}, {"iterations": None, "tol": 1e-3, "seed": seed}):
+        (a, run, moved), (b, jobs, changed) = (ranks.pagerank_vertex(g, task_arcs=most, **options) for most in (1000, 0))
+        got, want = ({r["vid"]: r["rank"] for r in df.collect()} for df in (a, b))
+        assert got.keys() == want.keys() and max(abs(got[v] - want[v]) for v in want) < 1e-12
+        assert (run.messages, run.combined, run.crossing) == (jobs.messages, jobs.combined, jobs.crossing) and len(moved) == len(changed)
+    again = Graph(g.vertices.union(g.vertices.where("vid = 5")), g.edges, True)
+    assert ranks.pagerank_vertex(again, 3)[0].count() == 65  # an id that repeats goes by jobs
+    cg = fixtures.in_blocks(g, 3)
+    local = cg.scratch.save(ranks.local_rank(cg))
+    got, want = ({r["cell_id"]: r["rank"] for r in ranks.cell_rank(cg, local, task_arcs=most).collect()} for most in (1000, 0))
+    assert got.keys() == want.keys() and max(abs(got[c] - want[c]) for c in want) < 1e-12
