@@ -3,14 +3,16 @@
 import random
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 import pytest
 from pyspark.sql import functions as F
 
 from cellgraph import catalogue, fixtures
 from cellgraph.algorithms import betweenness, ranks, traversal
 from cellgraph.algorithms.contraction import components
-from cellgraph.cells import discover_cells, local_components
-from cellgraph.engine import vertex
+from cellgraph.cells import TOPOLOGY, discover_cells, local_components, pack_array
+from cellgraph.engine import cellprog, vertex
 from cellgraph.graph import Graph
 from cellgraph.partition import partition_modulo
 from cellgraph.planner import choose_engine
@@ -158,3 +160,16 @@ def test_rank_rounds_in_one_task(spark):
     local = cg.scratch.save(ranks.local_rank(cg))
     got, want = ({r["cell_id"]: r["rank"] for r in ranks.cell_rank(cg, local, task_arcs=most).collect()} for most in (1000, 0))
     assert got.keys() == want.keys() and max(abs(got[c] - want[c]) for c in want) < 1e-12
+
+
+def test_messages_of_a_hub_leave_in_small_batches():
+    n = 120_000
+    dst = np.arange(n, dtype=np.int64) % 110_000 + 10  # some targets twice
+    packed = {"ids": np.array([5]), "cell": np.array([5]), "indptr": np.array([0, n]), "to": np.full(n, -1), "dst": dst[::-1], "dst_pid": np.ones(n), "dst_cell": dst[::-1] * 2}
+    left = pa.table({name: pa.array([pack_array(packed[name].astype(kind))], pa.binary()) for name, kind in TOPOLOGY.items()} | {"weight": pa.array([pack_array(np.ones(n, np.int64))], pa.binary()), "whole": [True]})
+    schema = cellprog._schemas("double")[1]
+    out = cellprog._caller(ranks.Rank(10, 30, 0.85, "redistribute", None, False), 1, None, (0.0, 0.0))([pa.scalar(0)], left, cellprog._rows(schema, 1, pid=[0], kind=[cellprog.CALL]))
+    assert max(b.num_rows for b in out.to_batches()) <= 50_000
+    sent = out.filter(pa.compute.equal(out["kind"], cellprog.TO_VERTEX))
+    assert sent["vid"].to_pylist() == list(range(10, 110_010)) and sent["cell_id"].to_pylist() == [2 * v for v in range(10, 110_010)]
+    assert np.allclose(sent["value"].to_numpy(), np.bincount(dst - 10) * 0.1 / n, rtol=1e-12, atol=0) and sent["blob"].null_count == 110_000
