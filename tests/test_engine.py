@@ -173,3 +173,31 @@ def test_messages_of_a_hub_leave_in_small_batches():
     sent = out.filter(pa.compute.equal(out["kind"], cellprog.TO_VERTEX))
     assert sent["vid"].to_pylist() == list(range(10, 110_010)) and sent["cell_id"].to_pylist() == [2 * v for v in range(10, 110_010)]
     assert np.allclose(sent["value"].to_numpy(), np.bincount(dst - 10) * 0.1 / n, rtol=1e-12, atol=0) and sent["blob"].null_count == 110_000
+
+
+def test_an_edge_is_placed_once(spark, monkeypatch):
+    g = fixtures.order_supplier(spark, "/root/testdata/sf0.001")
+    edges, saved = g.edges.count(), []
+    save = Scratch.save
+    monkeypatch.setattr(Scratch, "save", lambda self, df: saved.append(save(self, df)) or saved[-1])
+    monkeypatch.setattr(Scratch, "drop", lambda self, *frames: None)
+    for made in (lambda: discover_cells(g, partition_modulo(g, 3)), lambda: fixtures.in_blocks(g)):
+        cg = made()
+        saved.clear()
+        cg = made()
+        assert [df.count() for df in saved if {"src", "dst"} <= set(df.columns) and df.count() > edges] == [2 * edges]
+        saved.clear()
+        fine = cg.fitted(edges // 5)
+        assert fine.links.count() == 2 * edges and [df.count() for df in saved if {"src", "dst"} <= set(df.columns) and df.count() > edges] == [2 * edges]
+
+
+def test_loops_and_parallel_edges_in_pieces(spark):
+    rows = [(1, 2, 3), (2, 1, 4), (1, 2, 3), (2, 2, 7), (3, 1, None), (3, 3, 1)]
+    for directed in (False, True):
+        g = Graph.from_edges(spark.createDataFrame(rows, "src long, dst long, weight long"), directed=directed)
+        want = sorted(map(str, g.arcs().select("src", "dst", "weight").collect()))
+        for cg in (discover_cells(g, partition_modulo(g, 2)), fixtures.in_blocks(g, 2)):
+            for one in (cg, cg.fitted(2)):
+                assert sorted(map(str, one.links.select("src", "dst", "weight").collect())) == want
+                pid = {r["vid"]: (r["pid"], r["cell_id"]) for r in one.cell_of.collect()}
+                assert all((pid[r["src"]], pid[r["dst"]]) == ((r["src_pid"], r["src_cell"]), (r["dst_pid"], r["dst_cell"])) for r in one.links.collect())
