@@ -201,3 +201,10 @@ def test_loops_and_parallel_edges_in_pieces(spark):
                 assert sorted(map(str, one.links.select("src", "dst", "weight").collect())) == want
                 pid = {r["vid"]: (r["pid"], r["cell_id"]) for r in one.cell_of.collect()}
                 assert all((pid[r["src"]], pid[r["dst"]]) == ((r["src_pid"], r["src_cell"]), (r["dst_pid"], r["dst_cell"])) for r in one.links.collect())
+
+
+def test_engine_choice_places_a_graph_once(spark, monkeypatch):
+    placed, blocks = [], catalogue._blocks
+    monkeypatch.setattr(catalogue, "_blocks", lambda g, *k: placed.append(1) or blocks(g, *k))
+    rows = [tuple(r) for r in catalogue.queries()["engine_choice"](spark, "/root/testdata/sf0.001").collect()]
+    assert len(placed) == 3 and [r[:2] for r in rows] == [(g, a) for g in ("road_hour", "hub_tree", "order_supplier") for a in ("components", "rank")]
