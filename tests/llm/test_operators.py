@@ -376,3 +376,15 @@ def test_resembling_shared_passages_meet_seldom(spark, monkeypatch):
     monkeypatch.setattr(resemblance, "_close_pairs", lambda *a: found.append(close(*a)) or found[-1])
     assert _resembling_groups(spark, rows) == _groups_by_all_pairs(rows) == {i: 7 if i == 100 else i for i, _ in rows}
     assert found[0].count() < 300  # of 2628 pairs, most of which share a passage
+
+
+def test_pairs_travel_with_short_prefixes(spark, monkeypatch):
+    # two shingles of one set look equal by their last 16 bits, and so do two of different sets
+    sets = {1: [1, 1 + (1 << 16), 7, 9], 2: [1, 1 + (1 << 16), 7, 11], 3: [1 + (1 << 17), 20, 21, 22]}
+    first = spark.createDataFrame([(i, 4, s, 0) for i, s in sets.items()], "id long, n long, prefix array<bigint>, w long")
+    pairs = spark.createDataFrame([(1, 2), (1, 3)], "a long, b long")
+    plans, save = [], resemblance.Scratch.save
+    monkeypatch.setattr(resemblance.Scratch, "save", lambda self, df: plans.append(df._jdf.queryExecution().optimizedPlan().schema().simpleString() + df._jdf.queryExecution().analyzed().toString()) or save(self, df))
+    got = resemblance._by_prefixes(pairs, first, 0.6, resemblance.Scratch(spark, "test")).collect()
+    assert [tuple(r) for r in got] == [(1, 2)]  # they share 3 of 5
+    assert "as smallint" in plans[-1] and "array_intersect(a_short" in plans[-1]
