@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from cellgraph import catalogue, fixtures
 from cellgraph.algorithms import betweenness, ranks, traversal
-from cellgraph.algorithms.contraction import components
+from cellgraph.algorithms.contraction import components, weak_components
 from cellgraph.cells import TOPOLOGY, discover_cells, local_components, pack_array
 from cellgraph.engine import cellprog, vertex
 from cellgraph.graph import Graph
@@ -208,3 +208,27 @@ def test_engine_choice_places_a_graph_once(spark, monkeypatch):
     monkeypatch.setattr(catalogue, "_blocks", lambda g, *k: placed.append(1) or blocks(g, *k))
     rows = [tuple(r) for r in catalogue.queries()["engine_choice"](spark, "/root/testdata/sf0.001").collect()]
     assert len(placed) == 3 and [r[:2] for r in rows] == [(g, a) for g in ("road_hour", "hub_tree", "order_supplier") for a in ("components", "rank")]
+
+
+def test_components_of_a_large_road_go_to_tasks_of_their_own(spark):
+    edges = [(k * 1000 + i, k * 1000 + i + 1, i % 3) for k in range(3) for i in range(200)] + [(i, i + 5000, 1) for i in (3, 1010)]
+    g = Graph.from_edges(spark.createDataFrame(edges, "src long, dst long, weight long"))
+    g = Graph(g.vertices.union(spark.createDataFrame([(9000,)], "vid long")), g.edges)
+    here = F.col("vid").isin(0, 2100)
+    first = g.vertices.select("vid", F.when(here, 0).cast("long").alias("value"), here.alias("active"))
+    tracker = spark.sparkContext.statusTracker()
+    for program, initial in ((vertex.larger(), g.vertices.select("vid", (F.col("vid") * 7919 % 10007).alias("value"), F.lit(True).alias("active"))), (vertex.shorter(), first)):
+        one, want = vertex.run_vertex_program(program, g.arcs(), initial, Scratch(spark, "test"))
+        before = len(tracker.getJobIdsForGroup(None))
+        many, run = vertex.run_vertex_program(program, g.arcs(), initial, Scratch(spark, "test"), task_arcs=600)  # 1204 arcs, 402 in a component
+        assert len(tracker.getJobIdsForGroup(None)) - before < 80  # and not some for each of 200 supersteps
+        assert sorted(map(str, one.collect())) == sorted(map(str, many.collect())) and run == want and run.supersteps > 100
+
+
+def test_weak_components_by_tasks_and_by_contraction(spark):
+    rng = random.Random(4)
+    pairs = [(rng.randrange(90), rng.randrange(90)) for _ in range(50)] + [(7, 7), (100, 101), (101, 100)]
+    df = spark.createDataFrame(pairs, "a long, b long")
+    want = {tuple(r) for r in components(spark, df).collect()}
+    for task_edges, at_once in ((10_000, 1), (10_000, 1000), (0, 3)):
+        assert {tuple(r) for r in weak_components(df, "a", "b", Scratch(spark, "test"), task_edges, at_once).collect()} == want
